@@ -16,6 +16,7 @@ import zlib
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import public_tokenizers
 from pyspark.sql import DataFrame
@@ -175,7 +176,6 @@ def pack(docs: DataFrame, capacity: int = CAPACITY, keep_ids: bool = True, vocab
 
     @F.pandas_udf("sequence_id long, offset long")
     def place(length, rank):
-        import pandas as pd
 
         seq, off = plan.value.place(length.to_numpy(np.int64), rank.to_numpy(np.int64))
         return pd.DataFrame({"sequence_id": seq, "offset": off})
