@@ -1,13 +1,54 @@
-"""The corpus pipeline: language ID, near-dedup, PII and packing over ``documents``."""
+"""The corpus pipeline: language ID, near-dedup, PII and packing over ``documents``.
+
+Each stage takes all that its predecessor kept and, but for the last, returns the columns of ``documents``.
+"""
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 
-STAGES: list = []
+from hypertriad.llm import langid, neardup, packing, pii
+from hypertriad.llm.common import shared_root
+from hypertriad.shipping import ship
+
+
+def identify(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents without a determined language go."""
+    ship(spark)
+    return langid.keep_identified(docs)
+
+
+def deduplicate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each class of near duplicates stays: the one with the least doc_id."""
+    ship(spark)
+    return neardup.keep_one(docs)
+
+
+def redact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Personal data is replaced by its kind; n_chars follows the new text."""
+    ship(spark)
+    return pii.redact(docs)
+
+
+def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The pieces of all documents in sequences of 1024 ids."""
+    ship(spark)
+    return packing.pack(docs, keep_ids=False)
+
+
+STAGES = [("language_id", identify), ("near_dedup", deduplicate), ("pii", redact), ("packing", pack)]
 #: SQL cannot express the stages; tests hold them against brute force.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    for k, (name, stage) in enumerate(STAGES):
+        docs = stage(spark, docs, sf_dir)
+        if k < len(STAGES) - 1:
+            path = f"{shared_root(spark)}/pipeline-{name}-{uuid.uuid4().hex}"
+            docs.write.parquet(path)
+            docs = spark.read.schema(docs.schema).parquet(path)
+    return docs

@@ -403,6 +403,9 @@ def detect(docs: DataFrame, field: Field | None = None) -> DataFrame:
 
 
 def redact(docs: DataFrame, field: Field | None = None) -> DataFrame:
-    """``docs`` with personal data in ``text`` replaced; all rows and columns stay (null and clean texts as they are)."""
-    done = _apply(docs, "t string", lambda t, f: (redacted(t, find(t, f)[1]),), field, "_clean")
-    return done.withColumn("text", F.col("_clean.t")).drop("_clean")
+    """``docs`` with personal data in ``text`` replaced and n_chars, if there, of the new text; all rows and columns stay.
+
+    Null texts and texts without personal data are as they were.
+    """
+    done = _apply(docs, "t string", lambda t, f: (redacted(t, find(t, f)[1]),), field, "_clean").withColumn("text", F.col("_clean.t")).drop("_clean")
+    return done.withColumn("n_chars", F.coalesce(F.length("text").cast("long"), F.col("n_chars"))) if "n_chars" in docs.columns else done
