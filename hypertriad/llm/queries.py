@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import ann, flac, html_main, langid, neardup, packing, pii, sharding
+from . import ann, chat, flac, html_main, langid, neardup, packing, pii, sharding, wfst
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -23,6 +23,10 @@ def op3_flac(spark: SparkSession, sf_dir: str) -> DataFrame:
     return flac.store_and_read_back(_table(spark, sf_dir, "documents"))
 
 
+def op4_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chat.link_conversations(_table(spark, sf_dir, "conversations"))
+
+
 def op5_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.detect(_table(spark, sf_dir, "documents"))
 
@@ -43,9 +47,14 @@ def op9_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.classes(_table(spark, sf_dir, "documents"))
 
 
+def op10_wfst(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return wfst.digests(_table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_packing, op2_sharding, op3_flac, op5_pii, op6_html, op7_ann, op8_langid, op9_neardup)}
+    return {f.__name__: f for f in (op1_packing, op2_sharding, op3_flac, op4_chat, op5_pii, op6_html, op7_ann, op8_langid, op9_neardup, op10_wfst)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    """DuckDB SQL where it can express a query; the others are tested against brute force, round trips or held-out rows."""
+    return {"op4_chat": chat.ORACLE}
