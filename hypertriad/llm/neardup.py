@@ -7,9 +7,9 @@
 3. Nodes that agree on all samples of a band share a bucket.  In each bucket every node is checked against the least and
    the greatest node, which takes two pairs a node however large the bucket is; links give components.
 4. What is left are pairs in a bucket across components.  Buckets are cut into blocks, pure in one component where that
-   is large, and only pairs of blocks that can hold such a pair are compared, by their samples, inside a task; a pair is
-   sent on only if its estimate allows the threshold and in the first bucket it shares.
-5. All candidate pairs are verified by their exact weighted Jaccard similarity.
+   is large, and only pairs of blocks that can hold such a pair are compared, inside a task: by their samples first and
+   exactly where these allow the threshold and the two are not joined yet.  Only a spanning forest of links comes out.
+5. Every link is verified by the exact weighted Jaccard similarity.
 """
 
 from __future__ import annotations
@@ -251,50 +251,122 @@ def verified(pairs: DataFrame, vecs: DataFrame, threshold: float) -> DataFrame:
     return pairs.join(a, "u").join(b, "v").where(s >= threshold - 1e-9).select("u", "v")
 
 
-def _across(buckets: DataFrame, prints: DataFrame) -> DataFrame:
-    """Pairs (u, v) in a bucket but in different components whose samples allow the threshold, each pair once.
+def _block_pairs(buckets: DataFrame) -> DataFrame:
+    """The rows of each pair of blocks that may hold a pair across components: band, key, g, side, node, comp.
 
-    buckets: stored (band, key, node, comp), with two components at least in each bucket.
+    buckets: stored (band, key, node, comp), with two components at least in each bucket.  A block holds about BLOCK rows
+    of one component, if that has as many in the bucket, or of several.  g names the pair of blocks; side is 0 for the
+    first block, 1 for the second and 2 if they are the same.
     """
     comps = buckets.groupBy("band", "key", "comp").agg(F.count(F.lit(1)).alias("n"))
-    blocks = comps.select("band", "key", "comp", F.when(F.col("n") >= BLOCK, F.col("comp")).alias("pure"), F.when(F.col("n") >= BLOCK, F.ceil(F.col("n") / BLOCK)).alias("k"), "n")
-    mixed = blocks.where("pure is null").groupBy("band", "key").agg(F.ceil(F.sum("n") / BLOCK).alias("km"))
-    pure = blocks.where("pure is not null").groupBy("band", "key").agg(F.collect_list(F.struct("pure", "k")).alias("pures"))  # at most 1/BLOCK of the bucket's rows
-    layout = mixed.join(pure, ["band", "key"], "full")
-    # a block is (pure component or null, number); each row goes to its block's pairs with blocks it may differ from
-    names = layout.select("band", "key", F.concat(
-        F.coalesce(F.transform(F.sequence(F.lit(0).cast("long"), F.col("km") - 1), lambda i: F.struct(F.lit(None).cast("long").alias("p"), i.alias("i"))), F.array().cast("array<struct<p:bigint,i:bigint>>")),
-        F.coalesce(F.flatten(F.transform("pures", lambda p: F.transform(F.sequence(F.lit(0).cast("long"), p["k"] - 1), lambda i: F.struct(p["pure"].alias("p"), i.alias("i"))))), F.array().cast("array<struct<p:bigint,i:bigint>>")),
-    ).alias("all"))
-    placed = buckets.join(blocks.drop("n"), ["band", "key", "comp"]).join(mixed, ["band", "key"], "left")
-    own = F.struct(F.col("pure").alias("p"), F.pmod(F.xxhash64("node"), F.coalesce("k", "km")).alias("i"))
-    sent = placed.join(names, ["band", "key"]).join(prints, "node").withColumn("own", own)
-    other = F.explode(F.filter("all", lambda b: b["p"].isNull() | F.col("own.p").isNull() | (b["p"] != F.col("own.p"))))
-    sent = sent.select("band", "key", "node", "comp", "bands", "prints", "own", other.alias("other"))
-    first, second = F.least("own", "other"), F.greatest("own", "other")
-    sent = sent.withColumn("side", F.when(F.col("own") == F.col("other"), 2).when(F.col("own") == first, 0).otherwise(1)).select("band", "key", first.alias("x"), second.alias("y"), "side", "node", "comp", "bands", "prints")
-
-    def compare(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
-        band = int(key[0])
-        left = pdf[pdf.side != 1].reset_index(drop=True)
-        right = left if (pdf.side == 2).all() else pdf[pdf.side == 1].reset_index(drop=True)
-        if not len(left) or not len(right):
-            return pd.DataFrame({"u": [], "v": []}, dtype="int64")
-        p1, p2 = (np.array([np.frombuffer(b, "<u2") for b in d.prints]) for d in (left, right))
-        b1, b2 = (np.array(list(d.bands)) for d in (left, right))
-        c1, c2, n1, n2 = left.comp.to_numpy(), right.comp.to_numpy(), left.node.to_numpy(), right.node.to_numpy()
-        us, vs = [], []
-        for i in range(len(left)):
-            ok = (c2 != c1[i]) & ((n2 > n1[i]) if right is left else True)
-            at = np.flatnonzero(ok)
-            if len(at):
-                at = at[(p2[at] == p1[i]).sum(axis=1) >= LEAST_ESTIMATE * SAMPLES]
-                at = at[~(b2[at, :band] == b1[i, :band]).any(axis=1)] if band and len(at) else at
-                us.append(np.minimum(n2[at], n1[i]))
-                vs.append(np.maximum(n2[at], n1[i]))
-        return pd.DataFrame({"u": np.concatenate(us) if us else [], "v": np.concatenate(vs) if vs else []}, dtype="int64")
-
-    return sent.groupBy("band", "key", "x", "y").applyInPandas(compare, "u long, v long")
+    large = F.col("n") >= BLOCK
+    blocks = comps.select("band", "key", "comp", F.when(large, F.col("comp")).otherwise(-1).alias("p"), F.when(large, F.ceil(F.col("n") / BLOCK)).alias("k"), "n")
+    mixed = blocks.where("p < 0").groupBy("band", "key").agg(F.ceil(F.sum("n") / BLOCK).alias("km"))
+    pure = blocks.where("p >= 0").groupBy("band", "key").agg(F.collect_list(F.struct("p", "k")).alias("pures"))  # at most a BLOCKth of the bucket's rows
+    upto = lambda k: F.sequence(F.lit(0).cast("long"), k - 1)
+    none = F.array().cast("array<struct<p:bigint,i:bigint>>")
+    names = F.concat(
+        F.coalesce(F.transform(upto(F.col("km")), lambda i: F.struct(F.lit(-1).cast("long").alias("p"), i.alias("i"))), none),
+        F.coalesce(F.flatten(F.transform("pures", lambda b: F.transform(upto(b["k"]), lambda i: F.struct(b["p"].alias("p"), i.alias("i"))))), none),
+    )
+    layout = mixed.join(pure, ["band", "key"], "full").select("band", "key", "km", names.alias("all"))
+    own = F.struct(F.col("p").cast("long").alias("p"), F.pmod(F.xxhash64("node"), F.coalesce("k", "km")).alias("i"))
+    placed = buckets.join(blocks.drop("n"), ["band", "key", "comp"]).join(layout, ["band", "key"]).withColumn("own", own)
+    other = F.explode(F.filter("all", lambda b: (b["p"] < 0) | (F.col("own.p") != b["p"])))
+    sent = placed.select("band", "key", "node", "comp", "own", other.alias("other"))
+    side = F.when(F.col("own") == F.col("other"), 2).when(F.col("own") < F.col("other"), 0).otherwise(1)
+    g = F.xxhash64("band", "key", F.least("own", "other"), F.greatest("own", "other"))
+    return sent.select("band", "key", g.alias("g"), side.alias("side"), "node", "comp")
+
+
+def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The rows of each (g, band, key) of sorted batches; a run is at most two blocks, so it fits."""
+    held = None
+    for batch in batches:
+        table = pa.Table.from_batches([*([held] if held is not None else []), batch]).combine_chunks()
+        if not table.num_rows:
+            continue
+        batch = table.to_batches()[0]
+        k = np.stack([batch.column(n).to_numpy(zero_copy_only=False).astype(np.int64) for n in ("g", "band", "key")], 1)
+        starts = [0, *(np.flatnonzero((k[1:] != k[:-1]).any(axis=1)) + 1).tolist()]
+        for a, b in zip(starts, starts[1:]):
+            yield batch.slice(a, b - a)
+        held = batch.slice(starts[-1])
+    if held is not None:
+        yield held
+
+
+def _likely(run: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(i, j, equal samples) of the run's pairs across components whose estimate allows the threshold, best first, without
+    those that share an earlier band, as these are pairs of another bucket."""
+    n, band = run.num_rows, run.column("band")[0].as_py()
+    side = run.column("side").to_numpy()
+    prints = np.frombuffer(b"".join(run.column("prints").to_pylist()), "<u2").reshape(n, SAMPLES)
+    comp = run.column("comp").to_numpy()
+    left, right = np.flatnonzero(side != 1), np.flatnonzero(side != 0)
+    found = []
+    for a in range(0, len(left), 64):
+        rows = left[a : a + 64]
+        equal = np.zeros((len(rows), len(right)), np.int16)
+        for k in range(SAMPLES):
+            equal += prints[rows, k][:, None] == prints[right, k][None, :]
+        ok = (equal >= LEAST_ESTIMATE * SAMPLES) & (comp[rows][:, None] != comp[right][None, :])
+        if side[0] == 2:
+            ok &= rows[:, None] < right[None, :]
+        i, j = np.nonzero(ok)
+        if len(i):
+            found.append((rows[i], right[j], equal[i, j]))
+    if not found:
+        return (np.zeros(0, np.int64),) * 3
+    i, j, equal = (np.concatenate(x) for x in zip(*found))
+    if band:
+        bands = run.column("bands").flatten().to_numpy().reshape(n, BANDS)[:, :band]
+        new = ~(bands[i] == bands[j]).any(axis=1)
+        i, j, equal = i[new], j[new], equal[new]
+    order = np.argsort(-equal, kind="stable")
+    return i[order], j[order], equal[order]
+
+
+def across(buckets: DataFrame, prints: DataFrame, vecs: DataFrame, threshold: float, store: Stored) -> DataFrame:
+    """Links (u, v) that join the components inside buckets: in each pair of blocks a spanning forest of its links.
+
+    A first pass finds, by samples alone, the rows that have a likely partner; only these are sent with their vectors to
+    the second, which verifies likely pairs, most likely first, and skips those already joined.
+    """
+    keys = ["g", "band", "key"]
+    schema = "g long, band int, key long, side int, node long, comp long, bands array<long>, prints binary"
+
+    def sift(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for run in _runs(batches):
+            i, j, _ = _likely(run)
+            if len(i):
+                yield run.take(pa.array(np.unique(np.concatenate([i, j]))))
+
+    def join(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for run in _runs(batches):
+            node, comp = run.column("node").to_numpy(), run.column("comp").to_pylist()
+            ids, w = run.column("ids"), run.column("w")
+            parent = {c: c for c in comp}
+
+            def root(c: int) -> int:
+                while parent[c] != c:
+                    parent[c] = parent[parent[c]]
+                    c = parent[c]
+                return c
+
+            us, vs = [], []
+            for i, j, _ in zip(*(x.tolist() for x in _likely(run))):
+                a, b = root(comp[i]), root(comp[j])
+                if a != b and weighted_jaccard(ids[i].as_py(), w[i].as_py(), ids[j].as_py(), w[j].as_py()) >= threshold - 1e-9:
+                    parent[a] = b
+                    us.append(node[i])
+                    vs.append(node[j])
+            if us:
+                yield pa.record_batch([pa.array(us, pa.int64()), pa.array(vs, pa.int64())], names=["u", "v"])
+
+    dealt = _block_pairs(buckets).join(prints, "node").select(*[f.split()[0] for f in schema.split(", ")])
+    likely = store.put(dealt.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(sift, schema))
+    return likely.join(vecs, "node").repartition(*keys).sortWithinPartitions(*keys).mapInArrow(join, "u long, v long")
 
 
 def classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
@@ -326,9 +398,9 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     split = labelled.groupBy("band", "key").agg(F.min("comp").alias("a"), F.max("comp").alias("b")).where("a < b").select("band", "key")
     open_ = store.put(labelled.join(split, ["band", "key"]))
     prints = signed.select(F.col("uid").alias("node"), "bands", "prints")
-    rest = store.put(_across(open_, prints.join(open_.select("node").distinct(), "node", "left_semi")))
-    more = verified(rest.join(pairs, ["u", "v"], "left_anti"), vecs, threshold)
-    comp = store.put(components(links.unionByName(store.put(more)), store))
+    wanted = prints.join(open_.select("node").distinct(), "node", "left_semi")
+    more = store.put(across(open_, wanted, vecs, threshold, store))
+    comp = store.put(components(links.unionByName(more), store))
 
     by_text = nodes.join(comp, "node", "left").select("digest", F.coalesce("comp", "node").alias("comp"))
     placed = store.put(signed.select("doc_id", "uid", "digest").join(by_text, "digest", "left").select("doc_id", F.coalesce("comp", "uid").alias("comp")))
