@@ -369,12 +369,8 @@ def across(buckets: DataFrame, prints: DataFrame, vecs: DataFrame, threshold: fl
     return likely.join(vecs, "node").repartition(*keys).sortWithinPartitions(*keys).mapInArrow(join, "u long, v long")
 
 
-def classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """doc_id and class_id of every row of (doc_id, text): the least doc_id among the rows its near duplicates link it to.
-
-    Equal texts share a class.  Texts without a word have no shingles and share a class only with equal texts; a null
-    text is a class of its own.  Repeated rows give repeated rows.  Empty table: empty result.
-    """
+def _placed(docs: DataFrame, threshold: float) -> DataFrame:
+    """doc_id, digest of the text and component of every row, stored."""
     spark = docs.sparkSession
     store = Stored(spark)
     weights = spark.sparkContext.broadcast(Weights(*frequency_sketch(docs)))
@@ -403,13 +399,28 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     comp = store.put(components(links.unionByName(more), store))
 
     by_text = nodes.join(comp, "node", "left").select("digest", F.coalesce("comp", "node").alias("comp"))
-    placed = store.put(signed.select("doc_id", "uid", "digest").join(by_text, "digest", "left").select("doc_id", F.coalesce("comp", "uid").alias("comp")))
+    return store.put(signed.select("doc_id", "uid", "digest").join(by_text, "digest", "left").select("doc_id", "digest", F.coalesce("comp", "uid").alias("comp")))
+
+
+def classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
+    """doc_id and class_id of every row of (doc_id, text): the least doc_id among the rows its near duplicates link it to.
+
+    Equal texts share a class.  Texts without a word have no shingles and share a class only with equal texts; a null
+    text is a class of its own.  Repeated rows give repeated rows.  A class of null doc_ids alone has a null class_id.
+    Empty table: empty result.
+    """
+    placed = _placed(docs, threshold)
     least = placed.groupBy("comp").agg(F.min("doc_id").alias("class_id"))
     return placed.join(least, "comp").select("doc_id", "class_id")
 
 
 def keep_one(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """One row of each class: that of the least doc_id (of rows with the same doc_id, the least text); columns as they are."""
-    kept = classes(docs, threshold).select("class_id").distinct()
-    chosen = docs.join(kept, docs["doc_id"] == kept["class_id"], "left_semi")
-    return chosen.dropDuplicates(["doc_id"])
+    """One row of each class: that of the least doc_id (null last), then of the least digest; columns as they are.
+
+    Rows with the same doc_id and text are copies, of which one stays.  A null text is a class of its own.
+    """
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "digest")).alias("r")
+    kept = _placed(docs, threshold).groupBy("comp").agg(first).select(F.col("r.doc_id").alias("_kd"), F.col("r.digest").alias("_kg")).distinct()
+    marked = docs.withColumn("_g", F.md5("text"))
+    chosen = marked.join(kept, F.col("doc_id").cast("long").eqNullSafe(F.col("_kd")) & F.col("_g").eqNullSafe(F.col("_kg")), "left_semi")
+    return chosen.dropDuplicates(["doc_id", "_g"]).select(*docs.columns)
