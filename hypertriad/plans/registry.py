@@ -233,12 +233,12 @@ def _named(df: DataFrame) -> DataFrame:
 
 
 def _by_lang(s: SparkSession, d: str) -> DataFrame:
-    parts = [triads(hypergraph(s, d, "doc_lines", lang=g), mode="count").select(F.lit(g).alias("slice"), "pattern", "cnt") for g in ("de", "es", "fr")]
+    parts = [triads(hypergraph(s, d, "doc_lines", lang=g), mode="count").select(F.lit(g).alias("slice"), "pattern", "cnt") for g in ("de", "en", "es", "fr")]
     return stage(reduce(DataFrame.unionByName, parts))
 
 
 def _lang_sql(body: str) -> str:
-    parts = [f"SELECT '{g}' AS slice, pattern, cnt FROM ({O.counts_sql('doc_lines').replace('FROM documents', f'FROM documents WHERE lang = {chr(39)}{g}{chr(39)}')})" for g in ("de", "es", "fr")]
+    parts = [f"SELECT '{g}' AS slice, pattern, cnt FROM ({O.counts_sql('doc_lines').replace('FROM documents', f'FROM documents WHERE lang = {chr(39)}{g}{chr(39)}')})" for g in ("de", "en", "es", "fr")]
     return f"WITH sliced AS ({' UNION ALL '.join(parts)}) {body}"
 
 
@@ -259,13 +259,13 @@ add("edge_ranks_order_suppliers", lambda s, d: measures.edge_ranks(measures.tria
 
 def _daily(s: SparkSession, d: str) -> DataFrame:
     """Triads of each day's small hypergraph: edges are hours with their purchasers."""
-    ev = read_table(s, d, "events").where("event_type = 'purchase' AND user_id < 40")
+    ev = read_table(s, d, "events").where("event_type = 'purchase'")
     edges = ev.groupBy(F.to_date("ts").cast("string").alias("day"), F.hour("ts").alias("e")).agg(F.sort_array(F.collect_set("user_id")).alias("members"))
     edges = edges.groupBy("day", "members").agg(F.min("e").alias("e"))
     return udfs.triads_by_group(edges, "day")
 
 
-_DAILY_SQL = f"""WITH hours AS (SELECT CAST(CAST(ts AS DATE) AS VARCHAR) AS day, hour(ts) AS h, list_sort(list(DISTINCT user_id)) AS m FROM events WHERE event_type = 'purchase' AND user_id < 40 GROUP BY ALL),
+_DAILY_SQL = f"""WITH hours AS (SELECT CAST(CAST(ts AS DATE) AS VARCHAR) AS day, hour(ts) AS h, list_sort(list(DISTINCT user_id)) AS m FROM events WHERE event_type = 'purchase' GROUP BY ALL),
 ed AS (SELECT day, min(h) AS e, m FROM hours GROUP BY day, m), edges AS (SELECT day, e, CAST(len(m) AS INTEGER) AS n, m FROM ed), inc AS (SELECT day, e, n, unnest(m) AS v FROM edges),
 links AS (SELECT a.day, a.e AS i, b.e AS j, any_value(a.n) AS ni, any_value(b.n) AS nj, CAST(count(*) AS INTEGER) AS w, list(a.v) AS s FROM inc a JOIN inc b ON a.day = b.day AND a.v = b.v AND a.e < b.e GROUP BY a.day, a.e, b.e),
 {O.TRIADS_CTE.replace('SELECT a.i,', 'SELECT a.day, a.i,').replace('ON a.i = b.i AND', 'ON a.day = b.day AND a.i = b.i AND').replace('ON c.i = a.j', 'ON c.day = a.day AND c.i = a.j')},
