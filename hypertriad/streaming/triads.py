@@ -75,7 +75,7 @@ class TriadStore:
     def add(self, arrived: DataFrame, batch: int) -> None:
         """One micro-batch of (e, members).  An edge whose set is stored or repeated in the batch is ignored."""
         old = self.edges(batch)
-        new = arrived.select("e", F.col("members").cast("array<long>").alias("members")).groupBy("members").agg(F.min("e").alias("e")).select("e", F.size("members").alias("n"), "members").join(old.select("members"), "members", "left_anti")
+        new = arrived.select("e", F.sort_array(F.array_distinct(F.col("members").cast("array<long>"))).alias("members")).groupBy("members").agg(F.min("e").alias("e")).select("e", F.size("members").alias("n"), "members").join(old.select("members"), "members", "left_anti")
         self._write(new.select("e", "n", "members"), "edges", batch)
         own = self.spark.read.parquet(f"{self.root}/edges/batch={batch}")
         flat = lambda df, flag: df.select("e", "n", F.explode("members").alias("v"), F.lit(flag).alias("new"))
