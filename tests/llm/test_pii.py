@@ -1,0 +1,96 @@
+import random
+import re
+
+from helpers import TINY
+
+from hypertriad.llm import pii
+
+EMAIL = re.compile(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+")
+IP = re.compile(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)")
+CARD = re.compile(r"[0-9]([\x20-]?[0-9])+")
+PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
+
+
+def plain(text):
+    out = [("email", m.start(), m.end()) for m in EMAIL.finditer(text)]
+    out += [("ip", m.start(), m.end()) for m in IP.finditer(text) if all(int(p) <= 255 for p in m.group().split("."))]
+    for m in CARD.finditer(text):
+        d = re.sub("[^0-9]", "", m.group())
+        if 12 <= len(d) <= 19 and sum(sum(divmod(int(c) * (1 + k % 2), 10)) for k, c in enumerate(reversed(d))) % 10 == 0:
+            out.append(("card", m.start(), m.end()))
+    out += [("phone", m.start(), m.end()) for m in PHONE.finditer(text) if 9 <= len(re.sub("[^0-9]", "", m.group())) <= 15]
+    return sorted(out, key=lambda s: (s[1], pii.BASE.index(s[0])))
+
+
+def test_base_spans_against_plain_patterns(spark):
+    r = random.Random(4)
+    alphabet = "0123456789" * 3 + "....@@++-- ()abZ_é\n"
+    texts = ["".join(r.choice(alphabet) for _ in range(r.randint(0, 60))) for _ in range(6000)]
+    texts += ["a@b@c.d", "x@a.b.c@d.e", "@a.b", "1.2.3.4.5.6.7.8.9", "001.002.3.4", "0256.1.1.1", "256.1.1.1", "+1 (743) 555-3824", "4111 1111 1111 1111", "4111111111111112", "٣٤٥.1.1.1", "++1 234 567 8901-"]
+    texts += [x["text"] for x in spark.read.parquet(f"{TINY}/documents.parquet").collect()]
+    for t in texts:
+        assert pii.base_spans(t) == plain(t), t
+
+
+def test_long_runs_stay_linear():
+    for t in ("1" * 300_000, "1." * 150_000, "a" * 300_000 + "@", "+1" + " " * 300_000, "@" * 100_000, "1 " * 150_000):
+        pii.base_spans(t)
+
+
+def test_field_finds_held_out_spans_and_keeps_the_base():
+    field = pii.trained()
+    hit = made = gold = 0
+    for text, spans in pii.made_sentences(250, seed=99):
+        base, found = pii.find(text, field)
+        assert set(base) <= set(found)
+        extra = set(found) - set(base)
+        assert all(b <= s or e <= a for _, a, b in extra for _, s, e in base)
+        want = set(spans)
+        hit, made, gold = hit + len(set(found) & want), made + len(found), gold + len(want)
+    assert hit / gold > 0.95 and hit / made > 0.93
+
+
+def test_dynamic_programme_against_enumeration():
+    field = pii.trained()
+    text = 'key = "deadbeef00112233445566778899aabb" or (555) 123-4567'
+    tokens = [(m.start(), m.end()) for m in pii._TOKEN.finditer(text)][-5:]
+    segs = {(i, j): field.weights[f].sum(axis=0) for i, j, f in field.segments(text, tokens)}
+    best = (float("-inf"), [])
+
+    def walk(at, last, score, out):
+        nonlocal best
+        if at == len(tokens):
+            best = max(best, (score, out), key=lambda x: x[0])
+            return
+        walk(at + 1, 0, score + field.moves[last, 0], out)
+        for (i, j), w in segs.items():
+            if i == at:
+                for k in range(1, len(pii.KINDS)):
+                    walk(j, k, score + field.moves[last, k] + w[k], [*out, (pii.KINDS[k], tokens[i][0], tokens[j - 1][1])])
+
+    walk(0, 0, 0.0, [])
+    assert field.best(text, tokens, []) == best[1]
+
+
+def test_redaction():
+    assert pii.redacted("a b c", [("x", 2, 3)]) == "a <x> c"
+    assert pii.redacted("abcdef", [("x", 0, 3), ("y", 2, 5)]) == "<x>f"
+    assert pii.redacted(None, []) is None
+
+
+def test_documents(spark, odd_docs, no_docs):
+    docs = spark.read.parquet(f"{TINY}/documents.parquet")
+    texts = {r["doc_id"]: r["text"] for r in docs.collect()}
+    for r in pii.detect(docs).collect():
+        base = plain(texts[r["doc_id"]])
+        assert [r["n_email"], r["n_ip"], r["n_card"], r["n_phone"]] == [sum(k == b for k, _, _ in base) for b in pii.BASE]
+        assert set(pii.joined(base).split(",")) - {""} <= set(r["spans"].split(","))
+    clean = pii.redact(docs)
+    assert clean.columns == docs.columns and clean.count() == docs.count()
+    for r in clean.collect():
+        assert r["n_chars"] == len(r["text"])
+        if not pii.find(texts[r["doc_id"]], pii.trained())[1]:
+            assert r["text"] == texts[r["doc_id"]]
+        assert not EMAIL.search(r["text"])
+    assert pii.detect(odd_docs).count() == odd_docs.count() and pii.detect(no_docs).count() == 0
+    assert {tuple(r) for r in pii.redact(odd_docs).select("doc_id", "text").collect()} == {tuple(r) for r in odd_docs.select("doc_id", "text").collect()}
