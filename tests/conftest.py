@@ -4,9 +4,8 @@ from pathlib import Path
 import pytest
 from pyspark.sql import SparkSession
 
-ROOT = Path(__file__).resolve().parent.parent
-sys.path.insert(0, str(ROOT))
-TINY, SMALL = "/root/testdata/sf0.001", "/root/testdata/sf0.01"
+for folder in (Path(__file__).resolve().parent, Path(__file__).resolve().parent.parent):
+    sys.path.insert(0, str(folder))
 
 
 @pytest.fixture(scope="session")

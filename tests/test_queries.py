@@ -1,8 +1,7 @@
 """Every query that has SQL gives the same rows as DuckDB; the others run with a stable schema."""
 
 import pytest
-from conftest import TINY
-from helpers import duck, rows_of_duck, rows_of_spark
+from helpers import TINY, duck, rows_of_duck, rows_of_spark
 
 from hypertriad.plans.registry import ORACLES, QUERIES
 
