@@ -12,6 +12,7 @@ from __future__ import annotations
 import hashlib
 import random
 import re
+from bisect import bisect_left, bisect_right
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -23,13 +24,11 @@ from pyspark.sql import functions as F
 BASE = ("email", "ip", "card", "phone")
 KINDS = ("outside", *BASE, "secret", "national_id")
 MAX_TOKENS = 12
-#: Windows are at most so many tokens; longer runs of triggers are cut where no candidate can cross.
-CONTEXT = 3
 
 _DOMAIN = re.compile(r"@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
 _LOCAL = re.compile(r"[A-Za-z0-9._%+-]*\Z")
 _LOCAL_CHARS = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
-_CHAIN = re.compile(r"[0-9]+(?:\.[0-9]+)+")
+_CHAIN = re.compile(r"(?<![0-9])[0-9]++(?:\.[0-9]++)+")  # no backtracking into long runs of digits
 _CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
 _PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 _TRIGGER = re.compile(r"[0-9@]")
@@ -143,6 +142,27 @@ def candidates(text: str, tokens: list[tuple[int, int]]) -> Iterator[tuple[int,
                 yield i, j
 
 
+class Taken:
+    """Spans as disjoint stretches, looked up by bisection."""
+
+    def __init__(self, spans: list[tuple[str, int, int]]):
+        self.starts: list[int] = []
+        self.ends: list[int] = []
+        for _, a, b in sorted(spans, key=lambda s: s[1]):
+            if self.ends and a <= self.ends[-1]:
+                self.ends[-1] = max(b, self.ends[-1])
+            else:
+                self.starts.append(a)
+                self.ends.append(b)
+
+    def meets(self, a: int, b: int) -> bool:
+        k = bisect_left(self.starts, b) - 1
+        return k >= 0 and self.ends[k] > a
+
+    def between(self, a: int, b: int) -> list[tuple[str, int, int]]:
+        return [("base", s, e) for s, e in zip(self.starts[bisect_right(self.ends, a) : bisect_left(self.starts, b)], self.ends[bisect_right(self.ends, a) :])]
+
+
 class Field:
     """Weights and the dynamic programmes of the semi-Markov field."""
 
@@ -156,7 +176,8 @@ class Field:
     def best(self, text: str, tokens: list[tuple[int, int]], fixed: list[tuple[str, int, int]]) -> list[tuple[str, int, int]]:
         """The highest-scoring segmentation that leaves ``fixed`` spans alone; only entities are returned."""
         n, outside = len(tokens), KINDS.index("outside")
-        blocked = [any(a < e and s < b for _, s, e in fixed) for a, b in tokens]
+        taken = Taken(fixed)
+        blocked = [taken.meets(a, b) for a, b in tokens]
         value = np.full((n + 1, len(KINDS)), -np.inf)
         value[0, outside] = 0.0
         back: dict[tuple[int, int], tuple[int, int]] = {}
@@ -189,11 +210,10 @@ class Field:
     def spans(self, text: str, fixed: list[tuple[str, int, int]]) -> list[tuple[str, int, int]]:
         """Spans of the whole text that the field adds to ``fixed``."""
         out: list[tuple[str, int, int]] = []
+        taken = Taken(fixed)
         for a, b in windows(text):
-            held = [s for s in fixed if s[1] < b and a < s[2]]
-            rest = [m.start() for m in _TRIGGER.finditer(text, a, b) if not any(s <= m.start() < e for _, s, e in held)]
-            if rest:
-                out += self.best(text, [(m.start(), m.end()) for m in _TOKEN.finditer(text, a, b)], held)
+            if any(not taken.meets(m.start(), m.end()) for m in _TRIGGER.finditer(text, a, b)):
+                out += self.best(text, [(m.start(), m.end()) for m in _TOKEN.finditer(text, a, b)], taken.between(a, b))
         return out
 
 
