@@ -4,7 +4,8 @@ A bounded sample of distinct vectors gives an exact neighbour graph, the graph i
 seeding, then capacity-bounded moves that raise the number of edges inside parts), and a small network learns which part
 a vector belongs to, from the parts of the vector and its neighbours.  Every row is indexed: it goes to its most probable
 part.  A query goes to its most probable parts, as many as the sample shows to be needed, and is ranked exactly, in double
-precision, against the rows there.  Parts are cut into blocks, so a crowded part (many copies of a vector) is many tasks.
+precision, against the rows there.  Parts and their queries are cut into blocks, so a crowded part (many copies of a vector)
+is many tasks and no task holds more than one block of rows and one of queries.
 """
 
 from __future__ import annotations
@@ -13,7 +14,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import Stored
@@ -26,7 +27,8 @@ PART_ROWS, MOST_PARTS = 1_000, 512
 HIDDEN = 96
 #: Share of the sample's neighbours that the routing must reach.
 AIM = 0.95
-BLOCK_ROWS = 4_000
+#: Rows and queries that a task compares, on average at most.
+BLOCK_ROWS, QUERY_ROWS = 4_000, 4_000
 
 
 def exact_neighbours(x: np.ndarray, k: int) -> np.ndarray:
@@ -171,9 +173,15 @@ def search(vectors: DataFrame, k: int = 10, every: int = 100) -> DataFrame:
     # a query's parts: the routed number, and on until they hold more than k rows besides its own
     ahead = F.aggregate(F.slice("parts", 1, F.col("i")), F.lit(0).cast("long"), lambda s, p: s + F.element_at(size, p).cast("long"))
     wanted = placed.where("parts is not null").select("vec_id", "x", F.posexplode("parts").alias("i", "part"), "parts").where((F.col("i") < net.probes) | (ahead <= 3 * k)).select(F.col("vec_id").alias("query_id"), F.col("x").alias("q"), "part")
-    blocks = F.create_map(*[F.lit(v) for p in range(net.b2.shape[0]) for v in (p, max(1, -(-counts.get(p, 0) // BLOCK_ROWS)))])
-    base = placed.select("vec_id", "x", "part", F.pmod(F.xxhash64("vec_id"), F.element_at(blocks, F.col("part"))).cast("int").alias("block"))
-    queries = wanted.select("query_id", "q", "part", F.explode(F.sequence(F.lit(0), F.element_at(blocks, F.col("part")) - 1)).alias("block"))
+    asked = {r["part"]: r["n"] for r in wanted.groupBy("part").agg(F.count(F.lit(1)).alias("n")).collect()}  # MOST_PARTS rows at most
+
+    def cut(sizes: dict[int, int], rows: int) -> Column:
+        return F.element_at(F.create_map(*[F.lit(v) for p in range(net.b2.shape[0]) for v in (p, max(1, -(-sizes.get(p, 0) // rows)))]), F.col("part"))
+
+    blocks, query_blocks = cut(counts, BLOCK_ROWS), cut(asked, QUERY_ROWS)
+    every_block = lambda n: F.explode(F.sequence(F.lit(0), n - 1))
+    base = placed.select("vec_id", "x", "part", F.pmod(F.xxhash64("vec_id"), blocks).cast("int").alias("block"), every_block(query_blocks).alias("query_block"))
+    queries = wanted.select("query_id", "q", "part", F.pmod(F.xxhash64("query_id"), query_blocks).cast("int").alias("query_block"), every_block(blocks).alias("block"))
 
     def nearest(q: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
         out = []
@@ -187,7 +195,7 @@ def search(vectors: DataFrame, k: int = 10, every: int = 100) -> DataFrame:
                 out.append(pd.DataFrame({"query_id": qid, "vec_id": ids[best], "score": d[best]}))
         return pd.concat(out) if out else pd.DataFrame({"query_id": [], "vec_id": [], "score": []}).astype({"query_id": "int64", "vec_id": "int64"})
 
-    found = queries.groupBy("part", "block").cogroup(base.groupBy("part", "block")).applyInPandas(nearest, "query_id long, vec_id long, score double")
+    found = queries.groupBy("part", "block", "query_block").cogroup(base.groupBy("part", "block", "query_block")).applyInPandas(nearest, "query_id long, vec_id long, score double")
     order = Window.partitionBy("query_id").orderBy("score", "vec_id")  # k rows from each block of a query's parts
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 

@@ -59,3 +59,11 @@ def test_many_copies_of_a_vector(spark):
     for x in ann.search(df).orderBy("query_id", "rank").collect():
         got.setdefault(x["query_id"], []).append(x["vec_id"])
     assert got[300] == [0, 3, 6, 9, 12, 15, 18, 21, 24, 27]
+
+
+def test_blocks_of_rows_and_queries_do_not_change_results(spark, monkeypatch):
+    df = spark.read.parquet(f"{SMALL}/embeddings.parquet")
+    want = sorted(ann.search(df, every=3).collect())
+    monkeypatch.setattr(ann, "BLOCK_ROWS", 20)
+    monkeypatch.setattr(ann, "QUERY_ROWS", 7)
+    assert sorted(ann.search(df, every=3).collect()) == want
