@@ -70,6 +70,14 @@ def utf8_bytes(col: Column) -> Column:
     return F.coalesce(F.octet_length(col), F.lit(0)).cast("long")
 
 
+def fresh(df: DataFrame, name: str) -> str:
+    """``name``, lengthened until no column of ``df`` has it (case aside): a helper column that clashes with none."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def row_uid() -> Column:
     """A number for each row, to be stored before it is used (it depends on the partitioning)."""
     return F.monotonically_increasing_id()

@@ -13,9 +13,11 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import fresh
+
 ORDERS = (2, 3, 4)
 COLUMNS = 1 << 15
 #: Training rows for each language, at most; their texts are at most MAX_TRAIN_CHARS long.
@@ -109,7 +111,10 @@ def held_out(doc_id: Column) -> Column:
 
 
 def training_rows(docs: DataFrame) -> list[tuple[str, str]]:
-    """A bounded sample of labelled rows, equally large for each language, drawn by a hash of doc_id."""
+    """A bounded sample of labelled rows, equally large for each language, drawn by a hash of doc_id.
+
+    At most TRAIN_PER_LANGUAGE rows a language reach the driver, however often a doc_id or a row repeats.
+    """
     able = docs.where(F.col("lang").isNotNull() & ~held_out(F.col("doc_id")) & (F.length("text") <= MAX_TRAIN_CHARS))
     counts = able.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "lang").limit(MAX_LANGUAGES).collect()
     if not counts:
@@ -118,27 +123,22 @@ def training_rows(docs: DataFrame) -> list[tuple[str, str]]:
     for r in counts:
         keep = F.when(F.col("lang") == r["lang"], F.lit(min(1.0, 1.5 * TRAIN_PER_LANGUAGE / r["n"]))).otherwise(keep)
     drawn = F.xxhash64("doc_id")
-    rows = able.where(F.pmod(drawn, F.lit(1_000_003)) < keep * 1_000_003).select("text", "lang", drawn.alias("h")).collect()  # about 600 texts a language
-    rows.sort(key=lambda r: (r["lang"], r["h"], r["text"]))
-    out, taken = [], {}
-    for r in rows:
-        taken[r["lang"]] = taken.get(r["lang"], 0) + 1
-        if taken[r["lang"]] <= TRAIN_PER_LANGUAGE:
-            out.append((r["text"], r["lang"]))
-    return out
-
-
-def identify(docs: DataFrame, model: Model) -> DataFrame:
-    """``docs`` with a struct column ``_language`` (lang_pred, score) for every whole text; all columns stay."""
-    sent = docs.sparkSession.sparkContext.broadcast(model)
+    some = able.where(F.pmod(drawn, F.lit(1_000_003)) < keep * 1_000_003).select("text", "lang", drawn.alias("h"))  # about 600 rows a language
+    first = Window.partitionBy("lang").orderBy("h", "text")  # the limit is taken on each partition before the exchange
+    rows = some.withColumn("r", F.row_number().over(first)).where(F.col("r") <= TRAIN_PER_LANGUAGE).collect()
+    return [(r["text"], r["lang"]) for r in sorted(rows, key=lambda r: (r["lang"], r["r"]))]
 
 
+def identify(docs: DataFrame, model: Model, out: str = "_language") -> DataFrame:
+    """``docs`` with a struct column ``out`` (lang_pred, score) for every whole text; all other columns stay."""
+    sent = docs.sparkSession.sparkContext.broadcast(model)
+
     @F.pandas_udf("lang_pred string, score double")
     def predict(s: pd.Series) -> pd.DataFrame:
         lang, score = sent.value.predict([t if isinstance(t, str) else None for t in s])
         return pd.DataFrame({"lang_pred": lang, "score": score})
 
-    return docs.withColumn("_language", predict("text"))
+    return docs.withColumn(out, predict("text"))
 
 
 def predict_documents(docs: DataFrame) -> DataFrame:
@@ -148,6 +148,10 @@ def predict_documents(docs: DataFrame) -> DataFrame:
 
 
 def keep_identified(docs: DataFrame, least: float = 0.3) -> DataFrame:
-    """The documents whose language is determined with a score of at least ``least``; columns as they are."""
-    model = fit(training_rows(docs))
-    return identify(docs, model).where((F.col("_language.lang_pred") != UNDETERMINED) & (F.col("_language.score") >= least)).drop("_language")
+    """The documents whose language is determined with a score of at least ``least``; columns as they are, whatever their names.
+
+    Null texts and texts without a letter go; empty table: empty result.
+    """
+    out = fresh(docs, "_language")
+    found = identify(docs, fit(training_rows(docs)), out)
+    return found.where((F.col(f"{out}.lang_pred") != UNDETERMINED) & (F.col(f"{out}.score") >= least)).drop(out)

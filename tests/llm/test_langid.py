@@ -53,3 +53,17 @@ def test_stage_keeps_clean_documents(spark, odd_docs):
     kept = langid.keep_identified(docs)
     assert kept.columns == docs.columns and kept.count() == docs.count()
     assert {r["text"] for r in langid.keep_identified(odd_docs).select("text").collect()} & {None, "", "!!! $$$ 123"} == set()
+
+
+def test_training_rows_are_bounded(spark, monkeypatch):
+    monkeypatch.setattr(langid, "TRAIN_PER_LANGUAGE", 5)
+    docs = spark.range(400).selectExpr("7 AS doc_id", "concat('text ', id) AS text", "'en' AS lang")  # one doc_id has all rows
+    assert len(langid.training_rows(docs)) in (0, 5)
+    docs = spark.range(400).selectExpr("id AS doc_id", "concat('text ', id) AS text", "if(id % 2 = 0, 'en', 'de') AS lang")
+    rows = langid.training_rows(docs)
+    assert 0 < len(rows) <= 10 and rows == langid.training_rows(docs.repartition(7))
+
+
+def test_stage_keeps_columns_of_its_own_names(spark):
+    docs = spark.sql("SELECT 1L AS doc_id, 'ein kurzer Text' AS text, 'de' AS lang, 'a' AS _language, 'b' AS _LANGUAGE_")
+    assert langid.keep_identified(docs).collect() == docs.collect()
