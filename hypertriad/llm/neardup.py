@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Stored, row_uid
+from .common import Stored, fresh, row_uid
 from .components import components
 
 WORDS = 5
@@ -420,7 +420,8 @@ def keep_one(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     Rows with the same doc_id and text are copies, of which one stays.  A null text is a class of its own.
     """
     first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "digest")).alias("r")
-    kept = _placed(docs, threshold).groupBy("comp").agg(first).select(F.col("r.doc_id").alias("_kd"), F.col("r.digest").alias("_kg")).distinct()
-    marked = docs.withColumn("_g", F.md5("text"))
-    chosen = marked.join(kept, F.col("doc_id").cast("long").eqNullSafe(F.col("_kd")) & F.col("_g").eqNullSafe(F.col("_kg")), "left_semi")
-    return chosen.dropDuplicates(["doc_id", "_g"]).select(*docs.columns)
+    kept = _placed(docs, threshold).groupBy("comp").agg(first).select("r.doc_id", "r.digest").distinct()
+    digest = fresh(docs, "_digest")
+    marked = docs.withColumn(digest, F.md5("text"))
+    chosen = marked.join(kept, marked["doc_id"].cast("long").eqNullSafe(kept["doc_id"]) & marked[digest].eqNullSafe(kept["digest"]), "left_semi")
+    return chosen.dropDuplicates(["doc_id", digest]).drop(digest)

@@ -21,6 +21,8 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import fresh
+
 BASE = ("email", "ip", "card", "phone")
 KINDS = ("outside", *BASE, "secret", "national_id")
 MAX_TOKENS = 12
@@ -427,5 +429,6 @@ def redact(docs: DataFrame, field: Field | None = None) -> DataFrame:
 
     Null texts and texts without personal data are as they were.
     """
-    done = _apply(docs, "t string", lambda t, f: (redacted(t, find(t, f)[1]),), field, "_clean").withColumn("text", F.col("_clean.t")).drop("_clean")
+    out = fresh(docs, "_clean")
+    done = _apply(docs, "t string", lambda t, f: (redacted(t, find(t, f)[1]),), field, out).withColumn("text", F.col(f"{out}.t")).drop(out)
     return done.withColumn("n_chars", F.coalesce(F.length("text").cast("long"), F.col("n_chars"))) if "n_chars" in docs.columns else done

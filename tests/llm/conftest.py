@@ -6,9 +6,9 @@ EDGE_TEXTS = [None, "", " ", "\n\n", "a", "One two three four five six.", "One t
 @pytest.fixture(scope="session")
 def odd_docs(spark):
     """Nulls, empty, very long and repeated texts, repeated rows, null ids, and extra columns with likely names."""
-    rows = [(k, t, None if k % 3 else "en", None if k % 2 else "s", None, "u", 1, 2.0) for k, t in enumerate(EDGE_TEXTS)]
-    rows += [rows[5], (None, "One two three four five six.", "en", "s", 3, "u", 1, 2.0), (None, None, None, None, None, None, None, None)]
-    return spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long, uid string, size int, score double").cache()
+    rows = [(k, t, None if k % 3 else "en", None if k % 2 else "s", None, "u", 1, 2.0, "x", "y", "z") for k, t in enumerate(EDGE_TEXTS)]
+    rows += [rows[5], (None, "One two three four five six.", "en", "s", 3, "u", 1, 2.0, "x", "y", "z"), (None,) * 11]
+    return spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long, uid string, size int, score double, _language string, _clean string, _Digest string").cache()
 
 
 @pytest.fixture(scope="session")
