@@ -24,7 +24,8 @@ Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 
-#: Builders whose exact counts are compared everywhere; order_parts is induced to a fifth of its edges first.
+#: Builders whose exact counts are compared everywhere; order_parts is counted whole too, but without SQL.
+#: Queries named _fifth, and describe_nested_customers, run on an induced fifth of the edges; each has one beside it on all.
 EXACT = ("user_day_types", "order_suppliers", "purchase_hour_users", "doc_lines", "labelled_doc_lines", "benchmark_passages", "day_customers", "user_keys", "vector_top_dims", "page_links", "conv_tokens", "asof_clickers", "bucket_users", "user_day_keys", "customer_nations", "customer_brands")
 FIFTH = 200_000
 SIGMA = 0.2
@@ -75,10 +76,12 @@ add("dictionary_doc_lines", lambda s, d: dictionary_encode(BUILDERS["doc_lines"]
 
 for b in EXACT:
     add(f"counts_all_{b}", lambda s, d, b=b: triads(graph(s, d, b), mode="count"), O.counts_sql(b))
+add("counts_all_order_parts", lambda s, d: triads(graph(s, d, "order_parts"), mode="count"))
 add("counts_all_order_parts_fifth", lambda s, d: triads(graph(s, d, "order_parts", SIGMA), mode="count"), O.counts_sql("order_parts", sigma=FIFTH))
 for f in ("ccc", "tcc", "ttc", "ttt", "core", "coreless"):
     request = f if f.startswith("core") else f.upper()
     add(f"counts_{f}_purchase_hour_users", lambda s, d, r=request: triads(graph(s, d, "purchase_hour_users"), r, "count"), O.counts_sql("purchase_hour_users", O.request_patterns(f)))
+    add(f"counts_{f}_customer_nations", lambda s, d, r=request: triads(graph(s, d, "customer_nations"), r, "count"), O.counts_sql("customer_nations", O.request_patterns(f)))
     add(f"counts_{f}_customer_nations_fifth", lambda s, d, r=request: triads(graph(s, d, "customer_nations", SIGMA), r, "count"), O.counts_sql("customer_nations", O.request_patterns(f), FIFTH))
 for p in PATTERN_TABLE:
     add(f"enumerate_p{p}_user_day_types", lambda s, d, p=p: triads(graph(s, d, "user_day_types"), p), O.enumerate_sql("user_day_types", (p,)))
@@ -87,6 +90,7 @@ for k in ("vertex", "grouped"):
     add(f"core_{k}_purchase_hour_users", lambda s, d, k=k: triads(graph(s, d, "purchase_hour_users"), "core", core_strategy=k), O.enumerate_sql("purchase_hour_users", O.request_patterns("core")))
 add("degree_led_purchase_hour_users", lambda s, d: triads(graph(s, d, "purchase_hour_users"), "TTT", lead="degree"), O.enumerate_sql("purchase_hour_users", O.request_patterns("ttt")))
 add("parallel_counts_order_suppliers", lambda s, d: triads(graph(s, d, "order_suppliers"), mode="count", parallelism=16), O.counts_sql("order_suppliers"))
+add("unified_counts_customer_nations", lambda s, d: measures.pattern_counts(families.unified_triads(linked(graph(s, d, "customer_nations")))), O.counts_sql("customer_nations"))
 add("unified_counts_customer_nations_fifth", lambda s, d: measures.pattern_counts(families.unified_triads(linked(graph(s, d, "customer_nations", SIGMA)))), O.counts_sql("customer_nations", sigma=FIFTH))
 
 # --- the exhaustive baseline ----------------------------------------------------------------------------------------
@@ -214,6 +218,9 @@ for name, lists in (("coauthors", COAUTHORS), ("mail_hub", MAIL_HUB)):
     O.BUILDER_SQL[name] = "SELECT * FROM (VALUES " + ", ".join(f"({k}, {v})" for k, m in enumerate(lists, 1) for v in m) + ") t(e, v)"
     add(f"case_{name}", literal(lists), O.enumerate_sql(name, tuple(PATTERN_TABLE)))
 _HUBS = "SELECT e, count(*) AS cnt FROM (SELECT CASE greatest(ni, nj, nk) WHEN ni THEN i WHEN nj THEN j ELSE k END AS e FROM tri WHERE pattern = 5) GROUP BY e ORDER BY cnt DESC, e LIMIT 10"
+add("hub_edges_p5_customer_nations", lambda s, d: measures.hub_edges(triads(graph(s, d, "customer_nations"), 5), 10), O.triads_sql("customer_nations", _HUBS))
+add("hub_value_customer_nations", lambda s, d: R.hub_value(measures.hub_edges(triads(graph(s, d, "customer_nations"), 5), 10), read_table(s, d, "orders")).withColumn("value", F.col("value").cast("string")), O.triads_sql("customer_nations", f"SELECT h.e, h.cnt, CAST(CAST(sum(CAST(o_totalprice AS DECIMAL(18,2))) AS DECIMAL(18,2)) AS VARCHAR) AS value FROM ({_HUBS}) h LEFT JOIN orders ON o_custkey = h.e GROUP BY h.e, h.cnt"))
+add("describe_nested_customers_all", lambda s, d: R.describe_triads(triads(graph(s, d, "customer_nations"), 4), read_table(s, d, "customer").select(F.col("c_custkey").alias("e"), F.col("c_name").alias("name"))).select("i", "j", "k", "name_i", "name_j", "name_k"), O.triads_sql("customer_nations", "SELECT i, j, k, a.c_name AS name_i, b.c_name AS name_j, c.c_name AS name_k FROM tri LEFT JOIN customer a ON a.c_custkey = i LEFT JOIN customer b ON b.c_custkey = j LEFT JOIN customer c ON c.c_custkey = k WHERE pattern = 4"))
 add("hub_edges_p5_customer_nations_fifth", lambda s, d: measures.hub_edges(triads(graph(s, d, "customer_nations", SIGMA), 5), 10), O.triads_sql("customer_nations", _HUBS, FIFTH))
 add("hub_value_customer_nations_fifth", lambda s, d: R.hub_value(measures.hub_edges(triads(graph(s, d, "customer_nations", SIGMA), 5), 10), read_table(s, d, "orders")).withColumn("value", F.col("value").cast("string")), O.triads_sql("customer_nations", f"SELECT h.e, h.cnt, CAST(CAST(sum(CAST(o_totalprice AS DECIMAL(18,2))) AS DECIMAL(18,2)) AS VARCHAR) AS value FROM ({_HUBS}) h LEFT JOIN orders ON o_custkey = h.e GROUP BY h.e, h.cnt", FIFTH))
 add("describe_nested_customers", lambda s, d: R.describe_triads(triads(graph(s, d, "customer_nations", SIGMA), 4), read_table(s, d, "customer").select(F.col("c_custkey").alias("e"), F.col("c_name").alias("name"))).select("i", "j", "k", "name_i", "name_j", "name_k"), O.triads_sql("customer_nations", "SELECT i, j, k, a.c_name AS name_i, b.c_name AS name_j, c.c_name AS name_k FROM tri LEFT JOIN customer a ON a.c_custkey = i LEFT JOIN customer b ON b.c_custkey = j LEFT JOIN customer c ON c.c_custkey = k WHERE pattern = 4", FIFTH))
@@ -248,12 +255,13 @@ add("profile_matrix_lang", lambda s, d: R.profile_matrix(_by_lang(s, d)), _lang_
 add("profile_unpivot_lang", lambda s, d: R.unpivoted(R.profile_matrix(_by_lang(s, d))), _lang_sql("SELECT slice, pattern, cnt FROM sliced"))
 
 
-def _distance(s: SparkSession, d: str) -> DataFrame:
-    a, b = counted(s, d, "customer_nations", SIGMA)[2], counted(s, d, "customer_brands", SIGMA)[2]
+def _distance(s: SparkSession, d: str, sigma: float | None = None) -> DataFrame:
+    a, b = counted(s, d, "customer_nations", sigma)[2], counted(s, d, "customer_brands", sigma)[2]
     return measures.profile_distance(a, b).select(F.round("l1", 9).alias("l1"), F.round("cosine", 9).alias("cosine"))
 
 
-add("profile_distance_customers_fifth", _distance, f"WITH a AS ({O.counts_sql('customer_nations', sigma=FIFTH)}), b AS ({O.counts_sql('customer_brands', sigma=FIFTH)}), x AS (SELECT a.cnt / (SELECT CAST(sum(cnt) AS DOUBLE) FROM a) AS p, b.cnt / (SELECT CAST(sum(cnt) AS DOUBLE) FROM b) AS q FROM a JOIN b USING (pattern)) SELECT round(sum(abs(p - q)), 9) AS l1, round(sum(p * q) / sqrt(sum(p * p) * sum(q * q)), 9) AS cosine FROM x")
+add("profile_distance_customers", _distance, f"WITH a AS ({O.counts_sql('customer_nations')}), b AS ({O.counts_sql('customer_brands')}), x AS (SELECT a.cnt / (SELECT CAST(sum(cnt) AS DOUBLE) FROM a) AS p, b.cnt / (SELECT CAST(sum(cnt) AS DOUBLE) FROM b) AS q FROM a JOIN b USING (pattern)) SELECT round(sum(abs(p - q)), 9) AS l1, round(sum(p * q) / sqrt(sum(p * p) * sum(q * q)), 9) AS cosine FROM x")
+add("profile_distance_customers_fifth", lambda s, d: _distance(s, d, SIGMA), f"WITH a AS ({O.counts_sql('customer_nations', sigma=FIFTH)}), b AS ({O.counts_sql('customer_brands', sigma=FIFTH)}), x AS (SELECT a.cnt / (SELECT CAST(sum(cnt) AS DOUBLE) FROM a) AS p, b.cnt / (SELECT CAST(sum(cnt) AS DOUBLE) FROM b) AS q FROM a JOIN b USING (pattern)) SELECT round(sum(abs(p - q)), 9) AS l1, round(sum(p * q) / sqrt(sum(p * p) * sum(q * q)), 9) AS cosine FROM x")
 add("edge_ranks_order_suppliers", lambda s, d: measures.edge_ranks(measures.triads_per_edge(triads(graph(s, d, "order_suppliers")))).withColumn("share", F.round("share", 9)), O.triads_sql("order_suppliers", "SELECT e, pattern, cnt, rank() OVER w AS rnk, dense_rank() OVER w AS dense, row_number() OVER (PARTITION BY pattern ORDER BY cnt DESC, e) AS pos, round(percent_rank() OVER w, 9) AS share FROM (SELECT e, pattern, count(*) AS cnt FROM (SELECT unnest([i, j, k]) AS e, pattern FROM tri) GROUP BY e, pattern) WINDOW w AS (PARTITION BY pattern ORDER BY cnt DESC)"))
 
 
