@@ -17,7 +17,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Stored
+from .common import Stored, row_uid
 
 #: Vectors the graph and the network are fitted on, at most.
 SAMPLE = 8_000
@@ -152,7 +152,8 @@ def usable(vectors: DataFrame) -> DataFrame:
 def search(vectors: DataFrame, k: int = 10, every: int = 100) -> DataFrame:
     """query_id, rank, vec_id and score of the k nearest rows found for each query (vec_id divisible by ``every``).
 
-    Repeated vec_ids are repeated candidates; rows with the query's own vec_id are none.  Ties go to the smaller vec_id.
+    Repeated vec_ids are repeated candidates; rows with the query's own vec_id are none.  Equal query rows are one query;
+    a query's vec_id with several vectors is as many queries, each with ranks of its own.  Ties go to the smaller vec_id.
     Fewer than k candidates in all: all are returned.  Empty table: empty result.
     """
     spark = vectors.sparkSession
@@ -172,7 +173,8 @@ def search(vectors: DataFrame, k: int = 10, every: int = 100) -> DataFrame:
     size = F.create_map(*[F.lit(v) for p in range(net.b2.shape[0]) for v in (p, counts.get(p, 0))])
     # a query's parts: the routed number, and on until they hold more than k rows besides its own
     ahead = F.aggregate(F.slice("parts", 1, F.col("i")), F.lit(0).cast("long"), lambda s, p: s + F.element_at(size, p).cast("long"))
-    wanted = placed.where("parts is not null").select("vec_id", "x", F.posexplode("parts").alias("i", "part"), "parts").where((F.col("i") < net.probes) | (ahead <= 3 * k)).select(F.col("vec_id").alias("query_id"), F.col("x").alias("q"), "part")
+    asking = store.put(placed.where("parts is not null").select("vec_id", "x", "parts").dropDuplicates(["vec_id", "x"]).withColumn("uid", row_uid()))
+    wanted = asking.select("uid", "vec_id", "x", F.posexplode("parts").alias("i", "part"), "parts").where((F.col("i") < net.probes) | (ahead <= 3 * k)).select("uid", F.col("vec_id").alias("query_id"), F.col("x").alias("q"), "part")
     asked = {r["part"]: r["n"] for r in wanted.groupBy("part").agg(F.count(F.lit(1)).alias("n")).collect()}  # MOST_PARTS rows at most
 
     def cut(sizes: dict[int, int], rows: int) -> Column:
@@ -181,22 +183,22 @@ def search(vectors: DataFrame, k: int = 10, every: int = 100) -> DataFrame:
     blocks, query_blocks = cut(counts, BLOCK_ROWS), cut(asked, QUERY_ROWS)
     every_block = lambda n: F.explode(F.sequence(F.lit(0), n - 1))
     base = placed.select("vec_id", "x", "part", F.pmod(F.xxhash64("vec_id"), blocks).cast("int").alias("block"), every_block(query_blocks).alias("query_block"))
-    queries = wanted.select("query_id", "q", "part", F.pmod(F.xxhash64("query_id"), query_blocks).cast("int").alias("query_block"), every_block(blocks).alias("block"))
+    queries = wanted.select("uid", "query_id", "q", "part", F.pmod(F.xxhash64("uid"), query_blocks).cast("int").alias("query_block"), every_block(blocks).alias("block"))
 
     def nearest(q: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
         out = []
         if len(q) and len(b):
             ids, x = b.vec_id.to_numpy(), np.stack(b.x.to_list())
-            for qid, v in zip(q.query_id, q.q):
+            for uid, qid, v in zip(q.uid, q.query_id, q.q):
                 d = np.sqrt(((x - v) ** 2).sum(axis=1))
                 d[ids == qid] = np.inf
                 best = np.lexsort((ids, d))[:k] if len(d) <= 4 * k else _least(ids, d, k)
                 best = best[np.isfinite(d[best])]
-                out.append(pd.DataFrame({"query_id": qid, "vec_id": ids[best], "score": d[best]}))
-        return pd.concat(out) if out else pd.DataFrame({"query_id": [], "vec_id": [], "score": []}).astype({"query_id": "int64", "vec_id": "int64"})
+                out.append(pd.DataFrame({"uid": uid, "query_id": qid, "vec_id": ids[best], "score": d[best]}))
+        return pd.concat(out) if out else pd.DataFrame({"uid": [], "query_id": [], "vec_id": [], "score": []}).astype({"uid": "int64", "query_id": "int64", "vec_id": "int64"})
 
-    found = queries.groupBy("part", "block", "query_block").cogroup(base.groupBy("part", "block", "query_block")).applyInPandas(nearest, "query_id long, vec_id long, score double")
-    order = Window.partitionBy("query_id").orderBy("score", "vec_id")  # k rows from each block of a query's parts
+    found = queries.groupBy("part", "block", "query_block").cogroup(base.groupBy("part", "block", "query_block")).applyInPandas(nearest, "uid long, query_id long, vec_id long, score double")
+    order = Window.partitionBy("uid").orderBy("score", "vec_id")  # k rows from each block of a query's parts
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 

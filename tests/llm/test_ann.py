@@ -67,3 +67,12 @@ def test_blocks_of_rows_and_queries_do_not_change_results(spark, monkeypatch):
     monkeypatch.setattr(ann, "BLOCK_ROWS", 20)
     monkeypatch.setattr(ann, "QUERY_ROWS", 7)
     assert sorted(ann.search(df, every=3).collect()) == want
+
+
+def test_repeated_query_rows(spark):
+    rows = [(i, [float(i), 1.0]) for i in range(1, 40)] + [(100, [0.0, 1.0])] * 10 + [(200, [0.0, 1.0]), (200, [41.0, 1.0])]
+    got = {}
+    for r in ann.search(spark.createDataFrame(rows, "vec_id long, embedding array<float>"), k=15).collect():
+        got.setdefault(r["query_id"], []).append((r["rank"], r["vec_id"], r["score"]))
+    assert sorted(got[100]) == [(1, 200, 0.0)] + [(k + 1, k, float(k)) for k in range(1, 15)]
+    assert sorted(got[200]) == sorted([(k + 1, 100, 0.0) for k in range(10)] + [(k + 10, k, float(k)) for k in range(1, 6)] + [(k, 40 - k, float(k + 1)) for k in range(1, 16)])
