@@ -1,14 +1,17 @@
 """Tool-call linking in conversations, in DataFrame operations only.
 
 Calls and results meet by an equi join on the call's identifier, with the results of an identifier aggregated first, so
-repeated identifiers never multiply.  A conversation's calls are put in message order, which is a topological order of
-every dependency that points to an earlier call; others (missing, on itself, or on a later call) are named in the status.
+repeated identifiers never multiply.  A conversation's calls are put in topological order of their dependencies, and in
+message order where these leave a choice: only calls between one and a later (or equal) turn it depends on are sorted in
+rounds, the others stand in order already.  Missing dependencies and cycles are named in the status.
 Numbers come from a range partitioning with counts carried over, so one conversation may be any part of the table.
 Arguments are parsed to variants: their keys are sorted and their JSON is compact, which makes the canonical form.
 """
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -64,25 +67,88 @@ def ordered_positions(df: DataFrame, key: str, order: list[str], out: str, store
     return ranked.join(offsets, (F.col(key).eqNullSafe(F.col("_k"))) & (F.col("_pid") == F.col("_q"))).withColumn(out, F.col("_off") + F.col("_r") - 1).drop("_k", "_q", "_off", "_r", "_pid")
 
 
+def _tangled(keep: DataFrame, edges: DataFrame, store: Stored, rows: int) -> DataFrame:
+    """The rows of ``keep`` between a call and one of no earlier turn that it depends on: a running maximum of how far
+    the calls up to a turn reach, carried over the parts of a range partitioning."""
+    back = edges.where("_d_at >= _at").groupBy("_uid").agg(F.max("_d_at").alias("_reach"))
+    laid = store.put(keep.join(back, "_uid", "left").repartitionByRange(max(8, -(-rows // ROWS_PER_PART)), "conv_id", "_at").withColumn("_pid", F.spark_partition_id()))
+    before = Window.partitionBy("conv_id").orderBy("_pid").rowsBetween(Window.unboundedPreceding, -1)
+    carried = laid.groupBy("conv_id", "_pid").agg(F.max("_reach").alias("_n")).select(F.col("conv_id").alias("_k"), F.col("_pid").alias("_q"), F.max("_n").over(before).alias("_carried"))
+    inside = Window.partitionBy("conv_id", "_pid").orderBy("_at").rangeBetween(Window.unboundedPreceding, Window.currentRow)
+    met = laid.withColumn("_in", F.max("_reach").over(inside)).join(carried, F.col("conv_id").eqNullSafe(F.col("_k")) & (F.col("_pid") == F.col("_q")))
+    return store.put(met.where(F.greatest("_in", "_carried") >= F.col("_at")).select("_uid", "conv_id", "call_id", "_at"))
+
+
+def _same_call(conv: str, call: str) -> Column:
+    return F.col("conv_id").eqNullSafe(F.col(conv)) & (F.col("_dep") == F.col(call))
+
+
+def _sorted_in_rounds(keep: DataFrame, edges: DataFrame, store: Stored, rows: int) -> tuple[DataFrame, DataFrame]:
+    """(_uid, _t, _level) of the calls that a topological sort of the tangled ones places, _t being the turn after which
+    they can stand, and (_uid) of those on a cycle.  A round places what waits for placed calls only, so there are as many
+    rounds as the longest chain inside a tangle is long."""
+    left = _tangled(keep, edges, store, rows)
+    asked = store.put(edges.where("_d_at is not null").join(left.select("_uid"), "_uid", "left_semi").select("_uid", "conv_id", "_dep"))
+    free = keep.where("call_id is not null").join(left.select("_uid"), "_uid", "left_anti")
+    known = store.put(free.groupBy(F.col("conv_id").alias("_c"), F.col("call_id").alias("_d")).agg(F.min(F.struct(F.col("_at").alias("t"), F.lit(0).alias("level"))).alias("_key")))
+    placed = []
+    while True:
+        met = asked.join(known, _same_call("_c", "_d"), "left").groupBy("_uid").agg(F.max("_key").alias("_last"), F.max(F.col("_key").isNull()).alias("_waits"))
+        late = F.coalesce(F.col("_last.t") >= F.col("_at"), F.lit(False))
+        ready = left.join(met, "_uid", "left").where(~F.coalesce("_waits", F.lit(False)))
+        now = store.put(ready.select("_uid", "conv_id", "call_id", F.when(late, F.col("_last.t")).otherwise(F.col("_at")).alias("_t"), F.when(late, F.col("_last.level") + 1).otherwise(0).alias("_level")))
+        if now.isEmpty():
+            break
+        placed.append(now.select("_uid", "_t", "_level"))
+        left = store.put(left.join(now.select("_uid"), "_uid", "left_anti"))
+        asked = store.put(asked.join(left.select("_uid"), "_uid", "left_semi"))
+        fresh = now.where("call_id is not null").select(F.col("conv_id").alias("_c"), F.col("call_id").alias("_d"), F.struct(F.col("_t").alias("t"), F.col("_level").alias("level")).alias("_key"))
+        known = store.put(known.unionByName(fresh).groupBy("_c", "_d").agg(F.min("_key").alias("_key")))
+    cyclic, n = left, left.count()
+    while n:  # calls that nothing left waits for are on no cycle
+        needed = asked.join(cyclic.select("_uid"), "_uid", "left_semi").select(F.col("conv_id").alias("_c"), "_dep").distinct()
+        cyclic = store.put(cyclic.join(needed, F.col("conv_id").eqNullSafe(F.col("_c")) & (F.col("call_id") == F.col("_dep")), "left_semi"))
+        if (m := cyclic.count()) == n:
+            break
+        n = m
+    none = keep.where("false").select("_uid", F.col("_at").alias("_t"), F.lit(0).alias("_level"))
+    return reduce(DataFrame.unionByName, placed, none), cyclic.select("_uid")
+
+
+def in_order(calls: DataFrame, store: Stored, rows: int) -> DataFrame:
+    """Stored calls with a _uid, with their ``position`` in the conversation and ``_bad``: a dependency is missing in
+    the conversation, or on a cycle with the call, or waits for a cycle and has no earlier place."""
+    keep = calls.withColumn("_at", F.coalesce("turn", F.lit(-(2**63))))
+    known = keep.groupBy(F.col("conv_id").alias("_c"), F.col("call_id").alias("_d")).agg(F.min("_at").alias("_d_at"))
+    edges = store.put(keep.select("_uid", "conv_id", "_at", F.explode("after").alias("_dep")).join(known, _same_call("_c", "_d"), "left").drop("_c", "_d"))
+    if edges.where("_d_at >= _at").isEmpty():
+        bad = edges.groupBy("_uid").agg(F.max(F.col("_d_at").isNull()).alias("_bad"))
+        return ordered_positions(calls, "conv_id", ["turn", "_uid"], "position", store, rows).join(bad, "_uid", "left")
+    placed, cyclic = _sorted_in_rounds(keep, edges, store, rows)
+    at = store.put(keep.join(placed, "_uid", "left").withColumns({"_t": F.coalesce("_t", "_at"), "_level": F.coalesce("_level", F.lit(0))}).drop("_at"))
+    key = F.struct("_t", "_level")
+    first = at.groupBy(F.col("conv_id").alias("_c"), F.col("call_id").alias("_d")).agg(F.min(key).alias("_key"))
+    own = edges.select("_uid", "conv_id", "_dep").join(at.select("_uid", key.alias("_own")), "_uid")
+    late = own.join(first, _same_call("_c", "_d"), "left").select("_uid", F.coalesce(F.col("_key") >= F.col("_own"), F.lit(True)).alias("_bad"))
+    bad = late.unionByName(cyclic.withColumn("_bad", F.lit(True))).groupBy("_uid").agg(F.max("_bad").alias("_bad"))
+    return ordered_positions(at, "conv_id", ["_t", "_level", "turn", "_uid"], "position", store, rows).join(bad, "_uid", "left").drop("_t", "_level")
+
+
 def link(calls: DataFrame, results: DataFrame, schemas: dict[str, dict[str, tuple[str, bool, int]]] = SCHEMAS) -> DataFrame:
     """Calls with their results, in order, checked and serialised.
 
     calls: conv_id long, turn long, call_id string, name string, arguments string (JSON), after array<string> (call_ids
     it depends on).  results: call_id string, content string.  Other columns are not read.
     Returns for each call row: conv_id, position (from 0 in its conversation), call_id, name, n_results (results with its
-    identifier), valid, status (``linked``, ``unanswered``, or ``bad_dependency`` if one is missing or not earlier) and
-    record, the canonical JSON.  A call with several results takes the least content.  Results of no call are given as
+    identifier), valid, status (``linked``, ``unanswered``, or ``bad_dependency`` if one is missing in the conversation or
+    on a cycle) and record, the canonical JSON.  A call with several results takes the least content.  Results of no call are given as
     rows with null position and name and status ``orphan``, one for each identifier.  Null identifiers link to nothing.
     """
     store = Stored(calls.sparkSession)
     keep = store.put(calls.select("conv_id", "turn", "call_id", "name", "arguments", "after").withColumn("_uid", row_uid()))
     rows = keep.count()
     answered = results.groupBy("call_id").agg(F.count(F.lit(1)).alias("n_results"), F.min("content").alias("content"))
-    known = keep.groupBy(F.col("call_id").alias("_dep")).agg(F.min("turn").alias("_at"), F.min("conv_id").alias("_c"))
-    waits = keep.select("_uid", "conv_id", "turn", F.explode("after").alias("_dep"))
-    bad = waits.join(known, "_dep", "left").groupBy("_uid").agg(F.max(F.coalesce(~((F.col("_at") < F.col("turn")) & F.col("_c").eqNullSafe(F.col("conv_id"))), F.lit(True))).alias("_bad"))
-    placed = ordered_positions(keep, "conv_id", ["turn", "_uid"], "position", store, rows)
-    joined = placed.join(bad, "_uid", "left").join(answered, "call_id", "full")
+    joined = in_order(keep, store, rows).join(answered, "call_id", "full")
     is_call = F.col("_uid").isNotNull()
     n = F.coalesce("n_results", F.lit(0)).cast("long")
     fits = valid(F.col("name"), F.col("arguments"), schemas)

@@ -61,3 +61,30 @@ def test_long_conversation(spark):
     df = spark.range(120_000).select(F.lit(1).alias("conv_id"), "id", F.when(F.col("id") % 2 == 0, "user").otherwise("assistant").alias("role"), F.lit("t").alias("text")).withColumnRenamed("id", "turn")
     got = chat.link_conversations(df)
     assert got.where("position * 2 = split(call_id, ':')[1] AND status = 'linked'").count() == 60_000
+
+
+def test_topological_order(spark):
+    calls = [
+        (1, 1, "p", ["q"]), (1, 1, "q", ["r"]), (1, 1, "r", []), (1, 2, "s", ["u"]), (1, 3, "t", ["s"]), (1, 4, "u", ["r"]), (1, 5, "v", ["t", "u"]),  # parallel calls, and one of a later turn
+        (2, 1, "p", []), (2, 3, "q", ["p"]), (2, 4, "w", ["v"]),  # identifiers reused; v is another conversation's
+        (3, 1, "a", ["b"]), (3, 2, "b", ["a"]), (3, 3, "c", ["b"]), (3, 4, "d", []), (None, 1, "n", ["o"]), (None, 2, "o", []),  # a cycle, and one after it
+    ]
+    rows = [(c, t, i, "add", "{}", a) for c, t, i, a in calls]
+    got = chat.link(spark.createDataFrame(rows, CALLS).repartition(5), spark.createDataFrame([], "call_id string, content string"), SCHEMAS).collect()
+    order = lambda c: "".join(r["call_id"] for r in sorted((r for r in got if r["conv_id"] == c), key=lambda r: r["position"]))
+    assert (order(1), order(2), order(3), order(None)) == ("rqpustv", "pqw", "abcd", "on")
+    assert sorted((r["conv_id"], r["call_id"]) for r in got if r["status"] == "bad_dependency") == [(2, "w"), (3, "a"), (3, "b")]
+
+
+def test_random_dependencies_are_sorted(spark):
+    import random
+
+    r = random.Random(3)
+    rows = []
+    for c in range(30):
+        rank = r.sample(range(12), 12)
+        rows += [(c, r.randrange(6), f"{k}", "add", "{}", [f"{d}" for d in range(12) if rank[d] < rank[k] and r.random() < 0.25]) for k in range(12)]
+    got = chat.link(spark.createDataFrame(rows, CALLS), spark.createDataFrame([], "call_id string, content string"), SCHEMAS).collect()
+    at = {(x["conv_id"], x["call_id"]): x["position"] for x in got}
+    assert len(at) == len(rows) and {x["status"] for x in got} == {"unanswered"}
+    assert all(at[c, d] < at[c, k] for c, _, k, _, _, after in rows for d in after)
