@@ -12,10 +12,10 @@ from .. import oracles as O
 from ..functions import relational as R
 from ..functions import udfs
 from ..functions.patterns import PATTERN_TABLE, family_of, register_sql
-from ..model import Hypergraph, dictionary_encode, summary, vertex_degrees
+from ..model import Hypergraph, canonicalize, dictionary_encode, summary, vertex_degrees
 from ..operators import baseline, families, measures, sampling
 from ..operators.links import bruteforce_links, build_links, links_at_least, project
-from ..sources.builders import BUILDERS, hypergraph, read_table
+from ..sources.builders import BUILDERS, hypergraph, lines_of_lang, read_table
 from ..sources.files import from_lists
 from ..stages import stage
 from .planner import triads
@@ -240,8 +240,13 @@ def _named(df: DataFrame) -> DataFrame:
 
 
 def _by_lang(s: SparkSession, d: str) -> DataFrame:
-    parts = [triads(hypergraph(s, d, "doc_lines", lang=g), mode="count").select(F.lit(g).alias("slice"), "pattern", "cnt") for g in ("de", "en", "es", "fr")]
-    return stage(reduce(DataFrame.unionByName, parts))
+    """Counts of every language of the table, documents of null language being a slice of their own."""
+    langs = [r["lang"] for r in read_table(s, d, "documents").select("lang").distinct().collect()]
+    unknown = "null"
+    while unknown in langs:
+        unknown = f"({unknown})"
+    parts = [stage(triads(canonicalize(lines_of_lang(s, d, g)), mode="count")).select(F.lit(unknown if g is None else g).alias("slice"), "pattern", "cnt") for g in langs]
+    return stage(reduce(DataFrame.unionByName, parts, s.createDataFrame([], "slice string, pattern int, cnt long")))
 
 
 def _lang_sql(body: str) -> str:

@@ -81,6 +81,12 @@ def doc_lines(spark: SparkSession, sf_dir: str, lang: str | None = None) -> Data
     return incidence(lines_of(docs.where(F.col("lang") == lang) if lang else docs, "doc_id", "text"), "doc_id", "line")
 
 
+def lines_of_lang(spark: SparkSession, sf_dir: str, lang: str | None) -> DataFrame:
+    """As doc_lines, of the documents of one language, or of none (null)."""
+    docs = read_table(spark, sf_dir, "documents").where(F.col("lang").eqNullSafe(F.lit(lang)))
+    return incidence(lines_of(docs, "doc_id", "text"), "doc_id", "line")
+
+
 def labelled_doc_lines(spark: SparkSession, sf_dir: str, quality: int = 1) -> DataFrame:
     """As doc_lines, of documents labelled with a quality."""
     labelled = read_table(spark, sf_dir, "labels").where(F.col("quality") == quality)

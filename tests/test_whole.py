@@ -52,3 +52,19 @@ def test_all_orders_are_read(spark, tmp_path):
     found, _ = brute(BUILDERS["order_parts"](spark, str(tmp_path)).collect())
     got = counts(QUERIES["counts_all_order_parts"](spark, str(tmp_path)))
     assert got == {p: len(x) for p, x in found.items()} and sum(got.values()) > 0
+
+
+def test_every_language_is_a_slice(spark, tmp_path):
+    texts = ["a\nb", "b\nc", "a\nb\nc", "c\nd"]
+    rows = [(10 * k + n, x, lang) for k, lang in enumerate(("en", "xx", None)) for n, x in enumerate(texts[: 2 + k])]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    want = {"en": {}}
+    for lang, k in (("xx", 1), ("null", 2)):
+        want[lang] = {p: len(x) for p, x in brute([(e, v) for e, text, _ in rows if e // 10 == k for v in text.split("\n")])[0].items()}
+    got = {}
+    for r in QUERIES["profile_unpivot_lang"](spark, str(tmp_path)).collect():
+        got.setdefault(r["slice"], {}).update({r["pattern"]: r["cnt"]} if r["cnt"] else {})
+    assert got == want and want["xx"] and want["null"]
+    whole = [r["cnt"] for r in QUERIES["counts_cube_lang"](spark, str(tmp_path)).collect() if r["slice"] == r["pattern"] == "all"]
+    assert whole == [sum(sum(x.values()) for x in want.values())]
+    assert {r["slice"] for r in QUERIES["counts_grouping_sets_lang"](spark, str(tmp_path)).collect()} == {"en", "xx", "null", "all"}
