@@ -25,6 +25,8 @@ BUILDER_SQL = {
     "vector_top_dims": "SELECT e, v FROM (SELECT e, v, row_number() OVER (PARTITION BY e ORDER BY x DESC, v) AS r FROM (SELECT vec_id AS e, unnest(embedding) AS x, generate_subscripts(embedding, 1) - 1 AS v FROM embeddings)) WHERE r <= 3",
     "interval_users": "SELECT p.event_id AS e, a.user_id AS v FROM events p JOIN events a ON a.ts <= p.ts AND epoch_us(a.ts) >= epoch_us(p.ts) - 1800000000 WHERE p.event_type = 'purchase'",
     "asof_clickers": "SELECT e, v FROM (SELECT event_type, user_id AS e, last_value(CASE WHEN event_type = 'click' THEN user_id END IGNORE NULLS) OVER (PARTITION BY epoch_us(ts) // 3600000000 ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS v FROM events WHERE event_type IN ('purchase', 'click')) WHERE event_type = 'purchase'",
+    "latest_clickers": "SELECT e, v FROM (SELECT event_type, user_id AS e, last_value(CASE WHEN event_type = 'click' THEN user_id END IGNORE NULLS) OVER (ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS v FROM events WHERE event_type IN ('purchase', 'click') AND ts IS NOT NULL) WHERE event_type = 'purchase'",
+    "rolling_users": "SELECT p.event_id AS e, a.user_id AS v FROM events p JOIN events a ON epoch_us(a.ts) // 1000000 BETWEEN epoch_us(p.ts) // 1000000 - 3600 AND epoch_us(p.ts) // 1000000 WHERE p.event_type = 'purchase' AND a.event_type = 'purchase'",
     "trailing_users": "SELECT p.event_id AS e, a.user_id AS v FROM events p JOIN events a ON CAST(a.ts AS DATE) = CAST(p.ts AS DATE) AND epoch_us(a.ts) // 1000000 BETWEEN epoch_us(p.ts) // 1000000 - 3600 AND epoch_us(p.ts) // 1000000 WHERE p.event_type = 'purchase' AND a.event_type = 'purchase'",
 }
 

@@ -26,7 +26,7 @@ ORACLES: dict[str, str] = {}
 
 #: Builders whose exact counts are compared everywhere; order_parts is counted whole too, but without SQL.
 #: Queries named _fifth, and describe_nested_customers, run on an induced fifth of the edges; each has one beside it on all.
-EXACT = ("user_day_types", "order_suppliers", "purchase_hour_users", "doc_lines", "labelled_doc_lines", "benchmark_passages", "day_customers", "user_keys", "vector_top_dims", "page_links", "conv_tokens", "asof_clickers", "bucket_users", "user_day_keys", "customer_nations", "customer_brands")
+EXACT = ("user_day_types", "order_suppliers", "purchase_hour_users", "doc_lines", "labelled_doc_lines", "benchmark_passages", "day_customers", "user_keys", "vector_top_dims", "page_links", "conv_tokens", "asof_clickers", "latest_clickers", "bucket_users", "user_day_keys", "customer_nations", "customer_brands")
 FIFTH = 200_000
 SIGMA = 0.2
 
@@ -58,9 +58,9 @@ def counted(spark: SparkSession, d: str, builder: str, sigma: float | None = Non
 # --- data and links -------------------------------------------------------------------------------------------------
 
 for b in BUILDERS:
-    if b not in ("interval_users", "trailing_users"):
+    if b not in ("interval_users", "trailing_users", "rolling_users"):
         add(f"dataset_summary_{b}", lambda s, d, b=b: summary(hg := graph(s, d, b), build_links(hg)), O.summary_sql(b))
-for b in ("interval_users", "trailing_users", "asof_clickers"):
+for b in ("interval_users", "trailing_users", "rolling_users", "asof_clickers", "latest_clickers"):
     add(f"edges_{b}", lambda s, d, b=b: graph(s, d, b).edges.select("e", "n", F.concat_ws(",", "members").alias("members")), O.with_(b, "SELECT e, n, array_to_string(m, ',') AS members FROM edges"))
 for strategy in ("join", "blocked", "array"):
     add(f"links_{strategy}_order_suppliers", lambda s, d, t=strategy: build_links(graph(s, d, "order_suppliers"), strategy=t, block=8), O.links_sql("order_suppliers"))
@@ -108,7 +108,7 @@ add("baseline_motifs_order_suppliers", lambda s, d: baseline.baseline_motifs(gra
 
 for b in ("user_day_types", "order_suppliers", "purchase_hour_users", "day_customers"):
     add(f"coefficient_{b}", lambda s, d, b=b: measures.clustering_coefficient(*counted(s, d, b)[1:]).withColumn("coefficient", F.round("coefficient", 9)), O.triads_sql(b, "SELECT closed, open, round(CASE WHEN open <> 0 THEN 3.0 * closed / CAST(open AS DOUBLE) END, 9) AS coefficient FROM open", None, O.OPEN_CTE))
-for b in ("user_day_types", "purchase_hour_users", "doc_lines", "order_suppliers", "page_links", "vector_top_dims", "day_customers", "asof_clickers"):
+for b in ("user_day_types", "purchase_hour_users", "doc_lines", "order_suppliers", "page_links", "vector_top_dims", "day_customers", "asof_clickers", "latest_clickers"):
     add(f"profile_{b}", lambda s, d, b=b: measures.coefficient_profile(*counted(s, d, b)[1:]).withColumns({"coefficient": F.round("coefficient", 9), "share": F.round("share", 9)}), O.triads_sql(b, "SELECT pattern, cnt, round(CASE WHEN open <> 0 THEN 3.0 * cnt / CAST(open AS DOUBLE) END, 9) AS coefficient, round(CASE WHEN closed <> 0 THEN cnt / CAST(closed AS DOUBLE) END, 9) AS share FROM counts, open", None, O.OPEN_CTE))
 _HALF = {p: 0.5 for p in range(9, 21)}
 add("weighted_coefficient_purchase_hour_users", lambda s, d: measures.weighted_coefficient(*counted(s, d, "purchase_hour_users")[1:], _HALF).withColumn("coefficient", F.round("coefficient", 9)), O.triads_sql("purchase_hour_users", "SELECT t.weighted, open, round(CASE WHEN open <> 0 THEN 3 * t.weighted / open END, 9) AS coefficient FROM open, (SELECT CAST(sum(cnt * CASE WHEN pattern >= 9 THEN 0.5 ELSE 1.0 END) AS DOUBLE) AS weighted FROM counts) t", None, O.OPEN_CTE))

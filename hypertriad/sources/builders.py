@@ -126,7 +126,8 @@ def interval_users(spark: SparkSession, sf_dir: str, seconds: int = 1800) -> Dat
 
 
 def asof_clickers(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """As-of join: for every purchase the latest click up to it in the same hour; edge: the buyer, vertices: the clickers."""
+    """As-of join: for every purchase the latest click up to it in the same hour; edge: the buyer, vertices: the clickers.
+    ``latest_clickers`` looks back over all time."""
     ev = read_table(spark, sf_dir, "events").where("event_type IN ('purchase', 'click')").select("event_id", "event_type", "user_id", micros(F.col("ts")).alias("t"), bucket(F.col("ts"), 3600).alias("hour"))
     w = Window.partitionBy("hour").orderBy("t", "event_id").rowsBetween(Window.unboundedPreceding, 0)
     last = F.last(F.when(F.col("event_type") == "click", F.col("user_id")), ignorenulls=True).over(w)
@@ -135,13 +136,37 @@ def asof_clickers(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def trailing_users(spark: SparkSession, sf_dir: str, seconds: int = 3600, event_type: str = "purchase") -> DataFrame:
     """Sliding edges: before every purchase, the users who purchased in the last hour.  The window runs inside a day, so a
-    day and its rows are the unit of work."""
+    day and its rows are the unit of work; ``rolling_users`` also looks back over midnight."""
     ev = read_table(spark, sf_dir, "events").where(F.col("event_type") == event_type).select("event_id", "user_id", F.floor(micros(F.col("ts")) / 1_000_000).alias("t"), F.to_date("ts").alias("day"))
     w = Window.partitionBy("day").orderBy("t").rangeBetween(-seconds, 0)
     return incidence(ev.select("event_id", F.collect_set("user_id").over(w).alias("users")).select("event_id", F.explode("users").alias("v")), "event_id", "v")
 
 
-BUILDERS = {f.__name__: f for f in (bucket_users, user_day_types, user_day_keys, purchase_hour_users, user_keys, customer_nations, customer_brands, order_parts, order_suppliers, day_customers, doc_lines, labelled_doc_lines, benchmark_passages, conv_tokens, page_links, vector_top_dims, interval_users, asof_clickers, trailing_users)}
+def latest_clickers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """As-of join over all time: for every purchase the latest click up to it; edge: the buyer, vertices: the clickers.  A
+    bin's clicks come first, then the last one of earlier bins, carried over by one row for each bin."""
+    ev = read_table(spark, sf_dir, "events").where("event_type = 'purchase' OR (event_type = 'click' AND user_id IS NOT NULL)").where("ts IS NOT NULL")
+    ev = ev.select("event_id", "event_type", "user_id", micros(F.col("ts")).alias("t"), bucket(F.col("ts"), 3600).alias("bin"))
+    click = F.when(F.col("event_type") == "click", F.col("user_id"))
+    w = Window.partitionBy("bin").orderBy("t", "event_id").rowsBetween(Window.unboundedPreceding, 0)
+    before = Window.orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)  # one row for each bin
+    bins = ev.groupBy("bin").agg(F.max_by(click, F.when(click.isNotNull(), F.struct("t", "event_id"))).alias("last"))
+    carried = bins.select("bin", F.last("last", ignorenulls=True).over(before).alias("carried"))
+    inside = ev.withColumn("clicker", F.last(click, ignorenulls=True).over(w)).where("event_type = 'purchase'")
+    return incidence(inside.join(carried, "bin"), "user_id", F.coalesce("clicker", "carried"))
+
+
+def rolling_users(spark: SparkSession, sf_dir: str, seconds: int = 3600, event_type: str = "purchase") -> DataFrame:
+    """Sliding edges over all time: before every purchase, the users who purchased in the last hour.  A binned range join, as
+    in interval_users."""
+    ev = read_table(spark, sf_dir, "events").where(F.col("event_type") == event_type).select("event_id", "user_id", F.floor(micros(F.col("ts")) / 1_000_000).alias("t"))
+    bin_ = F.floor(F.col("t") / seconds)
+    at = ev.select(F.col("event_id").alias("e"), F.col("t").alias("t0"), bin_.alias("bin"))
+    near = ev.select("user_id", "t").distinct().select("user_id", "t", F.explode(F.array(bin_, bin_ + 1)).alias("bin"))
+    return incidence(at.join(near, "bin").where((F.col("t") <= F.col("t0")) & (F.col("t") >= F.col("t0") - seconds)), "e", "user_id")
+
+
+BUILDERS = {f.__name__: f for f in (bucket_users, user_day_types, user_day_keys, purchase_hour_users, user_keys, customer_nations, customer_brands, order_parts, order_suppliers, day_customers, doc_lines, labelled_doc_lines, benchmark_passages, conv_tokens, page_links, vector_top_dims, interval_users, asof_clickers, trailing_users, latest_clickers, rolling_users)}
 
 
 def hypergraph(spark: SparkSession, sf_dir: str, name: str, **options: Column | int | str) -> Hypergraph:

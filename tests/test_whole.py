@@ -68,3 +68,15 @@ def test_every_language_is_a_slice(spark, tmp_path):
     whole = [r["cnt"] for r in QUERIES["counts_cube_lang"](spark, str(tmp_path)).collect() if r["slice"] == r["pattern"] == "all"]
     assert whole == [sum(sum(x.values()) for x in want.values())]
     assert {r["slice"] for r in QUERIES["counts_grouping_sets_lang"](spark, str(tmp_path)).collect()} == {"en", "xx", "null", "all"}
+
+
+def test_windows_pass_full_hours_and_midnight(spark, tmp_path):
+    rows = [
+        (1, "click", 7, "2024-01-01 10:59:00"), (2, "purchase", 1, "2024-01-01 11:01:00"), (3, "click", 8, "2024-01-01 11:02:00"), (4, "purchase", 2, "2024-01-01 11:02:00"),
+        (5, "view", 9, "2024-01-01 23:00:00"), (6, "purchase", 3, "2024-01-01 23:50:00"), (7, "purchase", 4, "2024-01-02 00:50:00"), (8, "purchase", 5, "2024-01-02 00:51:00"),
+        (9, "click", None, "2024-01-02 00:10:00"), (10, "purchase", 6, "2024-01-01 09:00:00"),
+    ]
+    df = spark.createDataFrame(rows, "event_id long, event_type string, user_id long, ts string").withColumn("ts", F.col("ts").cast("timestamp"))
+    df.write.parquet(f"{tmp_path}/events.parquet")
+    assert sorted(map(tuple, BUILDERS["latest_clickers"](spark, str(tmp_path)).collect())) == [(1, 7), (2, 8), (3, 8), (4, 8), (5, 8)]
+    assert sorted(map(tuple, BUILDERS["rolling_users"](spark, str(tmp_path)).collect())) == [(2, 1), (4, 1), (4, 2), (6, 3), (7, 3), (7, 4), (8, 4), (8, 5), (10, 6)]
