@@ -23,6 +23,8 @@ SCHEMAS: dict[str, dict[str, tuple[str, bool, int]]] = {
     "configure": {"text": ("string", True, 1), "turn": ("integer", True, 0)},
 }
 ROWS_PER_PART = 50_000
+#: Tasks that the results of one identifier are dealt to.
+SALTS = 16
 
 _KINDS = {"string": ("STRING",), "integer": ("BIGINT",), "number": ("BIGINT", "DOUBLE", "DECIMAL"), "boolean": ("BOOLEAN",), "object": ("OBJECT",), "array": ("ARRAY",)}
 
@@ -141,7 +143,8 @@ def link(calls: DataFrame, results: DataFrame, schemas: dict[str, dict[str, tupl
     it depends on).  results: call_id string, content string.  Other columns are not read.
     Returns for each call row: conv_id, position (from 0 in its conversation), call_id, name, n_results (results with its
     identifier), valid, status (``linked``, ``unanswered``, or ``bad_dependency`` if one is missing in the conversation or
-    on a cycle) and record, the canonical JSON.  A call with several results takes the least content.  Results of no call are given as
+    on a cycle) and record, the canonical JSON.  A call with several results takes the least content
+    (``each_result`` gives them all).  Results of no call are given as
     rows with null position and name and status ``orphan``, one for each identifier.  Null identifiers link to nothing.
     """
     store = Stored(calls.sparkSession)
@@ -162,6 +165,21 @@ def link(calls: DataFrame, results: DataFrame, schemas: dict[str, dict[str, tupl
     return joined.select("conv_id", F.col("position").cast("long"), "call_id", "name", n.alias("n_results"), F.when(is_call, fits).alias("valid"), status.alias("status"), record.alias("record"))
 
 
+def each_result(calls: DataFrame, results: DataFrame) -> DataFrame:
+    """Every result row, beside the records of ``link``, which hold one result of a call.
+
+    calls: conv_id, call_id.  results: conv_id long, turn long, call_id string, content string.  Returns for each result
+    row: conv_id, turn, call_id, number (from 0 among the results of the identifier in the conversation, by turn), status
+    (``answer``, or ``orphan`` without such a call in the conversation) and content.
+    """
+    store = Stored(results.sparkSession)
+    rows = store.put(results.select("conv_id", "turn", "call_id", "content", F.struct("conv_id", "call_id").alias("_of")).withColumn("_uid", row_uid()))
+    numbered = ordered_positions(rows, "_of", ["turn", "_uid"], "number", store, rows.count()).withColumn("_salt", F.pmod("_uid", F.lit(SALTS)).cast("int"))
+    asked = calls.select(F.col("conv_id").alias("_c"), F.col("call_id").alias("_d")).where("_d IS NOT NULL").distinct().withColumn("_s", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    met = numbered.join(asked, F.col("conv_id").eqNullSafe(F.col("_c")) & (F.col("call_id") == F.col("_d")) & (F.col("_salt") == F.col("_s")), "left")
+    return met.select("conv_id", "turn", "call_id", F.col("number").cast("long"), F.when(F.col("_d").isNull(), "orphan").otherwise("answer").alias("status"), "content")
+
+
 def calls_and_results(conversations: DataFrame) -> tuple[DataFrame, DataFrame]:
     """The calls and results that plain conversations hold.
 
@@ -176,13 +194,17 @@ def calls_and_results(conversations: DataFrame) -> tuple[DataFrame, DataFrame]:
         "conv_id", "turn", name(0).alias("call_id"), F.when(F.col("role") == "user", "reply").otherwise("configure").alias("name"), arguments.alias("arguments"),
         F.when((F.col("role") == "user") & (F.col("turn") > 1), F.array(name(2))).otherwise(F.array().cast("array<string>")).alias("after"),
     )
-    return calls, conversations.where(~asks).select(name(1).alias("call_id"), F.col("text").alias("content"))
+    return calls, conversations.where(~asks).select("conv_id", "turn", name(1).alias("call_id"), F.col("text").alias("content"))
 
 
 def link_conversations(conversations: DataFrame) -> DataFrame:
     return link(*calls_and_results(conversations))
 
 
+def conversation_results(conversations: DataFrame) -> DataFrame:
+    return each_result(*calls_and_results(conversations))
+
+
 #: The same rows in DuckDB SQL.
 ORACLE = """
 WITH m AS (SELECT conv_id, turn, role, text,

@@ -27,6 +27,10 @@ def op4_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.link_conversations(_table(spark, sf_dir, "conversations"))
 
 
+def op4_chat_results(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chat.conversation_results(_table(spark, sf_dir, "conversations"))
+
+
 def op5_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.detect(_table(spark, sf_dir, "documents"))
 
@@ -52,7 +56,7 @@ def op10_wfst(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_packing, op2_sharding, op3_flac, op4_chat, op5_pii, op6_html, op7_ann, op8_langid, op9_neardup, op10_wfst)}
+    return {f.__name__: f for f in (op1_packing, op2_sharding, op3_flac, op4_chat, op5_pii, op6_html, op7_ann, op8_langid, op9_neardup, op10_wfst, op4_chat_results)}
 
 
 def oracle_sql() -> dict[str, str]:

@@ -88,3 +88,16 @@ def test_random_dependencies_are_sorted(spark):
     at = {(x["conv_id"], x["call_id"]): x["position"] for x in got}
     assert len(at) == len(rows) and {x["status"] for x in got} == {"unanswered"}
     assert all(at[c, d] < at[c, k] for c, _, k, _, _, after in rows for d in after)
+
+
+def test_every_result_is_kept(spark, tmp_path):
+    from hypertriad.llm.queries import queries
+
+    rows = [(1, 0, "user", "hi"), (1, 1, "assistant", "y"), (1, 1, "assistant", "x"), (1, 1, "assistant", "x"), (1, 4, "assistant", "late"), (2, 1, "tool", None)]
+    rows += [(None, None, None, f"n{k}") for k in range(3)]
+    spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").write.parquet(f"{tmp_path}/conversations.parquet")
+    got = queries()["op4_chat_results"](spark, str(tmp_path)).collect()
+    assert len(got) == 8
+    one = sorted((r["number"], r["content"], r["status"]) for r in got if r["call_id"] == "1:0")
+    assert [x[0] for x in one] == [0, 1, 2] and sorted(x[1] for x in one) == ["x", "x", "y"] and {x[2] for x in one} == {"answer"}
+    assert sorted((r["call_id"], r["content"] or "") for r in got if r["status"] == "orphan") == [("1:3", "late"), ("2:0", ""), ("null:null", "n0"), ("null:null", "n1"), ("null:null", "n2")]
