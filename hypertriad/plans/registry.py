@@ -122,6 +122,13 @@ def _per_vertex(s: SparkSession, d: str) -> DataFrame:
 
 
 add("triads_per_vertex_order_suppliers", _per_vertex, O.triads_sql("order_suppliers", "SELECT v, pattern, count(*) AS cnt FROM (SELECT DISTINCT v, i, j, k, pattern FROM (SELECT i, j, k, pattern, unnest([i, j, k]) AS e FROM tri) t JOIN inc USING (e)) GROUP BY v, pattern"))
+def _space(s: SparkSession, d: str, b: str) -> DataFrame:
+    hg = graph(s, d, b)
+    return measures.space_model(hg, linked(hg)).withColumn("ratio", F.round("ratio", 9))
+
+
+for b in ("bucket_users", "user_day_keys", "customer_nations", "customer_brands", "order_parts", "day_customers"):
+    add(f"space_{b}", lambda s, d, b=b: _space(s, d, b), O.with_(b, "SELECT CAST(m + l AS BIGINT) AS baseline_one_hop, CAST(m + l + h AS BIGINT) AS baseline_two_hop, CAST(m + o AS BIGINT) AS proposed, round(CAST(m + o AS DOUBLE) / (m + l), 9) AS ratio FROM (SELECT (SELECT sum(n) FROM edges) m, (SELECT count(*) FROM links) l, (SELECT sum(w) FROM links) o, (SELECT sum(d * (d - 1) // 2) FROM deg) h)", O.LINKS_CTE, O.DEGREES_CTE))
 for b in ("order_suppliers", "purchase_hour_users", "doc_lines"):
     add(f"space_{b}", lambda s, d, b=b: measures.space_model(*counted(s, d, b)[:2]).withColumn("ratio", F.round("ratio", 9)), O.with_(b, "SELECT CAST(m + l AS BIGINT) AS baseline_one_hop, CAST(m + l + h AS BIGINT) AS baseline_two_hop, CAST(m + o AS BIGINT) AS proposed, round(CAST(m + o AS DOUBLE) / (m + l), 9) AS ratio FROM (SELECT (SELECT sum(n) FROM edges) m, (SELECT count(*) FROM links) l, (SELECT sum(w) FROM links) o, (SELECT sum(d * (d - 1) // 2) FROM deg) h)", O.LINKS_CTE, O.DEGREES_CTE))
     add(f"work_counters_{b}", lambda s, d, b=b: measures.work_counters(*counted(s, d, b)[1:]), O.triads_sql(b, "SELECT (SELECT count(*) FROM links) AS links, (SELECT count(*) FROM links WHERE kind = 'C') AS nest_links, (SELECT count(*) FROM links WHERE kind = 'T') AS cross_links, CAST(coalesce((SELECT sum(c * (c - 1) // 2) FROM (SELECT count(*) AS c FROM links GROUP BY i)), 0) AS BIGINT) AS lead_pairs, closed, open FROM open", None, O.OPEN_CTE))
@@ -318,12 +325,26 @@ def _table_function(s: SparkSession, d: str) -> DataFrame:
 add("table_function_triads", _table_function, O.triads_sql("coauthors", "SELECT i, j, k, pattern FROM tri"))
 
 
-def _frequency(s: SparkSession, d: str) -> DataFrame:
-    c = counted(s, d, "purchase_hour_users")[2].withColumn("family", family_of(F.col("pattern")))
+def _frequency(s: SparkSession, d: str, b: str = "purchase_hour_users") -> DataFrame:
+    c = counted(s, d, b)[2].withColumn("family", family_of(F.col("pattern")))
     return c.groupBy("family").agg(F.sum("cnt").alias("cnt")).join(c.agg(F.sum("cnt").alias("total"))).select("family", "cnt", F.round(F.col("cnt") / F.col("total"), 9).alias("share"))
 
 
 add("family_frequency_purchase_hour_users", _frequency, O.triads_sql("purchase_hour_users", f"SELECT {O.FAMILY_CASE} AS family, CAST(sum(cnt) AS BIGINT) AS cnt, round(sum(cnt) / (SELECT CAST(sum(cnt) AS DOUBLE) FROM counts), 9) AS share FROM counts GROUP BY 1"))
+for b in EXACT:
+    if b != "purchase_hour_users":
+        add(f"family_frequency_{b}", lambda s, d, b=b: _frequency(s, d, b), O.triads_sql(b, f"SELECT {O.FAMILY_CASE} AS family, CAST(sum(cnt) AS BIGINT) AS cnt, round(sum(cnt) / (SELECT CAST(sum(cnt) AS DOUBLE) FROM counts), 9) AS share FROM counts GROUP BY 1"))
+
+
+def _profile_of_width(s: SparkSession, d: str, minutes: int) -> DataFrame:
+    links = linked(hypergraph(s, d, "bucket_users", minutes=minutes))
+    return measures.coefficient_profile(links, stage(triads(None, mode="count", links=links))).withColumns({"coefficient": F.round("coefficient", 9), "share": F.round("share", 9)})
+
+
+for minutes in (10, 20, 30):
+    name = f"bucket_users_{minutes}"
+    O.BUILDER_SQL[name] = f"SELECT (epoch_us(ts) // {60_000_000 * minutes}) * {60 * minutes} AS e, user_id AS v FROM events"
+    add(f"profile_{name}", lambda s, d, m=minutes: _profile_of_width(s, d, m), O.triads_sql(name, "SELECT pattern, cnt, round(CASE WHEN open <> 0 THEN 3.0 * cnt / CAST(open AS DOUBLE) END, 9) AS coefficient, round(CASE WHEN closed <> 0 THEN cnt / CAST(closed AS DOUBLE) END, 9) AS share FROM counts, open", None, O.OPEN_CTE))
 
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -80,3 +80,10 @@ def test_windows_pass_full_hours_and_midnight(spark, tmp_path):
     df.write.parquet(f"{tmp_path}/events.parquet")
     assert sorted(map(tuple, BUILDERS["latest_clickers"](spark, str(tmp_path)).collect())) == [(1, 7), (2, 8), (3, 8), (4, 8), (5, 8)]
     assert sorted(map(tuple, BUILDERS["rolling_users"](spark, str(tmp_path)).collect())) == [(2, 1), (4, 1), (4, 2), (6, 3), (7, 3), (7, 4), (8, 4), (8, 5), (10, 6)]
+
+
+def test_workloads_are_registered():
+    from hypertriad.plans.registry import EXACT
+    from hypertriad.plans.workloads import SEVEN
+
+    assert {f"space_{b}" for b in SEVEN} | {f"family_frequency_{b}" for b in EXACT} | {f"profile_bucket_users_{m}" for m in (10, 20, 30)} <= set(QUERIES)
