@@ -1,4 +1,5 @@
 import numpy as np
+import pytest
 from helpers import SMALL
 
 from hypertriad.llm import ann
@@ -38,9 +39,53 @@ def test_learned_partitions_route_clusters():
     part = ann.balanced_parts(x, near, 12)
     assert np.bincount(part).max() <= np.ceil(len(x) / 12 * 1.05)
     assert (part[near] == part[:, None]).mean() > 0.9
-    net = ann.fit(x, 12_000)
-    assert net.b2.shape[0] == 12 and net.probes <= 2
-    assert (net.ranked(x)[:, 0] == net.ranked(x + 0.01)[:, 0]).mean() > 0.98
+    net = ann.learn(x, near, part, 12)
+    home = net.home(x)
+    assert net.parts == 12 and (home[near] == home[:, None]).mean() > 0.9
+    assert (home == net.home(x + 0.01)).mean() > 0.98
+
+
+def recall_of(spark, x, k=10):
+    """Share of the true neighbours found, share of the parts probed; every score is exact."""
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>").repartition(16)
+    store = ann.Stored(spark)
+    index = ann.build_index(store.put(ann.usable(df)), store, k)
+    got = {}
+    for r in ann.search(df, k).collect():
+        got.setdefault(r["query_id"], {})[r["vec_id"]] = r["score"]
+    hit = 0
+    for q in range(0, len(x), 100):
+        d = np.sqrt(((x - x[q]) ** 2).sum(axis=1))
+        assert len(got[q]) == k and all(d[i] == s for i, s in got[q].items())
+        d[q] = np.inf
+        hit += len(set(np.argsort(d)[:k].tolist()) & set(got[q]))
+    assert len(got) == -(-len(x) // 100)
+    return hit / (k * len(got)), index
+
+
+@pytest.mark.parametrize("n", [2_000, 50_000])
+def test_routing_leaves_parts_out(spark, n):
+    x = np.random.default_rng(n).standard_normal((n, 64))  # without any structure, the hardest case
+    recall, index = recall_of(spark, x / np.linalg.norm(x, axis=1, keepdims=True))
+    assert recall >= 0.9 and index.levels == 1
+    assert index.probes <= index.parts * (0.5 if n == 50_000 else 0.55), (index.probes, index.parts)
+
+
+def test_clusters_need_few_parts(spark):
+    r = np.random.default_rng(4)
+    x = r.standard_normal((300, 24))[r.integers(0, 300, 20_000)] * 3 + r.standard_normal((20_000, 24)) * 0.5
+    recall, index = recall_of(spark, x)
+    assert recall >= 0.9 and index.probes <= index.parts * 0.1, (recall, index.probes, index.parts)
+
+
+def test_large_parts_are_cut_again(spark, monkeypatch):
+    monkeypatch.setattr(ann, "SAMPLE", 600)
+    monkeypatch.setattr(ann, "SPLIT_ROWS", 100)
+    r = np.random.default_rng(5)
+    x = r.standard_normal((100, 16))[r.integers(0, 100, 12_000)] * 2 + r.standard_normal((12_000, 16)) * 0.6
+    recall, index = recall_of(spark, x)
+    assert index.levels == 2 and recall >= 0.9 and index.probes < index.parts
+    assert index.placed.count() == 12_000 and index.placed.select("leaf").distinct().count() > 3 * index.parts
 
 
 def test_odd_vectors(spark):
