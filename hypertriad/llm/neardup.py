@@ -1,8 +1,11 @@
 """Near duplicates: improved consistent weighted sampling over TF-IDF word shingles, banded, verified.
 
-1. A fixed-size count sketch of shingle document frequencies is made over all documents (count-mean-min: four rows of
-   hashed counters, less the mean load, the least of the four, at least 1).  Its size never grows, so it may be
-   broadcast; collisions shift weights by a little, for all documents alike.
+1. Document frequencies come from all documents, with near copies counted together: a first sketch of fixed size estimates
+   how many documents share a document's plain min-hash bands, and a second one counts each shingle of a document by one
+   over that number (count-mean-min: four rows of hashed counters, less the mean load, the least of the four).  So the size
+   of a group of copies does not lower the weight of what its members share.  Inverse document frequency is
+   log(documents / frequency), from 0 for what all documents have, and levels off for shingles in fewer than one of
+   RARE documents: the sketch tells such shares apart at any number of documents, as its noise grows with their root only.
 2. Every document gets SAMPLES consistent weighted samples of its weighted shingles.  Equal texts are one node from here.
 3. Nodes that agree on all samples of a band share a bucket.  In each bucket every node is checked against the least and
    the greatest node, which takes two pairs a node however large the bucket is; links give components.
@@ -32,13 +35,18 @@ BANDS, ROWS = 16, 3
 SAMPLES = BANDS * ROWS
 SKETCH_ROWS, SKETCH_WIDTH = 4, 1 << 18
 SKETCH_BLOCK = 4096
-#: Inverse document frequency runs from 1 (one document) down to this (all documents): were it lower, the size of a
-#: group of near copies would itself push its members apart.
-IDF_FLOOR = 0.9
-#: Pairs whose share of equal samples is lower are not verified; at similarity 0.8 this is three deviations down.
+#: Shingles in fewer than one of RARE documents have the full weight; no weight is less than LEAST_IDF, so that all count.
+RARE, LEAST_IDF = 1000, 1e-3
+#: Plain min-hash bands that tell copies, counter rows for each, and the unit in which a document's share is counted.
+COPY_BANDS, COPY_ROWS, COPY_COUNTERS, UNIT = 4, 3, 2, 1 << 12
+#: Pairs whose share of equal samples is lower are not verified, unless asked for (``least_estimate=0`` verifies every pair of a
+#: bucket); at similarity 0.8 this is three deviations down.
 LEAST_ESTIMATE = 0.62
 BLOCK = 1024
 CHUNK = 1 << 16
+#: A key with fewer rows than this is never split off; one with a HEAVY_PARTth of all rows always is, so at most
+#: HEAVY_PARTS keys are broadcast.
+HEAVY_LEAST, HEAVY_PARTS = 1_000, 1_000
 
 _BLANK = bytes(b if b >= 128 or chr(b).isalnum() else 32 for b in range(256))
 
@@ -72,69 +80,122 @@ def shingles(text: str | None, ids: _WordIds) -> tuple[np.ndarray, np.ndarray]:
     return np.unique(h * np.uint64(0xBF58476D1CE4E5B9), return_counts=True)
 
 
-def _cells(h: np.ndarray) -> list[np.ndarray]:
-    """The counter of each shingle in each sketch row."""
+def _cells(h: np.ndarray, rows: int = SKETCH_ROWS, seed: int = 0) -> list[np.ndarray]:
+    """The counter of each hash in each sketch row."""
     shift = 64 - SKETCH_WIDTH.bit_length() + 1
-    return [((h ^ np.uint64(0xA5A5 * (r + 1))) * np.uint64(0xD6E8FEB86659FD93 + 2 * r * 0x9E3779B9) >> np.uint64(shift)).astype(np.int64) + r * SKETCH_WIDTH for r in range(SKETCH_ROWS)]
+    return [((h ^ np.uint64(0xA5A5 * (r + 1 + seed))) * np.uint64((0xD6E8FEB86659FD93 + 2 * (r + seed) * 0x9E3779B9) & (2**64 - 1)) >> np.uint64(shift)).astype(np.int64) + r * SKETCH_WIDTH for r in range(rows)]
+
+
+def copy_keys(h: np.ndarray, starts: np.ndarray) -> np.ndarray:
+    """COPY_BANDS plain min-hash keys of each document; documents are the runs of h that begin at ``starts``."""
+    keys = np.random.default_rng(9).integers(1, 1 << 63, COPY_BANDS * COPY_ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+    out = np.zeros((len(starts), COPY_BANDS), np.uint64)
+    for k, key in enumerate(keys):
+        x = h * key
+        x ^= x >> np.uint64(31)
+        least = np.minimum.reduceat(x * np.uint64(0xD6E8FEB86659FD93), starts)
+        b = k % COPY_BANDS
+        out[:, b] = (out[:, b] ^ least) * np.uint64(0x9E3779B97F4A7C15) ^ least >> np.uint64(29)
+    return out
+
+
+def _copy_cells(keys: np.ndarray) -> np.ndarray:
+    """(documents, bands, counters) cells of copy keys."""
+    return np.stack([np.stack(_cells(keys[:, b], COPY_COUNTERS, 8 * b + 8), 1) + b * COPY_COUNTERS * SKETCH_WIDTH for b in range(COPY_BANDS)], 1)
+
+
+class Copies:
+    """How many documents hold copies of a document, itself among them, as estimated by the first sketch."""
 
+    def __init__(self, counts: np.ndarray):
+        self.counts = np.maximum(counts - counts.mean(axis=1, keepdims=True), 1).ravel()
 
-def frequency_sketch(docs: DataFrame) -> tuple[np.ndarray, int]:
-    """Counters of document frequencies (SKETCH_ROWS x SKETCH_WIDTH, whatever the input) and the number of documents."""
+    def of(self, h: np.ndarray, starts: np.ndarray) -> np.ndarray:
+        return self.counts[_copy_cells(copy_keys(h, starts))].min(axis=2).max(axis=1)
+
+
+def _sketch(docs: DataFrame, rows: int, count) -> tuple[np.ndarray, int]:
+    """rows x SKETCH_WIDTH counters and a total, summed over all documents.  count(h, starts) gives the cells, the amount of
+    each and the total of some documents."""
+
+    def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums, total, ids, seen = np.zeros(rows * SKETCH_WIDTH, np.int64), 0, _WordIds(), False
+        held: list[np.ndarray] = []
+        size = 0
+
+        def flush() -> int:
+            starts = np.cumsum([0] + [len(h) for h in held[:-1]])
+            cells, amounts, more = count(np.concatenate(held), starts)
+            for c in cells:
+                low = int(c.min()) // SKETCH_WIDTH * SKETCH_WIDTH  # one row of counters
+                sums[low : low + SKETCH_WIDTH] += np.bincount(c - low, amounts, SKETCH_WIDTH).astype(np.int64)
+            return more
 
-    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total, docs_seen, ids = np.zeros(SKETCH_ROWS * SKETCH_WIDTH, np.int64), 0, _WordIds()
         for batch in batches:
-            docs_seen += batch.num_rows
-            held: list[np.ndarray] = []
             for text in batch.column(0):
-                held.append(shingles(text.as_py(), ids)[0])
-                if len(held) == 256:
-                    total += _counted(held)
-                    held = []
-            total += _counted(held)
-        if docs_seen:
-            parts = total.reshape(-1, SKETCH_BLOCK)
+                h = shingles(text.as_py(), ids)[0]
+                if len(h):
+                    held.append(h)
+                    size += len(h)
+                    if size >= 4 * CHUNK:
+                        total, seen, size = total + flush(), True, 0
+                        held.clear()
+        if held:
+            total, seen = total + flush(), True
+        if seen:
+            parts = sums.reshape(-1, SKETCH_BLOCK)
             some = [k for k in range(len(parts)) if parts[k].any()]
-            yield pa.record_batch([pa.array([*some, -1], pa.int32()), pa.array([*(parts[k].astype("<i4").tobytes() for k in some), np.array([docs_seen], "<i8").tobytes()], pa.binary())], names=["block", "counts"])
+            yield pa.record_batch([pa.array([*some, -1], pa.int32()), pa.array([*(parts[k].astype("<i8").tobytes() for k in some), np.array([total], "<i8").tobytes()], pa.binary())], names=["block", "counts"])
 
     def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total: dict[int, np.ndarray] = {}
         for batch in batches:
             for k, b in zip(batch.column(0).to_pylist(), batch.column(1)):
-                got = np.frombuffer(b.as_py(), "<i4" if k >= 0 else "<i8").astype(np.int64)
+                got = np.frombuffer(b.as_py(), "<i8")
                 total[k] = total[k] + got if k in total else got
         if total:
             yield pa.record_batch([pa.array(list(total), pa.int32()), pa.array([v.tobytes() for v in total.values()], pa.binary())], names=["block", "counts"])
 
     schema = "block int, counts binary"
-    n = SKETCH_ROWS * SKETCH_WIDTH // SKETCH_BLOCK
-    rows = docs.select("text").mapInArrow(count, schema).repartition("block").mapInArrow(add, schema).collect()  # of fixed size
-    out, docs_seen = np.zeros((n, SKETCH_BLOCK), np.int64), 0
-    for r in rows:
+    got = docs.select("text").mapInArrow(local, schema).repartition("block").mapInArrow(add, schema).collect()  # of fixed size
+    out, total = np.zeros((rows * SKETCH_WIDTH // SKETCH_BLOCK, SKETCH_BLOCK), np.int64), 0
+    for r in got:
         if r["block"] < 0:
-            docs_seen = int(np.frombuffer(r["counts"], np.int64)[0])
+            total = int(np.frombuffer(r["counts"], np.int64)[0])
         else:
             out[r["block"]] = np.frombuffer(r["counts"], np.int64)
-    return out.reshape(SKETCH_ROWS, SKETCH_WIDTH), docs_seen
+    return out.reshape(rows, SKETCH_WIDTH), total
 
 
-def _counted(held: list[np.ndarray]) -> np.ndarray:
-    out = np.zeros(SKETCH_ROWS * SKETCH_WIDTH, np.int64)
-    if held:
-        for r, cells in enumerate(_cells(np.concatenate(held))):
-            part = slice(r * SKETCH_WIDTH, (r + 1) * SKETCH_WIDTH)
-            out[part] = np.bincount(cells - part.start, minlength=SKETCH_WIDTH)
-    return out
+def copy_sketch(docs: DataFrame) -> Copies:
+    def count(h, starts):
+        cells = _copy_cells(copy_keys(h, starts))
+        return [cells[:, b, c] for b in range(COPY_BANDS) for c in range(COPY_COUNTERS)], None, len(starts)
+
+    return Copies(_sketch(docs, COPY_BANDS * COPY_COUNTERS, count)[0])
+
+
+def frequency_sketch(docs: DataFrame) -> tuple[np.ndarray, float]:
+    """Counters of document frequencies (SKETCH_ROWS x SKETCH_WIDTH, whatever the input) and the number of documents, both
+    with a group of near copies counted as about one document."""
+    copies = docs.sparkSession.sparkContext.broadcast(copy_sketch(docs))  # of fixed size
+
+    def count(h, starts):
+        share = np.maximum(1, np.round(UNIT / copies.value.of(h, starts)))
+        each = np.repeat(share, np.diff(np.append(starts, len(h))))
+        return _cells(h), each, int(share.sum())
+
+    counts, total = _sketch(docs, SKETCH_ROWS, count)
+    return counts / UNIT, total / UNIT
 
 
 class Weights:
     """TF-IDF weights from a frequency sketch."""
 
-    def __init__(self, counts: np.ndarray, docs: int):
-        load = counts.sum(axis=1, keepdims=True) / counts.shape[1]
+    def __init__(self, counts: np.ndarray, docs: float):
+        load = counts.mean(axis=1, keepdims=True)
         df = np.maximum(counts - load, 1).ravel()
-        scale = np.log(docs + 1.0) or 1.0
-        self.idf = (IDF_FLOOR + (1 - IDF_FLOOR) * np.clip(1 - np.log(df) / scale, 0, 1)).astype(np.float32)
+        self.idf = np.clip(np.log((docs + 1) / df) / np.log(min(max(docs + 1, 2), RARE)), LEAST_IDF, 1).astype(np.float32)
 
     def of(self, h: np.ndarray, tf: np.ndarray) -> np.ndarray:
         """The least frequency of the rows is the greatest weight."""
@@ -296,7 +357,7 @@ def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield held
 
 
-def _likely(run: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def _likely(run: pa.RecordBatch, least: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(i, j, equal samples) of the run's pairs across components whose estimate allows the threshold, best first, without
     those that share an earlier band, as these are pairs of another bucket."""
     n, band = run.num_rows, run.column("band")[0].as_py()
@@ -310,7 +371,7 @@ def _likely(run: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         equal = np.zeros((len(rows), len(right)), np.int16)
         for k in range(SAMPLES):
             equal += prints[rows, k][:, None] == prints[right, k][None, :]
-        ok = (equal >= LEAST_ESTIMATE * SAMPLES) & (comp[rows][:, None] != comp[right][None, :])
+        ok = (equal >= least * SAMPLES) & (comp[rows][:, None] != comp[right][None, :])
         if side[0] == 2:
             ok &= rows[:, None] < right[None, :]
         i, j = np.nonzero(ok)
@@ -327,7 +388,7 @@ def _likely(run: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return i[order], j[order], equal[order]
 
 
-def across(buckets: DataFrame, prints: DataFrame, vecs: DataFrame, threshold: float, store: Stored) -> DataFrame:
+def across(buckets: DataFrame, prints: DataFrame, vecs: DataFrame, threshold: float, store: Stored, least_estimate: float = LEAST_ESTIMATE) -> DataFrame:
     """Links (u, v) that join the components inside buckets: in each pair of blocks a spanning forest of its links.
 
     A first pass finds, by samples alone, the rows that have a likely partner; only these are sent with their vectors to
@@ -338,7 +399,7 @@ def across(buckets: DataFrame, prints: DataFrame, vecs: DataFrame, threshold: fl
 
     def sift(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for run in _runs(batches):
-            i, j, _ = _likely(run)
+            i, j, _ = _likely(run, least_estimate)
             if len(i):
                 yield run.take(pa.array(np.unique(np.concatenate([i, j]))))
 
@@ -355,7 +416,7 @@ def across(buckets: DataFrame, prints: DataFrame, vecs: DataFrame, threshold: fl
                 return c
 
             us, vs = [], []
-            for i, j, _ in zip(*(x.tolist() for x in _likely(run))):
+            for i, j, _ in zip(*(x.tolist() for x in _likely(run, least_estimate))):
                 a, b = root(comp[i]), root(comp[j])
                 if a != b and weighted_jaccard(ids[i].as_py(), w[i].as_py(), ids[j].as_py(), w[j].as_py()) >= threshold - 1e-9:
                     parent[a] = b
@@ -369,18 +430,28 @@ def across(buckets: DataFrame, prints: DataFrame, vecs: DataFrame, threshold: fl
     return likely.join(vecs, "node").repartition(*keys).sortWithinPartitions(*keys).mapInArrow(join, "u long, v long")
 
 
-def _placed(docs: DataFrame, threshold: float) -> DataFrame:
-    """doc_id, digest of the text and component of every row, stored."""
+def join_skewed(left: DataFrame, right: DataFrame, on: list[str], size: str, rows: int) -> DataFrame:
+    """``left`` with the columns of ``right`` (one row for each key, ``size`` being the number of left rows of the key), as an
+    inner join.  Keys with a large share of all rows, of which there are few, are broadcast; the others meet by shuffle."""
+    heavy = F.col(size) >= max(HEAVY_LEAST, rows // HEAVY_PARTS)
+    some = F.broadcast(right.where(heavy).drop(size))  # at most HEAVY_PARTS rows
+    light = left.join(some.select(*on), on, "left_anti").join(right.where(~heavy).drop(size), on)
+    return left.join(some, on).unionByName(light)
+
+
+def _placed(docs: DataFrame, threshold: float, least_estimate: float = LEAST_ESTIMATE) -> DataFrame:
+    """doc_id, digest of the text and class (uid of its first row, least doc_id and number of its texts' rows), stored."""
     spark = docs.sparkSession
     store = Stored(spark)
     weights = spark.sparkContext.broadcast(Weights(*frequency_sketch(docs)))
     signed = store.put(signatures(docs, weights).withColumn("uid", row_uid()))
-    nodes = signed.where("digest is not null").groupBy("digest").agg(F.min("uid").alias("node"))
-    nodes = store.put(nodes)
+    total = signed.count()
+    texts_ = signed.where("digest is not null").groupBy("digest").agg(F.min("uid").alias("node"), F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("n"))
+    nodes = store.put(texts_)
     own = signed.where("bands is not null").join(nodes.select(F.col("node").alias("uid")), "uid", "left_semi")
-    rows = own.select(F.col("uid").alias("node"), F.posexplode("bands").alias("band", "key"))
-    groups = rows.groupBy("band", "key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi")
-    buckets = store.put(rows.join(groups, ["band", "key"]))
+    rows = store.put(own.select(F.col("uid").alias("node"), F.posexplode("bands").alias("band", "key")))
+    groups = store.put(rows.groupBy("band", "key").agg(F.min("node").alias("lo"), F.max("node").alias("hi"), F.count(F.lit(1)).alias("n")).where("lo < hi"))
+    buckets = store.put(join_skewed(rows, groups, ["band", "key"], "n", total * BANDS))
     pairs = buckets.select("node", F.explode(F.array("lo", "hi")).alias("mate")).where("node <> mate").select(F.least("node", "mate").alias("u"), F.greatest("node", "mate").alias("v")).distinct()
     wanted = buckets.select("node").distinct()
     keyed = signed.select("uid", "doc_id", "digest").join(wanted.withColumnRenamed("node", "uid"), "uid").select(F.col("uid").alias("node"), F.col("doc_id").alias("_d"), "digest")
@@ -391,27 +462,36 @@ def _placed(docs: DataFrame, threshold: float) -> DataFrame:
     comp = store.put(components(links, store))
 
     labelled = buckets.select("band", "key", "node").join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
-    split = labelled.groupBy("band", "key").agg(F.min("comp").alias("a"), F.max("comp").alias("b")).where("a < b").select("band", "key")
-    open_ = store.put(labelled.join(split, ["band", "key"]))
+    split = labelled.groupBy("band", "key").agg(F.min("comp").alias("a"), F.max("comp").alias("b"), F.count(F.lit(1)).alias("n")).where("a < b").select("band", "key", "n")
+    open_ = store.put(join_skewed(labelled, split, ["band", "key"], "n", total * BANDS))
     prints = signed.select(F.col("uid").alias("node"), "bands", "prints")
     wanted = prints.join(open_.select("node").distinct(), "node", "left_semi")
-    more = store.put(across(open_, wanted, vecs, threshold, store))
+    more = store.put(across(open_, wanted, vecs, threshold, store, least_estimate))
     comp = store.put(components(links.unionByName(more), store))
 
-    by_text = nodes.join(comp, "node", "left").select("digest", F.coalesce("comp", "node").alias("comp"))
-    return store.put(signed.select("doc_id", "uid", "digest").join(by_text, "digest", "left").select("doc_id", "digest", F.coalesce("comp", "uid").alias("comp")))
-
-
-def classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
+    linked = store.put(nodes.join(comp, "node"))
+    classes_ = linked.groupBy("comp").agg(F.min("least").alias("class_least"), F.count(F.lit(1)).alias("m"))
+    of_linked = join_skewed(linked, classes_, ["comp"], "m", total)
+    alone = nodes.where("n > 1").join(comp, "node", "left_anti").select("digest", F.col("node").alias("comp"), F.col("least").alias("class_least"), "n")
+    by_text = store.put(of_linked.select("digest", "comp", "class_least", "n").unionByName(alone))  # all other texts have one row
+    sent = signed.select("doc_id", "uid", "digest")
+    many = F.broadcast(by_text.where(F.col("n") >= max(HEAVY_LEAST, total // HEAVY_PARTS)).select(F.col("digest"), F.col("comp").alias("_c"), F.col("class_least").alias("_l")))  # at most HEAVY_PARTS rows
+    few = by_text.where(F.col("n") < max(HEAVY_LEAST, total // HEAVY_PARTS)).drop("n")
+    placed = sent.join(many, "digest").select("doc_id", "digest", F.col("_c").alias("comp"), F.col("_l").alias("class_least"))
+    rest = sent.join(many.select("digest"), "digest", "left_anti").join(few, "digest", "left")
+    single = F.col("comp").isNull()
+    rest = rest.select("doc_id", "digest", F.when(single, F.col("uid")).otherwise(F.col("comp")).alias("comp"), F.when(single, F.col("doc_id")).otherwise(F.col("class_least")).alias("class_least"))
+    return store.put(placed.unionByName(rest))
+
+
+def classes(docs: DataFrame, threshold: float = THRESHOLD, least_estimate: float = LEAST_ESTIMATE) -> DataFrame:
     """doc_id and class_id of every row of (doc_id, text): the least doc_id among the rows its near duplicates link it to.
 
     Equal texts share a class.  Texts without a word have no shingles and share a class only with equal texts; a null
     text is a class of its own.  Repeated rows give repeated rows.  A class of null doc_ids alone has a null class_id.
-    Empty table: empty result.
+    Empty table: empty result.  least_estimate 0: every pair of a bucket is verified.
     """
-    placed = _placed(docs, threshold)
-    least = placed.groupBy("comp").agg(F.min("doc_id").alias("class_id"))
-    return placed.join(least, "comp").select("doc_id", "class_id")
+    return _placed(docs, threshold, least_estimate).select("doc_id", F.col("class_least").alias("class_id"))
 
 
 def keep_one(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:

@@ -64,10 +64,35 @@ def test_large_group_of_edited_copies(spark):
 
 
 def test_sketch_counts(spark):
-    docs = spark.createDataFrame([(k, "a b c d e f" if k % 2 else f"p{k} q r s t u") for k in range(200)], "doc_id long, text string")
+    own = lambda k: " ".join(f"o{k}x{j}" for j in range(40))
+    docs = spark.createDataFrame([(k, own(k) + " a b c d e" * (k % 2)) for k in range(200)], "doc_id long, text string")
     counts, n = N.frequency_sketch(docs)
     h, _ = N.shingles("a b c d e", N._WordIds())
-    assert n == 200 and min(int(counts.ravel()[c][0]) for c in N._cells(h)) == 100
+    assert n == 200 and min(counts.ravel()[c][0] for c in N._cells(h)) == 100
+
+
+def test_copies_count_as_about_one_document(spark):
+    same = " ".join(f"s{j}" for j in range(200))
+    edited = [" ".join(f"s{j}" if j != 3 * k % 200 else f"e{k}" for j in range(200)) for k in range(300)]
+    docs = spark.createDataFrame(list(enumerate([same] * 500 + edited + [" ".join(f"t{k}x{j}" for j in range(9)) for k in range(100)])), "doc_id long, text string")
+    counts, n = N.frequency_sketch(docs)
+    h, _ = N.shingles("s100 s101 s102 s103 s104", N._WordIds())
+    assert 100 <= n <= 106 and min(counts.ravel()[c][0] for c in N._cells(h)) <= 4
+    weights = N.Weights(counts, n)
+    assert weights.of(h, np.ones(1))[0] > 0.7
+
+
+def test_common_shingles_weigh_little(spark):
+    own = lambda k: " ".join(f"o{k}x{j}" for j in range(40))
+    docs = spark.createDataFrame([(k, own(k) + " a b c d e") for k in range(1500)], "doc_id long, text string")
+    weights, ids = N.Weights(*N.frequency_sketch(docs)), N._WordIds()
+    of = lambda t: float(weights.of(N.shingles(t, ids)[0], np.ones(1))[0])
+    assert of("a b c d e") < 0.01 and of("o7x0 o7x1 o7x2 o7x3 o7x4") > 0.95
+
+
+def test_every_pair_verified_on_request(spark):
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet").select("doc_id", "text")
+    assert sorted(N.classes(docs, least_estimate=0).collect()) == sorted(N.classes(docs).collect())
 
 
 def test_samples_estimate_weighted_similarity():
