@@ -1,8 +1,10 @@
 """Main text of web pages: a recurrent labeller over the sequence of leaf blocks.
 
-A forgiving scanner turns a page into leaf blocks, each with its path of elements, classes and ids.  A bidirectional LSTM
-in numpy reads, for every block, a vector of its path, a vector of its hashed words and a few measures, and labels every
-block as main text or not, with the whole page as context.  It is trained here on pages made by a seeded generator.
+A forgiving scanner, linear in the page, turns it into leaf blocks, each with its path of elements, classes and ids; paths
+are nodes of a tree, so deep pages share them.  A bidirectional LSTM in numpy reads, for every block, a vector of its path,
+a vector of its hashed words and a few measures, and labels every block as main text or not, with the whole page as
+context.  Nothing but scripts, styles and comments is dropped before it.  It is trained here on pages of many layouts made
+by a seeded generator.
 """
 
 from __future__ import annotations
@@ -11,6 +13,8 @@ import html
 import random
 import re
 import zlib
+from collections import Counter
+from dataclasses import dataclass
 from functools import lru_cache
 
 import numpy as np
@@ -26,60 +30,150 @@ HIDDEN = 20
 #: Blocks times pages of one padded batch.
 BATCH_CELLS = 60_000
 
-# Elements of the HTML standard by how they take part in blocks.
-INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd mark q rp rt ruby s samp small span strike strong sub sup time tt u var wbr".split())
-RAW = frozenset("script style noscript template svg math iframe object title".split())
+# Elements of the HTML, SVG and MathML standards by how they take part in blocks.
+INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd mark q rp rt ruby s samp small span strike strong sub sup time tt u var wbr object svg g text tspan math mi mn mo ms mtext mrow msub msup msubsup mfrac msqrt mroot munder mover munderover semantics".split())
+RAW = frozenset("script style".split())
+RAW_TEXT = frozenset("title textarea".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 
-_PIECE = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*>?|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|[^<]+|<", re.S)
+_NAME = re.compile(r"/?[a-zA-Z][^\s/>]*")
+_MARK = re.compile(r"[>\"']")
 _NAMED = re.compile(r"(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.I)
 _TOKEN = re.compile(r"[a-z]+")
 _CLOSED_BY_START = {"p": {"p"}, "li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 
 
-class Block:
-    __slots__ = ("path", "text", "linked")
+class Node:
+    """An open element: its tokens, those of them that its ancestors lack, and how many tokens lie on its path."""
+
+    __slots__ = ("name", "own", "fresh", "parent", "depth")
+
+    def __init__(self, name: str, own: tuple[str, ...], fresh: tuple[str, ...], parent: Node | None):
+        self.name, self.own, self.fresh, self.parent = name, own, fresh, parent
+        self.depth = len(own) + (parent.depth if parent else 0)
+
 
-    def __init__(self, path: tuple[str, ...], text: str, linked: float):
-        self.path, self.text, self.linked = path, text, linked
+class Block:
+    __slots__ = ("node", "text", "linked")
+
+    def __init__(self, node: Node | None, text: str, linked: float):
+        self.node, self.text, self.linked = node, text, linked
+
+    @property
+    def path(self) -> tuple[str, ...]:
+        """All tokens from the outermost element on."""
+        out, node = [], self.node
+        while node:
+            out.append(node.own)
+            node = node.parent
+        return tuple(t for own in reversed(out) for t in own)
+
+
+class _Tags:
+    """Finds where tags end.  A > inside a quoted value ends none; quotes count after = only, and where they are closed.
+    Should all that is left turn out to be inside quotes, the first > ends a tag from there on, so no text is read twice."""
+
+    def __init__(self, page: str):
+        self.page, self.plain = page, False
+        self.last = {c: page.rfind(c) for c in ">\"'"}
+
+    def end(self, at: int) -> int:
+        """The place of the > that ends the tag whose name ends at ``at``, or -1."""
+        page, first = self.page, at
+        if at > self.last[">"]:
+            return -1
+        while not self.plain:
+            m = _MARK.search(page, at)
+            if m is None:
+                self.plain = True
+                break
+            c, k = m.group(), m.start()
+            if c == ">":
+                return k
+            before = k - 1
+            while before > at and page[before] in " \t\n\r\f":
+                before -= 1
+            at = page.index(c, k + 1) + 1 if page[before] == "=" and self.last[c] > k else k + 1
+        return page.find(">", first)
 
 
 def blocks_of(page: str | None) -> list[Block]:
     """Leaf blocks with text, in page order.  Unclosed, unopened and crossing elements are taken as they come."""
+    page = page or ""
     out: list[Block] = []
-    stack: list[tuple[str, tuple[str, ...]]] = []
+    top: Node | None = None
+    named: Counter = Counter()  # open elements by name
+    tokens: Counter = Counter()  # tokens on the path
     held: list[str] = []
-    state = {"link": 0, "linked": 0, "all": 0}
-    page = page or ""
+    link = linked = all_ = 0
 
     def flush() -> None:
+        nonlocal linked, all_
         if held:
             text = " ".join(html.unescape("".join(held)).split())
             if text:
-                out.append(Block(tuple(t for _, own in stack for t in own), text, state["linked"] / max(1, state["all"])))
+                out.append(Block(top, text, linked / max(1, all_)))
             held.clear()
-        state["linked"] = state["all"] = 0
-
-    at = 0
-    while at < len(page):
-        m = _PIECE.match(page, at)
-        at = m.end()
-        name = m.group(2)
-        if name is None:
-            piece = m.group()
-            if not (piece.startswith(("<!", "<?")) and len(piece) > 1):
-                held.append(piece)
-                n = len(piece.strip())
-                state["all"] += n
-                state["linked"] += n if state["link"] else 0
+        linked = all_ = 0
+
+    def close() -> None:
+        nonlocal top
+        named[top.name] -= 1
+        tokens.subtract(top.own)
+        top = top.parent
+
+    def say(piece: str) -> None:
+        nonlocal linked, all_
+        held.append(piece)
+        n = len(piece.strip())
+        all_ += n
+        linked += n if link else 0
+
+    tags, at, n = _Tags(page), 0, len(page)
+    lower = page.lower() if len(page.lower()) == n else None  # for ends of raw elements
+    while at < n:
+        lt = page.find("<", at)
+        if lt != at:
+            say(page[at : lt if lt >= 0 else n])
+            at = lt if lt >= 0 else n
+            continue
+        if page.startswith("<!--", at):
+            end = page.find("-->", at + 4)
+            at = end + 3 if end >= 0 else n
             continue
-        name = name.lower()
+        if page.startswith(("<!", "<?"), at):
+            end = page.find(">", at + 2)
+            at = end + 1 if end >= 0 else n
+            continue
+        m = _NAME.match(page, at + 1)
+        end = tags.end(m.end()) if m else -1
+        if end < 0:
+            say("<")
+            at += 1
+            continue
+        rest, at = page[m.end() : end], end + 1
+        name = m.group().lower()
+        ending, name = name.startswith("/"), name.removeprefix("/")
         if name == "a":
-            state["link"] = 0 if m.group(1) else 1
-        if name in RAW:
-            if not m.group(1) and not m.group(3).endswith("/"):
-                end = re.compile(rf"</{re.escape(name)}\b[^>]*>?", re.I).search(page, at)
-                at = end.end() if end else len(page)
+            link = 0 if ending else 1
+        if name in RAW or name in RAW_TEXT:
+            if ending or rest.endswith("/"):
+                continue
+            if lower is not None:
+                stop = lower.find(f"</{name}", at)
+            else:
+                found = re.compile(f"</{name}", re.I).search(page, at)
+                stop = found.start() if found else -1
+            inside = page[at : stop if stop >= 0 else n]
+            gt = page.find(">", stop) if stop >= 0 else -1
+            at = gt + 1 if gt >= 0 else n
+            if name in RAW_TEXT and inside.strip():
+                flush()
+                node = top
+                top = Node(name, (name,), () if tokens[name] > 0 else (name,), node)
+                say(inside)
+                flush()
+                top = node
             continue
         if name == "br":
             held.append(" ")
@@ -87,21 +181,24 @@ def blocks_of(page: str | None) -> list[Block]:
         if name in INLINE:
             continue
         flush()
-        state["link"] = 0
+        link = 0
         if name in VOID:
             continue
-        if m.group(1):
-            if any(n == name for n, _ in stack):
-                while stack.pop()[0] != name:
-                    pass
+        if ending:
+            if named[name] > 0:
+                while top.name != name:
+                    close()
+                close()
             continue
         closes = _CLOSED_BY_START.get(name, {"p"} if name not in ("html", "body") else set())
-        while stack and stack[-1][0] in closes:
-            stack.pop()
+        while top and top.name in closes:
+            close()
         own = [name]
-        for found in _NAMED.findall(m.group(3)):
+        for found in _NAMED.findall(rest):
             own += [f".{t}" for t in _TOKEN.findall("".join(found).lower())]
-        stack.append((name, tuple(own)))
+        top = Node(name, tuple(own), tuple(t for t in dict.fromkeys(own) if tokens[t] <= 0), top)
+        named[name] += 1
+        tokens.update(own)
     flush()
     return out
 
@@ -114,16 +211,45 @@ def _row(token: str, rows: int) -> int:
     return zlib.crc32(token.encode("utf-8", "replace")) % rows
 
 
-def numbers(blocks: list[Block]) -> tuple[list[list[int]], list[list[int]], np.ndarray]:
-    """Path rows, word rows and measures of each block."""
-    paths, words, m = [], [], np.zeros((len(blocks), MEASURES), np.float32)
+@dataclass
+class Numbers:
+    """A page for the labeller.  Path nodes stand parents first: the parent of each (-1: none), and the rows they add with
+    the node of each row; for each block its node (-1: none), the row of its leaf, how many words it has (one at least) and
+    its measures; and the rows of all words, block by block."""
+
+    parent: list[int]
+    add_rows: np.ndarray
+    add_node: np.ndarray
+    node: np.ndarray
+    leaf: np.ndarray
+    word_rows: np.ndarray
+    counts: np.ndarray
+    measures: np.ndarray
+
+
+def numbers(blocks: list[Block]) -> Numbers:
+    place: dict[int, int] = {}
+    parent, add_rows, add_node, at, leaf, words, counts = [], [], [], [], [], [], []
+    m = np.zeros((len(blocks), MEASURES), np.float32)
     for k, b in enumerate(blocks):
-        last = [f"leaf:{b.path[-1]}"] if b.path else ["leaf:"]
-        paths.append([_row(t, PATH_ROWS) for t in [*dict.fromkeys(b.path), *last]])
+        chain, node = [], b.node
+        while node is not None and id(node) not in place:
+            chain.append(node)
+            node = node.parent
+        for node in reversed(chain):
+            place[id(node)] = len(parent)
+            add_rows += [_row(t, PATH_ROWS) for t in node.fresh]
+            add_node += [len(parent)] * len(node.fresh)
+            parent.append(place[id(node.parent)] if node.parent is not None else -1)
+        at.append(place[id(b.node)] if b.node is not None else -1)
+        leaf.append(_row(f"leaf:{b.node.own[-1]}" if b.node is not None else "leaf:", PATH_ROWS))
         w = b.text.lower().split()
-        words.append([_row(t, WORD_ROWS) for t in w])
-        m[k] = (np.log1p(len(b.text)) / 6, b.linked, min(1.0, len(w) / 30), k / max(1, len(blocks) - 1), b.text[-1] in ".!?", len(b.path) / 10)
-    return paths, words, m
+        words += [_row(t, WORD_ROWS) for t in w]
+        counts.append(len(w))
+        depth = b.node.depth if b.node is not None else 0
+        m[k] = (np.log1p(len(b.text)) / 6, b.linked, min(1.0, len(w) / 30), k / max(1, len(blocks) - 1), b.text[-1] in ".!?", min(3.0, depth / 10))
+    ints = lambda v: np.array(v, np.int64)
+    return Numbers(parent, ints(add_rows), ints(add_node), ints(at), ints(leaf), ints(words), ints(counts), m)
 
 
 def _sigmoid(x: np.ndarray) -> np.ndarray:
@@ -140,16 +266,22 @@ class Labeller:
         for side in "fb":
             self.p |= {f"W{side}": d(INPUT, 4 * HIDDEN, k=INPUT**-0.5), f"U{side}": d(HIDDEN, 4 * HIDDEN, k=HIDDEN**-0.5), f"c{side}": np.repeat(np.array([0, 1, 0, 0], np.float32), HIDDEN)}
 
-    def inputs(self, pages: list[tuple]) -> tuple[np.ndarray, np.ndarray]:
-        t = max(len(p[2]) for p in pages)
+    def inputs(self, pages: list[Numbers]) -> tuple[np.ndarray, np.ndarray]:
+        t = max(len(p.node) for p in pages)
         x, mask = np.zeros((len(pages), t, INPUT), np.float32), np.zeros((len(pages), t, 1), np.float32)
-        for i, (paths, words, m) in enumerate(pages):
-            for k in range(len(m)):
-                x[i, k, :PATH_DIM] = self.p["path"][paths[k]].sum(axis=0)
-                if words[k]:
-                    x[i, k, PATH_DIM : PATH_DIM + WORD_DIM] = self.p["word"][words[k]].mean(axis=0)
-            x[i, : len(m), -MEASURES:] = m
-            mask[i, : len(m)] = 1
+        path, word = self.p["path"], self.p["word"]
+        for i, page in enumerate(pages):
+            n = len(page.node)
+            sums = np.zeros((len(page.parent) + 1, PATH_DIM), path.dtype)  # the last row is that of no node
+            np.add.at(sums, page.add_node, path[page.add_rows])
+            for k, up in enumerate(page.parent):
+                if up >= 0:
+                    sums[k] += sums[up]
+            x[i, :n, :PATH_DIM] = sums[page.node] + path[page.leaf]
+            starts = np.cumsum(page.counts) - page.counts
+            x[i, :n, PATH_DIM : PATH_DIM + WORD_DIM] = np.add.reduceat(word[page.word_rows], starts) / page.counts[:, None]
+            x[i, :n, -MEASURES:] = page.measures
+            mask[i, :n] = 1
         return x, mask
 
     def _run(self, x: np.ndarray, mask: np.ndarray, side: str, keep: list | None = None) -> np.ndarray:
@@ -189,14 +321,14 @@ class Labeller:
         grad[f"c{side}"] += flat.sum(axis=0)
         return dz_all @ w.T
 
-    def scores(self, pages: list[tuple]) -> list[np.ndarray]:
+    def scores(self, pages: list[Numbers]) -> list[np.ndarray]:
         """The probability of main text for every block of every page (pages as ``numbers`` gives them, none empty)."""
         x, mask = self.inputs(pages)
         h = np.concatenate([self._run(x, mask, "f"), self._run(x, mask, "b")], axis=2)
         p = _sigmoid(h @ self.p["v"] + self.p["v0"])
-        return [p[i, : len(q[2])] for i, q in enumerate(pages)]
+        return [p[i, : len(q.node)] for i, q in enumerate(pages)]
 
-    def step(self, pages: list[tuple], labels: list[np.ndarray]) -> dict[str, np.ndarray]:
+    def step(self, pages: list[Numbers], labels: list[np.ndarray]) -> dict[str, np.ndarray]:
         """Gradients of the mean log loss of a batch."""
         x, mask = self.inputs(pages)
         kf, kb = [], []
@@ -211,15 +343,20 @@ class Labeller:
         grad["v0"] = d.sum(keepdims=True).reshape(1)
         dh = d[:, :, None] * self.p["v"]
         dx = self._back(x, mask, "f", kf, dh[:, :, :HIDDEN], grad) + self._back(x, mask, "b", kb, dh[:, :, HIDDEN:], grad)
-        for i, (paths, words, m) in enumerate(pages):
-            for k in range(len(m)):
-                np.add.at(grad["path"], paths[k], dx[i, k, :PATH_DIM])
-                if words[k]:
-                    np.add.at(grad["word"], words[k], dx[i, k, PATH_DIM : PATH_DIM + WORD_DIM] / len(words[k]))
+        for i, page in enumerate(pages):
+            n, below = len(page.node), np.zeros((len(page.parent) + 1, PATH_DIM), np.float32)
+            np.add.at(below, page.node, dx[i, :n, :PATH_DIM])
+            np.add.at(grad["path"], page.leaf, dx[i, :n, :PATH_DIM])
+            for k in range(len(page.parent) - 1, -1, -1):
+                if page.parent[k] >= 0:
+                    below[page.parent[k]] += below[k]
+            np.add.at(grad["path"], page.add_rows, below[page.add_node])
+            each = dx[i, :n, PATH_DIM : PATH_DIM + WORD_DIM] / page.counts[:, None]
+            np.add.at(grad["word"], page.word_rows, np.repeat(each, page.counts, axis=0))
         return grad
 
 
-def fit(examples: list[tuple[list[Block], np.ndarray]], epochs: int = 14, rate: float = 0.01, batch: int = 40, seed: int = 3) -> Labeller:
+def fit(examples: list[tuple[list[Block], np.ndarray]], epochs: int = 9, rate: float = 0.01, batch: int = 40, seed: int = 3) -> Labeller:
     """Adam on the log loss of block labels."""
     net, r = Labeller(seed), random.Random(seed)
     ready = [(numbers(b), y) for b, y in examples if b]
@@ -234,7 +371,7 @@ def fit(examples: list[tuple[list[Block], np.ndarray]], epochs: int = 14, rate:
             for k, g in grad.items():
                 m1[k] = 0.9 * m1[k] + 0.1 * g
                 m2[k] = 0.99 * m2[k] + 0.01 * g * g
-                net.p[k] -= (rate * (0.85**epoch) * (m1[k] / (1 - 0.9**t)) / (np.sqrt(m2[k] / (1 - 0.99**t)) + 1e-7)).astype(np.float32)
+                net.p[k] -= (rate * (0.8**epoch) * (m1[k] / (1 - 0.9**t)) / (np.sqrt(m2[k] / (1 - 0.99**t)) + 1e-7)).astype(np.float32)
     return net
 
 
@@ -269,50 +406,81 @@ def made_page(r: random.Random) -> str:
             return f"<div>{text()}</div>"
         if pick < 0.46:
             return f"<pre>{MAIN}{words(3, 9)}</pre>"
-        if pick < 0.55:
+        if pick < 0.49:
+            return f"<figure><img src='x.png'><figcaption>{MAIN}{line(2, 9)}</figcaption></figure>"
+        if pick < 0.51:
+            return f"<p>{text()} <math><mi>x</mi></math> {words(2, 8)}.</p>"
+        if pick < 0.53:
+            return f"<dl><dt>{MAIN}{words(1, 2)}<dd>{MAIN}{line()}</dl>"
+        if pick < 0.6:
             return f"<p>{MAIN}{line(1, 4)}</p>"
-        return f"<p>{text()} <a href='/x'>{words(1, 3)}</a> {words(2, 8)}.</p>" if pick < 0.7 else f"<p>{text()}</p>"
+        return f"<p>{text()} <a href='/x'>{words(1, 3)}</a> {words(2, 8)}.</p>" if pick < 0.74 else f"<p>{text()}</p>"
+
+    made = lambda: r.choice((word(), f"{word()}-{word()}", f"{word()}__{word()}", f"css-{word()}"))
+
+    def boxed(kinds: str, body: str, tags: tuple[str, ...] = ("div", "div", "section")) -> str:
+        """A box whose class or id says what it holds, often beside words that say nothing."""
+        kind = r.choice(kinds.split())
+        name = r.choice((kind, kind, f"{kind} {made()}", f"{made()} {kind}", f"{kind}-{word()}", f"{word()}-{kind}"))
+        tag = r.choice(tags)
+        return f'<{tag} {r.choice(("class", "class", "id"))}="{name}">{body}</{tag}>'
 
     def advert() -> str:
-        return f'<div class="{r.choice(("ad", "ads", "advert", "ad banner", "sponsored", "promo", "ad-box", "advertisement"))}">{other(line())}</div>'
+        return boxed("ad ads advert adslot sponsored sponsor promo promoted advertisement banner-ad outbrain", r.choice((other(line()), f"<p>{other(line())}</p>", f"<p>{other(words(1, 3))}</p><a href='/{word()}'>{other(words(1, 4))}</a>")), ("div", "aside", "section"))
 
     def notice() -> str:
-        kind = r.choice(("cookie-notice", "notice", "cookie", "consent banner", "gdpr-notice", "alert notice", "newsletter", "cookie-banner"))
-        return f'<div {r.choice(("class", "id"))}="{kind}"><p>{other(line())}</p><button>{other(words(1, 2))}</button></div>'
+        body = r.choice((f"<p>{other(line())}</p><button>{other(words(1, 2))}</button>", f"{other(line())} <a href='/x'>{words(1, 2)}</a>"))
+        return boxed("cookie-notice notice cookie consent gdpr alert newsletter subscribe paywall popup modal overlay disclaimer announcement toast privacy", body)
 
     def form() -> str:
-        return f'<form action="/s"><label>{other(words(1, 3))}</label><input name="q"><select><option>{other(word())}<option>{other(word())}</select><p>{other(line(2, 8))}</p><button>{other(words(1, 2))}</button></form>'
+        inner = f'<label>{other(words(1, 3))}</label><input name="q"><select><option>{other(word())}<option>{other(word())}</select><p>{other(line(2, 8))}</p><textarea>{other(words(1, 3))}</textarea><button>{other(words(1, 2))}</button>'
+        return r.choice((f'<form action="/s">{inner}</form>', boxed("search contact signup login", f"<form>{inner}</form>"), f"<fieldset><legend>{other(words(1, 2))}</legend>{inner}</fieldset>"))
 
     def sidebar() -> str:
-        inner = f"<h3>{other(words(1, 3))}</h3><ul>{links(r.randint(2, 6))}</ul>" + (f"<p>{other(line())}</p>" if r.random() < 0.5 else "")
-        return r.choice((f"<aside>{inner}</aside>", f'<div class="sidebar">{inner}</div>', f'<div id="sidebar" class="related">{inner}</div>', f'<aside class="widget">{inner}</aside>', f'<section class="related posts">{inner}</section>'))
+        listed = f"<ul>{links(r.randint(2, 6))}</ul>" if r.random() < 0.7 else "".join(f"<p>{other(line(2, 8))}</p>" for _ in range(r.randint(1, 3)))
+        inner = f"<h{r.randint(2, 4)}>{other(words(1, 3))}</h3>{listed}" + (f"<p>{other(line())}</p>" if r.random() < 0.5 else "")
+        return f"<aside>{inner}</aside>" if r.random() < 0.35 else boxed("sidebar side rail widget related popular trending recommended secondary column-right more-stories tags archive most-read author-bio share social", inner, ("div", "div", "aside", "section"))
 
     def comments() -> str:
-        one = lambda: f'<{(t := r.choice(("div", "li", "article")))} class="comment"><p>{other(line(1, 4))}</p><p>{other(line())}</p></{t}>'
-        name = r.choice(("comments", "comment-list", "discussion comments", "respond", "reader-comments"))
-        tag = r.choice(("div", "section", "ol"))
-        return f'<{tag} {r.choice(("id", "class"))}="{name}"><h3>{other(words(1, 3))}</h3>' + "".join(one() for _ in range(r.randint(1, 4))) + f"</{tag}>"
+        one = lambda: f'<{(t := r.choice(("div", "li", "article")))} class="{r.choice(("comment", "comment-body", "reply", "response", "message"))}"><p>{other(line(1, 4))}</p><p>{other(line())}</p></{t}>'
+        return boxed("comments comment-list discussion respond reader-comments replies responses disqus thread feedback", f"<h3>{other(words(1, 3))}</h3>" + "".join(one() for _ in range(r.randint(1, 4))), ("div", "section", "ol"))
 
     def menu() -> str:
         body = r.choice((f"<ul>{links(r.randint(3, 8))}</ul>", "".join(f"<a href='/{word()}'>{other(word())}</a> " for _ in range(4))))
-        return r.choice((f"<nav>{body}</nav>", f'<div class="menu">{body}</div>', f'<div class="breadcrumb">{body}</div>', f'<ul id="nav">{links(4)}</ul>', f'<nav class="main navigation">{body}</nav>'))
+        return f"<nav>{body}</nav>" if r.random() < 0.45 else boxed("menu nav navbar navigation breadcrumb breadcrumbs topnav tabs toolbar pagination pager", body, ("div", "nav", "div"))
 
     def header() -> str:
-        return r.choice(("", f"<header><h1>{other(words(1, 4))}</h1>{menu()}</header>", f'<div id="header"><p>{other(line(2, 8))}</p></div>', f'<header class="site-header"><p>{other(words(1, 5))}</p></header>'))
+        return r.choice(("", f"<header><h1>{other(words(1, 4))}</h1>{menu()}</header>", f'<header class="site-header"><p>{other(words(1, 5))}</p></header>', boxed("header masthead topbar site-head logo branding", r.choice((f"<p>{other(line(2, 8))}</p>", other(words(1, 4)) + menu())))))
 
     def footer() -> str:
-        body = r.choice((f"{other('&copy; ' + word() + '.example.net &middot; ' + line())}", f"<p>{other(line())}</p><ul>{links(3)}</ul>"))
-        return r.choice((f"<footer>{body}</footer>", f"<footer>{body}</footer>", f'<div class="footer">{body}</div>', f'<div id="footer">{body}</div>'))
+        sign = r.choice(("&copy; ", "(c) ", "Copyright ", "", "&#169; 2024 "))
+        body = r.choice((other(sign + word() + r.choice((" &middot; ", " | ", ". ", " - ")) + line()), f"<p>{other(line())}</p><ul>{links(3)}</ul>", f"<p>{other(sign + words(1, 4))}</p>"))
+        return f"<footer>{body}</footer>" if r.random() < 0.6 else boxed("footer colophon copyright legal site-info bottom credits", body)
 
     extras = [advert, notice, form, sidebar, comments]
     some = lambda p: "".join(f() for f in extras if r.random() < p)
-    open_, close = r.choice((("<article>", "</article>"),) * 4 + (("<main>", "</main>"), ("<main><article>", "</article></main>"), ('<div class="content">', "</div>"), ('<div id="content" class="post">', "</div>"), ('<div class="article-body entry">', "</div>"), ('<section class="story">', "</section>"), ('<div class="main-content text">', "</div>")))
+    names = "content post article-body entry story main-content text entry-content post-content rich-text prose body-copy page-content markdown-body story-body single"
+    wrap = r.random()
+    if wrap < 0.4:
+        open_, close = "<article>", "</article>"
+    elif wrap < 0.52:
+        open_, close = r.choice((("<main>", "</main>"), ("<main><article>", "</article></main>"), ('<div role="main">', "</div>")))
+    elif wrap < 0.85:
+        tag = r.choice(("div", "div", "section", "article"))
+        open_, close = f'<{tag} {r.choice(("class", "id"))}="{r.choice(names.split())}{r.choice(("", "", " " + made()))}">', f"</{tag}>"
+    elif wrap < 0.95:
+        open_, close = r.choice((("<div>", "</div>"), (f'<div class="{made()}">', "</div>"), ("<table><tr><td>", "</td></tr></table>")))
+    else:
+        open_ = close = ""
     inside = [f"<h1>{MAIN}{line(2, 9)}</h1>"] * (r.random() < 0.85) + [paragraph() for _ in range(r.randint(1, 12))]
     for f in extras:
         if r.random() < 0.08:
             inside.insert(r.randint(0, len(inside)), f())
-    body = (header() + (menu() if r.random() < 0.85 else "")) + "<!-- ad 1 -->" * (r.random() < 0.5) + some(0.25) + open_ + "".join(inside) + close + some(0.3) + footer()
-    head = f'<!DOCTYPE html><html lang="en"><head><meta charset="utf-8"><title>{words(2, 6)}</title><style>p{{margin:0}}</style><script>var t="</p>";</script></head><body>'
+    fallback = f"<noscript><p>{other(line(2, 9))}</p></noscript>" if r.random() < 0.1 else ""
+    body = (header() + (menu() if r.random() < 0.85 else "")) + fallback + "<!-- ad 1 -->" * (r.random() < 0.5) + some(0.25) + open_ + "".join(inside) + close + some(0.3) + footer()
+    if r.random() < 0.3:
+        body = f'<div {r.choice(("class", "id"))}="{r.choice(("wrapper", "page", "container", "layout", "app", "root", made()))}">{body}</div>'
+    head = f'<!DOCTYPE html><html lang="en"><head><meta charset="utf-8"><title>{other(words(2, 6))}</title><style>p{{margin:0}}</style><script>var t="</p>";</script></head><body>'
     return head + body + r.choice(("</body></html>", ""))
 
 
@@ -328,7 +496,7 @@ def examples(n: int, seed: int) -> list[tuple[list[Block], np.ndarray]]:
 
 
 @lru_cache(maxsize=1)
-def trained(pages: int = 900, seed: int = 5) -> Labeller:
+def trained(pages: int = 800, seed: int = 5) -> Labeller:
     return fit(examples(pages, seed))
 
 
@@ -350,7 +518,11 @@ def main_texts(pages: list[str | None], net: Labeller) -> list[str]:
 
 
 def extract(pages: DataFrame, net: Labeller | None = None) -> DataFrame:
-    """page_id, url, text and n_chars of every page; null html counts as empty and gives an empty text."""
+    """page_id, url, text and n_chars of every page, a row for each row.
+
+    Null html counts as empty and gives an empty text; so does a page without main text.  Repeated pages give repeated rows;
+    columns besides page_id, url and html are not read.  Empty table: empty result.
+    """
     sent = pages.sparkSession.sparkContext.broadcast(net or trained())
 
     @F.pandas_udf("string")
