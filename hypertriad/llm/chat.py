@@ -1,8 +1,8 @@
 """Tool-call linking in conversations, in DataFrame operations only.
 
-Calls and results meet by an equi join on the call's identifier, with the results of an identifier aggregated first, so
-repeated identifiers never multiply.  A conversation's calls are put in topological order of their dependencies, and in
-message order where these leave a choice: only calls between one and a later (or equal) turn it depends on are sorted in
+Calls and results meet by a hash join on the call's identifier, with the results of an identifier aggregated first, so
+repeated identifiers never multiply; null identifiers stay out of the join.  A conversation's calls are put in topological order of their dependencies, and in
+message order (then by name, arguments and identifier) where these leave a choice: only calls between one and a later (or equal) turn it depends on are sorted in
 rounds, the others stand in order already.  Missing dependencies and cycles are named in the status.
 Numbers come from a range partitioning with counts carried over, so one conversation may be any part of the table.
 Arguments are parsed to variants: their keys are sorted and their JSON is compact, which makes the canonical form.
@@ -10,6 +10,7 @@ Arguments are parsed to variants: their keys are sorted and their JSON is compac
 
 from __future__ import annotations
 
+import json
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame, Window
@@ -17,21 +18,25 @@ from pyspark.sql import functions as F
 
 from .common import Stored, row_uid
 
-#: name -> field -> (JSON type, required, least length of a string)
-SCHEMAS: dict[str, dict[str, tuple[str, bool, int]]] = {
-    "reply": {"text": ("string", True, 1), "turn": ("integer", True, 0)},
-    "configure": {"text": ("string", True, 1), "turn": ("integer", True, 0)},
+#: name -> schema of its arguments, in the words of JSON Schema: type (one or a list), required, properties,
+#: additionalProperties, enum, minimum, maximum, minLength, maxLength, items, minItems and maxItems.
+SCHEMAS: dict[str, dict] = {
+    name: {"type": "object", "properties": {"text": {"type": "string", "minLength": 1}, "turn": {"type": "integer", "minimum": 0}}, "required": ["text", "turn"], "additionalProperties": False}
+    for name in ("reply", "configure")
 }
 ROWS_PER_PART = 50_000
+#: What decides the order of calls of one turn.
+CONTENT = ("name", "arguments", "call_id")
 #: Tasks that the results of one identifier are dealt to.
 SALTS = 16
 
-_KINDS = {"string": ("STRING",), "integer": ("BIGINT",), "number": ("BIGINT", "DOUBLE", "DECIMAL"), "boolean": ("BOOLEAN",), "object": ("OBJECT",), "array": ("ARRAY",)}
+_KINDS = {"string": ("STRING",), "integer": ("BIGINT",), "number": ("BIGINT", "DOUBLE", "DECIMAL"), "boolean": ("BOOLEAN",), "object": ("OBJECT",), "array": ("ARRAY",), "null": ("VOID",)}
+_WORDS = frozenset("type required properties additionalProperties enum minimum maximum minLength maxLength items minItems maxItems".split())
 
 
-def canonical(json: Column) -> Column:
+def canonical(text: Column) -> Column:
     """Canonical JSON: compact, keys in order; null for text that is not JSON or repeats a key."""
-    return F.to_json(F.try_parse_json(json))
+    return F.to_json(F.try_parse_json(text))
 
 
 def quoted(text: Column) -> Column:
@@ -40,21 +45,50 @@ def quoted(text: Column) -> Column:
     return F.when(text.isNull(), F.lit("null")).otherwise(F.substring(inside, F.lit(2), F.length(inside) - 2))
 
 
-def valid(name: Column, arguments: Column, schemas: dict[str, dict[str, tuple[str, bool, int]]] = SCHEMAS) -> Column:
-    """Whether the arguments (JSON) fit the schema of the call's name: types, required fields, least lengths, and no
-    field besides.  Unknown names, null or malformed arguments do not fit."""
+def fits(v: Column, schema: dict) -> Column:
+    """Whether a variant fits a schema; nested objects and items of arrays are checked in the same expression."""
+    if unknown := set(schema) - _WORDS:
+        raise ValueError(f"unknown words in a schema: {sorted(unknown)}")
+    found = F.regexp_extract(F.schema_of_variant(v), "^[A-Z]+", 0)
+    kinds = [schema["type"]] if isinstance(schema.get("type"), str) else schema.get("type")
+    ok = found.isin(*[k for kind in kinds for k in _KINDS[kind]]) if kinds else F.lit(True)
+    if "enum" in schema:
+        ok &= F.to_json(v).isin(*[json.dumps(e, separators=(",", ":"), sort_keys=True, ensure_ascii=False) for e in schema["enum"]])
+    number = F.try_variant_get(v, "$", "double")
+    for word, test in (("minimum", lambda x: number >= x), ("maximum", lambda x: number <= x)):
+        if word in schema:
+            ok &= ~found.isin(*_KINDS["number"]) | test(schema[word])
+    length = F.length(F.try_variant_get(v, "$", "string"))
+    for word, test in (("minLength", lambda x: length >= x), ("maxLength", lambda x: length <= x)):
+        if word in schema:
+            ok &= (found != "STRING") | test(schema[word])
+    if {"items", "minItems", "maxItems"} & set(schema):
+        items = F.try_variant_get(v, "$", "array<variant>")
+        inside = F.size(items) >= schema.get("minItems", 0)
+        if "maxItems" in schema:
+            inside &= F.size(items) <= schema["maxItems"]
+        if "items" in schema:
+            inside &= F.forall(items, lambda x: F.coalesce(fits(x, schema["items"]), F.lit(False)))
+        ok &= (found != "ARRAY") | inside
+    if {"properties", "required", "additionalProperties"} & set(schema):
+        fields, known = F.try_variant_get(v, "$", "map<string,variant>"), schema.get("properties", {})
+        inside = F.lit(True)
+        for field in schema.get("required", []):
+            inside &= F.map_contains_key(fields, field)
+        for field, own in known.items():
+            inside &= ~F.map_contains_key(fields, field) | F.coalesce(fits(F.element_at(fields, F.lit(field)), own), F.lit(False))
+        if schema.get("additionalProperties") is False:
+            inside &= F.size(F.array_except(F.map_keys(fields), F.array(*[F.lit(f) for f in known]).cast("array<string>"))) == 0
+        ok &= (found != "OBJECT") | inside
+    return ok
+
+
+def valid(name: Column, arguments: Column, schemas: dict[str, dict] = SCHEMAS) -> Column:
+    """Whether the arguments (JSON) fit the schema of the call's name.  Unknown names, null or malformed arguments do not."""
     v = F.try_parse_json(arguments)
     out = F.lit(False)
-    for known, fields in schemas.items():
-        ok = F.size(F.array_except(F.json_object_keys(arguments), F.array(*[F.lit(f) for f in fields]))) == 0
-        for field, (kind, required, least) in fields.items():
-            value = F.try_variant_get(v, f"$.{field}", "variant")
-            found = F.regexp_extract(F.schema_of_variant(value), "^[A-Z]+", 0)
-            fits = found.isin(*_KINDS[kind])
-            if kind == "string" and least:
-                fits &= F.length(F.try_variant_get(v, f"$.{field}", "string")) >= least
-            ok &= F.coalesce(fits, F.lit(not required)) if required else F.coalesce(fits, F.lit(True))
-        out = F.when(name == known, F.coalesce(ok, F.lit(False))).otherwise(out)
+    for known, schema in schemas.items():
+        out = F.when(name == known, F.coalesce(fits(v, schema), F.lit(False))).otherwise(out)
     return F.coalesce(out, F.lit(False))
 
 
@@ -121,11 +155,11 @@ def in_order(calls: DataFrame, store: Stored, rows: int) -> DataFrame:
     """Stored calls with a _uid, with their ``position`` in the conversation and ``_bad``: a dependency is missing in
     the conversation, or on a cycle with the call, or waits for a cycle and has no earlier place."""
     keep = calls.withColumn("_at", F.coalesce("turn", F.lit(-(2**63))))
-    known = keep.groupBy(F.col("conv_id").alias("_c"), F.col("call_id").alias("_d")).agg(F.min("_at").alias("_d_at"))
+    known = keep.where("call_id is not null").groupBy(F.col("conv_id").alias("_c"), F.col("call_id").alias("_d")).agg(F.min("_at").alias("_d_at"))
     edges = store.put(keep.select("_uid", "conv_id", "_at", F.explode("after").alias("_dep")).join(known, _same_call("_c", "_d"), "left").drop("_c", "_d"))
     if edges.where("_d_at >= _at").isEmpty():
         bad = edges.groupBy("_uid").agg(F.max(F.col("_d_at").isNull()).alias("_bad"))
-        return ordered_positions(calls, "conv_id", ["turn", "_uid"], "position", store, rows).join(bad, "_uid", "left")
+        return ordered_positions(calls, "conv_id", ["turn", *CONTENT, "_uid"], "position", store, rows).join(bad, "_uid", "left")
     placed, cyclic = _sorted_in_rounds(keep, edges, store, rows)
     at = store.put(keep.join(placed, "_uid", "left").withColumns({"_t": F.coalesce("_t", "_at"), "_level": F.coalesce("_level", F.lit(0))}).drop("_at"))
     key = F.struct("_t", "_level")
@@ -133,10 +167,10 @@ def in_order(calls: DataFrame, store: Stored, rows: int) -> DataFrame:
     own = edges.select("_uid", "conv_id", "_dep").join(at.select("_uid", key.alias("_own")), "_uid")
     late = own.join(first, _same_call("_c", "_d"), "left").select("_uid", F.coalesce(F.col("_key") >= F.col("_own"), F.lit(True)).alias("_bad"))
     bad = late.unionByName(cyclic.withColumn("_bad", F.lit(True))).groupBy("_uid").agg(F.max("_bad").alias("_bad"))
-    return ordered_positions(at, "conv_id", ["_t", "_level", "turn", "_uid"], "position", store, rows).join(bad, "_uid", "left").drop("_t", "_level")
+    return ordered_positions(at, "conv_id", ["_t", "_level", "turn", *CONTENT, "_uid"], "position", store, rows).join(bad, "_uid", "left").drop("_t", "_level")
 
 
-def link(calls: DataFrame, results: DataFrame, schemas: dict[str, dict[str, tuple[str, bool, int]]] = SCHEMAS) -> DataFrame:
+def link(calls: DataFrame, results: DataFrame, schemas: dict[str, dict] = SCHEMAS) -> DataFrame:
     """Calls with their results, in order, checked and serialised.
 
     calls: conv_id long, turn long, call_id string, name string, arguments string (JSON), after array<string> (call_ids
@@ -145,24 +179,29 @@ def link(calls: DataFrame, results: DataFrame, schemas: dict[str, dict[str, tupl
     identifier), valid, status (``linked``, ``unanswered``, or ``bad_dependency`` if one is missing in the conversation or
     on a cycle) and record, the canonical JSON.  A call with several results takes the least content
     (``each_result`` gives them all).  Results of no call are given as
-    rows with null position and name and status ``orphan``, one for each identifier.  Null identifiers link to nothing.
+    rows with null position and name and status ``orphan``, one for each identifier.  Null identifiers link to nothing: such
+    calls are unanswered, and each such result is an orphan of its own.  Calls of null conv_id are one conversation.  Repeated
+    rows are calls (results) of their own.  Empty tables: empty result.
     """
     store = Stored(calls.sparkSession)
     keep = store.put(calls.select("conv_id", "turn", "call_id", "name", "arguments", "after").withColumn("_uid", row_uid()))
     rows = keep.count()
-    answered = results.groupBy("call_id").agg(F.count(F.lit(1)).alias("n_results"), F.min("content").alias("content"))
-    joined = in_order(keep, store, rows).join(answered, "call_id", "full")
+    answered = results.where("call_id is not null").groupBy("call_id").agg(F.count(F.lit(1)).alias("n_results"), F.min("content").alias("content"))
+    placed = store.put(in_order(keep, store, rows))
+    joined = placed.where("call_id is not null").join(answered.hint("shuffle_hash"), "call_id", "full")
+    nameless = results.where("call_id is null").select("call_id", F.lit(1).cast("long").alias("n_results"), "content")
+    joined = joined.unionByName(placed.where("call_id is null"), allowMissingColumns=True).unionByName(nameless, allowMissingColumns=True)
     is_call = F.col("_uid").isNotNull()
     n = F.coalesce("n_results", F.lit(0)).cast("long")
-    fits = valid(F.col("name"), F.col("arguments"), schemas)
+    fit = valid(F.col("name"), F.col("arguments"), schemas)
     status = F.when(~is_call, "orphan").when(F.coalesce("_bad", F.lit(False)), "bad_dependency").when(n == 0, "unanswered").otherwise("linked")
     record = F.concat(
         F.lit('{"after":'), F.to_json(F.coalesce("after", F.array().cast("array<string>"))),
         F.lit(',"arguments":'), F.coalesce(canonical(F.col("arguments")), F.lit("null")),
         F.lit(',"id":'), quoted(F.col("call_id")), F.lit(',"name":'), quoted(F.col("name")),
-        F.lit(',"result":'), quoted(F.col("content")), F.lit(',"valid":'), fits.cast("string"), F.lit("}"),
+        F.lit(',"result":'), quoted(F.col("content")), F.lit(',"valid":'), fit.cast("string"), F.lit("}"),
     )
-    return joined.select("conv_id", F.col("position").cast("long"), "call_id", "name", n.alias("n_results"), F.when(is_call, fits).alias("valid"), status.alias("status"), record.alias("record"))
+    return joined.select("conv_id", F.col("position").cast("long"), "call_id", "name", n.alias("n_results"), F.when(is_call, fit).alias("valid"), status.alias("status"), record.alias("record"))
 
 
 def each_result(calls: DataFrame, results: DataFrame) -> DataFrame:
@@ -174,7 +213,7 @@ def each_result(calls: DataFrame, results: DataFrame) -> DataFrame:
     """
     store = Stored(results.sparkSession)
     rows = store.put(results.select("conv_id", "turn", "call_id", "content", F.struct("conv_id", "call_id").alias("_of")).withColumn("_uid", row_uid()))
-    numbered = ordered_positions(rows, "_of", ["turn", "_uid"], "number", store, rows.count()).withColumn("_salt", F.pmod("_uid", F.lit(SALTS)).cast("int"))
+    numbered = ordered_positions(rows, "_of", ["turn", "content", "_uid"], "number", store, rows.count()).withColumn("_salt", F.pmod("_uid", F.lit(SALTS)).cast("int"))
     asked = calls.select(F.col("conv_id").alias("_c"), F.col("call_id").alias("_d")).where("_d IS NOT NULL").distinct().withColumn("_s", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
     met = numbered.join(asked, F.col("conv_id").eqNullSafe(F.col("_c")) & (F.col("call_id") == F.col("_d")) & (F.col("_salt") == F.col("_s")), "left")
     return met.select("conv_id", "turn", "call_id", F.col("number").cast("long"), F.when(F.col("_d").isNull(), "orphan").otherwise("answer").alias("status"), "content")
@@ -185,9 +224,9 @@ def calls_and_results(conversations: DataFrame) -> tuple[DataFrame, DataFrame]:
 
     A user turn calls ``reply`` and a system turn ``configure``, with the text and the turn as arguments, under the
     identifier conv_id:turn; a user turn after turn 1 depends on the call two turns before.  Any other turn is a result for
-    the call one turn before.  Null roles are results; null conv_id or turn gives the word ``null`` in identifiers.
+    the call one turn before.  Null roles are results; with a null conv_id or turn there is no identifier.
     """
-    name = lambda shift: F.concat_ws(":", F.coalesce(F.col("conv_id").cast("string"), F.lit("null")), F.coalesce((F.col("turn") - shift).cast("string"), F.lit("null")))
+    name = lambda shift: F.concat(F.col("conv_id").cast("string"), F.lit(":"), (F.col("turn") - shift).cast("string"))
     asks = F.coalesce(F.col("role").isin("user", "system"), F.lit(False))
     arguments = F.concat(F.lit('{"turn":'), F.coalesce(F.col("turn").cast("string"), F.lit("null")), F.lit(',"text":'), quoted(F.col("text")), F.lit("}"))
     calls = conversations.where(asks).select(
@@ -209,28 +248,30 @@ def conversation_results(conversations: DataFrame) -> DataFrame:
 ORACLE = """
 WITH m AS (SELECT conv_id, turn, role, text,
                   coalesce(role IN ('user', 'system'), false) AS asks,
-                  coalesce(CAST(conv_id AS VARCHAR), 'null') || ':' || coalesce(CAST(turn AS VARCHAR), 'null') AS own,
-                  coalesce(CAST(conv_id AS VARCHAR), 'null') || ':' || coalesce(CAST(turn - 1 AS VARCHAR), 'null') AS one,
-                  coalesce(CAST(conv_id AS VARCHAR), 'null') || ':' || coalesce(CAST(turn - 2 AS VARCHAR), 'null') AS two
+                  CAST(conv_id AS VARCHAR) || ':' || CAST(turn AS VARCHAR) AS own,
+                  CAST(conv_id AS VARCHAR) || ':' || CAST(turn - 1 AS VARCHAR) AS one,
+                  CAST(conv_id AS VARCHAR) || ':' || CAST(turn - 2 AS VARCHAR) AS two
            FROM conversations),
 c AS (SELECT conv_id, turn, own AS call_id, CASE role WHEN 'user' THEN 'reply' ELSE 'configure' END AS name, text,
-             CASE WHEN role = 'user' AND turn > 1 THEN two END AS dep,
-             row_number() OVER (PARTITION BY conv_id ORDER BY turn, text) - 1 AS position
+             role = 'user' AND turn > 1 AS waits, CASE WHEN role = 'user' AND turn > 1 THEN two END AS dep,
+             row_number() OVER (PARTITION BY conv_id ORDER BY turn NULLS FIRST, CASE role WHEN 'user' THEN 'reply' ELSE 'configure' END,
+                                                              coalesce(CAST(to_json(text) AS VARCHAR), 'null')) - 1 AS position,
+             coalesce(length(text), 0) >= 1 AND turn IS NOT NULL AND coalesce(turn, 0) >= 0 AS fits
       FROM m WHERE asks),
 k AS (SELECT call_id, min(turn) AS t FROM c GROUP BY call_id),
-r AS (SELECT one AS call_id, count(*) AS n, min(text) AS content FROM m WHERE NOT asks GROUP BY one)
+r AS (SELECT one AS call_id, count(*) AS n, min(text) AS content FROM m WHERE NOT asks AND one IS NOT NULL GROUP BY one
+      UNION ALL SELECT NULL, 1, text FROM m WHERE NOT asks AND one IS NULL)
 SELECT c.conv_id, c.position AS position, coalesce(c.call_id, r.call_id) AS call_id, c.name AS name,
-       coalesce(r.n, 0) AS n_results,
-       CASE WHEN c.call_id IS NOT NULL THEN coalesce(length(c.text), 0) >= 1 AND c.turn IS NOT NULL END AS valid,
-       CASE WHEN c.call_id IS NULL THEN 'orphan'
-            WHEN c.dep IS NOT NULL AND coalesce(NOT (k.t < c.turn), true) THEN 'bad_dependency'
+       coalesce(r.n, 0) AS n_results, c.fits AS valid,
+       CASE WHEN c.name IS NULL THEN 'orphan'
+            WHEN c.waits AND coalesce(NOT (k.t < c.turn), true) THEN 'bad_dependency'
             WHEN r.n IS NULL THEN 'unanswered' ELSE 'linked' END AS status,
-       CASE WHEN c.call_id IS NULL
-            THEN '{"after":[],"arguments":null,"id":' || to_json(r.call_id) || ',"name":null,"result":' || coalesce(CAST(to_json(r.content) AS VARCHAR), 'null') || ',"valid":false}'
-            ELSE '{"after":' || CASE WHEN c.dep IS NULL THEN '[]' ELSE '[' || to_json(c.dep) || ']' END
+       CASE WHEN c.name IS NULL
+            THEN '{"after":[],"arguments":null,"id":' || coalesce(CAST(to_json(r.call_id) AS VARCHAR), 'null') || ',"name":null,"result":' || coalesce(CAST(to_json(r.content) AS VARCHAR), 'null') || ',"valid":false}'
+            ELSE '{"after":' || CASE WHEN coalesce(c.waits, false) THEN '[' || coalesce(CAST(to_json(c.dep) AS VARCHAR), 'null') || ']' ELSE '[]' END
                  || ',"arguments":{"text":' || coalesce(CAST(to_json(c.text) AS VARCHAR), 'null') || ',"turn":' || coalesce(CAST(c.turn AS VARCHAR), 'null')
-                 || '},"id":' || to_json(c.call_id) || ',"name":' || to_json(c.name)
+                 || '},"id":' || coalesce(CAST(to_json(c.call_id) AS VARCHAR), 'null') || ',"name":' || to_json(c.name)
                  || ',"result":' || coalesce(CAST(to_json(r.content) AS VARCHAR), 'null')
-                 || ',"valid":' || CASE WHEN coalesce(length(c.text), 0) >= 1 AND c.turn IS NOT NULL THEN 'true' ELSE 'false' END || '}' END AS record
+                 || ',"valid":' || CASE WHEN c.fits THEN 'true' ELSE 'false' END || '}' END AS record
 FROM c FULL JOIN r ON c.call_id = r.call_id LEFT JOIN k ON k.call_id = c.dep
 """
