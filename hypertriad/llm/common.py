@@ -13,6 +13,9 @@ from pyspark.sql import functions as F
 #: Rows that one task numbers at once in ``gapless``.
 ROWS_PER_BUCKET = 20_000
 LEAST_BUCKETS = 256
+#: A key with fewer rows than this is never joined apart; one with a HEAVY_PARTSth of all rows always is, so at most
+#: HEAVY_PARTS keys are broadcast.
+HEAVY_LEAST, HEAVY_PARTS = 1_000, 1_000
 
 
 def shared_root(spark: SparkSession) -> str:
@@ -83,6 +86,15 @@ def row_uid() -> Column:
     return F.monotonically_increasing_id()
 
 
+def join_skewed(left: DataFrame, right: DataFrame, on: list[str], size: str, rows: int) -> DataFrame:
+    """``left`` with the columns of ``right`` (one row for each key, ``size`` being the number of left rows of the key), as an
+    inner join.  Keys with a large share of all ``rows``, of which there are few, are broadcast; the others meet by shuffle."""
+    heavy = F.col(size) >= max(HEAVY_LEAST, rows // HEAVY_PARTS)
+    some = F.broadcast(right.where(heavy).drop(size))  # at most HEAVY_PARTS rows
+    light = left.join(some.select(*on), on, "left_anti").join(right.where(~heavy).drop(size), on)
+    return left.join(some, on).unionByName(light)
+
+
 def gapless(stored: DataFrame, keys: list[str], uid: str, out: str, rows: int) -> DataFrame:
     """Number the rows of every key 0, 1, ... with no gap, however many rows one key has.
 

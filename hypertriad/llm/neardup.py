@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Stored, fresh, row_uid
+from .common import HEAVY_LEAST, HEAVY_PARTS, Stored, fresh, join_skewed, row_uid
 from .components import components
 
 WORDS = 5
@@ -44,9 +44,6 @@ COPY_BANDS, COPY_ROWS, COPY_COUNTERS, UNIT = 4, 3, 2, 1 << 12
 LEAST_ESTIMATE = 0.62
 BLOCK = 1024
 CHUNK = 1 << 16
-#: A key with fewer rows than this is never split off; one with a HEAVY_PARTth of all rows always is, so at most
-#: HEAVY_PARTS keys are broadcast.
-HEAVY_LEAST, HEAVY_PARTS = 1_000, 1_000
 
 _BLANK = bytes(b if b >= 128 or chr(b).isalnum() else 32 for b in range(256))
 
@@ -430,15 +427,6 @@ def across(buckets: DataFrame, prints: DataFrame, vecs: DataFrame, threshold: fl
     return likely.join(vecs, "node").repartition(*keys).sortWithinPartitions(*keys).mapInArrow(join, "u long, v long")
 
 
-def join_skewed(left: DataFrame, right: DataFrame, on: list[str], size: str, rows: int) -> DataFrame:
-    """``left`` with the columns of ``right`` (one row for each key, ``size`` being the number of left rows of the key), as an
-    inner join.  Keys with a large share of all rows, of which there are few, are broadcast; the others meet by shuffle."""
-    heavy = F.col(size) >= max(HEAVY_LEAST, rows // HEAVY_PARTS)
-    some = F.broadcast(right.where(heavy).drop(size))  # at most HEAVY_PARTS rows
-    light = left.join(some.select(*on), on, "left_anti").join(right.where(~heavy).drop(size), on)
-    return left.join(some, on).unionByName(light)
-
-
 def _placed(docs: DataFrame, threshold: float, least_estimate: float = LEAST_ESTIMATE) -> DataFrame:
     """doc_id, digest of the text and class (uid of its first row, least doc_id and number of its texts' rows), stored."""
     spark = docs.sparkSession
