@@ -1,10 +1,11 @@
-"""SentencePiece encoding and decoding by a weighted finite-state transducer.
-
-The vocabulary is compiled once: a normaliser (blank to the blank mark, a leading mark), a piece transducer (a trie whose
-final arcs carry a piece and its weight and return to the root) and a byte-fallback arc for every byte of a character that
-no path covers.  An input is composed with it lazily and the path of least weight in the tropical semiring is taken in one
-pass in topological order.  Where no piece spans a place, composition and shortest path split there exactly; the parts
-recur (they are words, mostly) and their paths are kept in a bounded table.
+"""SentencePiece encoding and decoding by weighted finite-state transducers.
+
+The vocabulary is compiled once into two transducers.  The normaliser rewrites characters (blanks to marks, a leading mark,
+squeezed blanks and the model's own character map, whichever the model asks for).  The piece transducer is a trie from whose
+final states an arc without input writes a piece, at its weight, and returns to the root; at the root, a character that is no
+piece writes its bytes.  An input is composed with both lazily, state by state, and the path of least weight in the tropical
+semiring is taken in one pass over the states alive.  Where no piece spans a place, composition and shortest path split there
+exactly; the parts recur (they are words, mostly) and their paths are kept in a bounded table.
 """
 
 from __future__ import annotations
@@ -60,6 +61,29 @@ def _fields(data: bytes) -> Iterator[tuple[int, bytes | int]]:
             at += n
 
 
+def character_map(blob: bytes) -> dict[str, str]:
+    """The rules of a model's character map: a double-array trie of 32-bit units, behind their length in bytes, whose leaves
+    name places among zero-ended replacements."""
+    if not blob:
+        return {}
+    size = struct.unpack_from("<I", blob)[0]
+    units, texts = np.frombuffer(blob, "<u4", size // 4, 4).tolist(), blob[4 + size :]
+    reach = lambda u: (u >> 10) << ((u & 512) >> 6)
+    out: dict[str, str] = {}
+    todo = [(reach(units[0]), b"")]
+    while todo:
+        node, key = todo.pop()
+        for c in range(1, 256):
+            at = node ^ c
+            if at < len(units) and units[at] & 0x800000FF == c:
+                child = at ^ reach(units[at])
+                if units[at] >> 8 & 1:
+                    place = units[child] & 0x7FFFFFFF
+                    out[(key + bytes([c])).decode("utf-8", "surrogateescape")] = texts[place : texts.index(b"\0", place)].decode()
+                todo.append((child, key + bytes([c])))
+    return out
+
+
 @dataclass
 class Vocabulary:
     pieces: list[str]
@@ -68,12 +92,14 @@ class Vocabulary:
     unigram: bool
     dummy_prefix: bool = True
     squeeze: bool = False
+    charmap: dict[str, str] = field(default_factory=dict)
+    escape: bool = True
 
     @staticmethod
     def read(path: str) -> Vocabulary:
         with open(path, "rb") as f:
             data = f.read()
-        pieces, scores, kinds, model, prefix, squeeze, charsmap = [], [], [], UNIGRAM, True, True, b""
+        pieces, scores, kinds, model, prefix, squeeze, escape, charmap = [], [], [], UNIGRAM, True, True, True, {}
         for n, v in _fields(data):
             if n == PIECES:
                 own = dict(_fields(v))
@@ -84,10 +110,8 @@ class Vocabulary:
                 model = dict(_fields(v)).get(3, UNIGRAM)
             elif n == NORMALISER:
                 own = dict(_fields(v))
-                prefix, squeeze, charsmap = bool(own.get(3, 1)), bool(own.get(4, 1)), own.get(2, b"")
-        if charsmap:
-            raise ValueError("only models without a character map are supported")
-        return Vocabulary(pieces, scores, kinds, model == UNIGRAM, prefix, squeeze)
+                prefix, squeeze, escape, charmap = bool(own.get(3, 1)), bool(own.get(4, 1)), bool(own.get(5, 1)), character_map(own.get(2, b""))
+        return Vocabulary(pieces, scores, kinds, model == UNIGRAM, prefix, squeeze, charmap, escape)
 
     def weights(self) -> list[float]:
         """-log probability of each piece: the score of a unigram model; for merge ranks, Zipf's law over the ranks."""
@@ -97,26 +121,71 @@ class Vocabulary:
         return [math.log(2 - s) + total for s in self.scores]
 
 
-@dataclass
-class Transducer:
-    """arcs: for each state, character to state; final: for each state, (piece, weight) or None."""
+class Normaliser:
+    """A sequential transducer over characters.  A state is (what stands before, characters of a rule not yet decided);
+    ``step`` gives the output and the next state, ``finish`` the output at the end of the input."""
 
-    vocabulary: Vocabulary
-    arcs: list[dict[str, int]] = field(default_factory=lambda: [{}])
-    final: list[tuple[int, float] | None] = field(default_factory=lambda: [None])
+    START, BODY, GAP = 0, 1, 2
 
-    def __post_init__(self) -> None:
-        v, joined = self.vocabulary, set()
-        self.byte = {}
-        self.surface: list[bytes] = []
-        spans_mark = False
-        for i, (p, k, w) in enumerate(zip(v.pieces, v.kinds, v.weights())):
-            if k == BYTE:
-                self.byte[int(p[3:5], 16)] = i
-                self.surface.append(bytes([int(p[3:5], 16)]))
+    def __init__(self, v: Vocabulary):
+        self.prefix, self.squeeze, self.rules = v.dummy_prefix, v.squeeze, v.charmap
+        self.blank = MARK if v.escape else " "
+        self.begun = {key[:n] for key in v.charmap for n in range(1, len(key) + 1)}
+        self.plain = not v.squeeze and not v.charmap
+        self.start = (self.START, "")
+
+    def _write(self, mode: int, text: str) -> tuple[str, int]:
+        out = []
+        for c in text:
+            if c == " " and self.squeeze:
+                mode = mode if mode == self.START else self.GAP
                 continue
-            self.surface.append(b"" if k in (UNKNOWN, CONTROL) else p.replace(MARK, " ").encode())
-            if k in (UNKNOWN, CONTROL, UNUSED) or not p:
+            if mode == self.START and self.prefix or mode == self.GAP:
+                out.append(self.blank)
+            out.append(self.blank if c == " " else c)
+            mode = self.BODY
+        return "".join(out), mode
+
+    def _decided(self, mode: int, held: str, end: bool) -> tuple[str, tuple[int, str]]:
+        """Applies the longest rule at the front of ``held`` as long as no longer one can follow."""
+        out = ""
+        while held and (end or held not in self.begun):
+            n = next((n for n in range(len(held), 0, -1) if held[:n] in self.rules), 0)
+            text, mode = self._write(mode, self.rules[held[:n]] if n else held[0])
+            out, held = out + text, held[n or 1 :]
+        return out, (mode, held)
+
+    def step(self, state: tuple[int, str], c: str) -> tuple[str, tuple[int, str]]:
+        if not self.rules:
+            text, mode = self._write(state[0], c)
+            return text, (mode, "")
+        return self._decided(state[0], state[1] + c, False)
+
+    def finish(self, state: tuple[int, str]) -> str:
+        return self._decided(*state, True)[0]
+
+    def apply(self, text: str) -> str:
+        """The output alone."""
+        if self.plain:
+            return (self.blank if self.prefix and text else "") + text.replace(" ", self.blank)
+        state, out = self.start, []
+        for c in text:
+            piece, state = self.step(state, c)
+            out.append(piece)
+        return "".join(out) + self.finish(state)
+
+
+class Pieces:
+    """The piece transducer.  arcs: for each state, character to state; final: for each state the (piece, weight) of its arc
+    back to the root, or None.  State 0 is the root, the start and the only accepting state."""
+
+    def __init__(self, v: Vocabulary):
+        self.arcs: list[dict[str, int]] = [{}]
+        self.final: list[tuple[int, float] | None] = [None]
+        self.byte = {int(p[3:5], 16): i for i, (p, k) in enumerate(zip(v.pieces, v.kinds)) if k == BYTE}
+        self.unknown = next((i for i, k in enumerate(v.kinds) if k == UNKNOWN), 0)
+        for i, (p, k, w) in enumerate(zip(v.pieces, v.kinds, v.weights())):
+            if k in (UNKNOWN, CONTROL, UNUSED, BYTE) or not p:
                 continue
             state = 0
             for c in p:
@@ -127,79 +196,129 @@ class Transducer:
                 state = self.arcs[state][c]
             if self.final[state] is None or w < self.final[state][1]:
                 self.final[state] = (i, w)
-            if len(p) > 1:
-                joined |= set(p)
-                spans_mark |= bool(re.search(f"[^{MARK}]{MARK}", p))
-        self.unknown = next((i for i, k in enumerate(v.kinds) if k == UNKNOWN), 0)
-        self.joined = joined
+
+    def step(self, state: int, c: str) -> list[tuple[tuple[int, ...], float, int]]:
+        """Arcs that read a character, as (ids, weight, state), each followed by the final state's arc where there is one."""
+        out = []
+        to = self.arcs[state].get(c)
+        if to is not None:
+            out.append(((), 0.0, to))
+            if self.final[to] is not None:
+                piece, weight = self.final[to]
+                out.append(((piece,), weight, 0))
+        if state == 0 and (to is None or self.final[to] is None):
+            raw = c.encode("utf-8", "replace")
+            ids = tuple(self.byte[b] for b in raw) if self.byte else (self.unknown,)
+            out.append((ids, BYTE_WEIGHT * len(ids), 0))
+        return out
+
+
+class Composition:
+    """The normaliser and the piece transducer as one machine, its states (one of each) made as they are reached."""
+
+    def __init__(self, first: Normaliser | None, second: Pieces):
+        self.first, self.second = first, second
+
+    def shortest(self, text: str, start=None) -> tuple[list[int], float]:
+        """The tropical shortest path of an input from a state of the normaliser; of equal ones, that whose last piece is
+        longest.  Alive states are kept by position, each with its least weight, the place its piece began and its trace."""
+        state = self.first.start if self.first and start is None else start
+        alive: dict[int, tuple[float, int, tuple | None]] = {0: (0.0, 0, None)}
+        at = 0
+        for k in range(len(text) + 1):
+            if self.first is None:
+                read = text[k : k + 1]
+            elif k < len(text):
+                read, state = self.first.step(state, text[k])
+            else:
+                read = self.first.finish(state)
+            for c in read:
+                at += 1
+                ahead: dict[int, tuple[float, int, tuple | None]] = {}
+                for node, (weight, begun, trace) in alive.items():
+                    for ids, more, to in self.second.step(node, c):
+                        w = weight + more
+                        have = ahead.get(to)
+                        if have is None or w < have[0] or w == have[0] and begun < have[1]:
+                            ahead[to] = (w, begun, (trace, ids) if ids else trace)
+                if 0 in ahead:
+                    w, begun, trace = ahead[0]
+                    ahead[0] = (w, at, trace)  # the next piece begins here
+                alive = ahead
+        weight, _, trace = alive[0]
+        out: list[int] = []
+        while trace is not None:
+            trace, ids = trace
+            out += ids[::-1]
+        return out[::-1], weight
+
+
+class _Kept(dict):
+    """Packed ids and weight of parts, made when asked for; forgets all when it is full."""
+
+    def __init__(self, make):
+        super().__init__()
+        self.make = make
+
+    def __missing__(self, part: str) -> tuple[bytes, float]:
+        ids, weight = self.make(part)
+        got = (struct.pack(f"<{len(ids)}I", *ids), weight)
+        if len(part) <= 64:
+            if len(self) >= KEPT_PATHS:
+                self.clear()
+            self[part] = got
+        return got
+
+
+class Transducer:
+    """The compiled vocabulary: encodes whole texts by shortest paths and decodes ids."""
+
+    def __init__(self, vocabulary: Vocabulary):
+        v = self.vocabulary = vocabulary
+        self.normaliser, self.pieces = Normaliser(v), Pieces(v)
+        self.surface = [bytes([int(p[3:5], 16)]) if k == BYTE else b"" if k in (UNKNOWN, CONTROL) else p.replace(MARK, " ").encode() for p, k in zip(v.pieces, v.kinds)]
+        real = [p for p, k in zip(v.pieces, v.kinds) if k not in (UNKNOWN, CONTROL, UNUSED, BYTE)]
+        joined = {c for p in real if len(p) > 1 for c in p}
         # parts between which no piece spans: a run of marks with the word after it; characters in no longer piece alone
-        alone = "".join(c for c in map(chr, range(128)) if c not in joined)
-        self._alone = alone
-        apart = f"[{re.escape(alone)}]|" if alone else ""
-        inside = f"[^{MARK}{re.escape(alone)}]"
-        self.parts = re.compile(r".+", re.S) if spans_mark else re.compile(f"{apart}{MARK}*{inside}+|{MARK}+", re.S)
-        self._kept: dict[str, tuple[bytes, float]] = {}
+        alone = re.escape("".join(c for c in map(chr, range(128)) if c not in joined and c != " "))
+        self.whole = any(re.search(f"[^{MARK}]{MARK}", p) for p in real) or not v.escape
+        marks = f"[{MARK} ]"
+        self.parts = re.compile(f"[{alone}]|{marks}*[^{MARK} {alone}]+|{marks}+" if alone else f"{marks}*[^{MARK} ]+|{marks}+", re.S)
+        self._ready()
+
+    def _ready(self) -> None:
+        """A plain normaliser is composed with the pieces part by part; any other is applied first, as its rules may span
+        parts, and the pieces are composed with its output."""
+        plain = self.normaliser.plain
+        machine = Composition(self.normaliser if plain else None, self.pieces)
+        inside = (Normaliser.BODY, "") if plain else None
+        self._first, self._inner = _Kept(machine.shortest), _Kept(lambda part: machine.shortest(part, inside))
 
     def __getstate__(self) -> dict:
-        return self.__dict__ | {"_kept": {}}
+        return {k: v for k, v in self.__dict__.items() if k not in ("_first", "_inner")}
+
+    def __setstate__(self, state: dict) -> None:
+        self.__dict__ |= state
+        self._ready()
 
     def normalise(self, text: str) -> str:
-        """The normaliser's output: blanks as marks, with a leading one; null and empty texts stay empty."""
-        if self.vocabulary.squeeze:
-            text = re.sub(" +", " ", text.strip(" "))
-        return (MARK if self.vocabulary.dummy_prefix and text else "") + text.replace(" ", MARK)
-
-    def shortest(self, part: str) -> tuple[list[int], float]:
-        """The tropical shortest path of a normalised string; of equal ones, that whose last piece is longest."""
-        n, arcs, final = len(part), self.arcs, self.final
-        best, back = [0.0] + [math.inf] * n, [None] * (n + 1)
-        root = arcs[0]
-        for i in range(n):
-            here, covered, j = best[i], False, i
-            state = root.get(part[i])
-            while state is not None:
-                got = final[state]
-                j += 1
-                if got is not None:
-                    if j == i + 1:
-                        covered = True
-                    w = here + got[1]
-                    if w < best[j]:
-                        best[j], back[j] = w, (i, got[0])
-                if j == n:
-                    break
-                state = arcs[state].get(part[j])
-            if not covered:
-                raw = part[i].encode("utf-8", "replace")
-                ids = [self.byte[b] for b in raw] if self.byte else [self.unknown]
-                w = here + BYTE_WEIGHT * len(ids)
-                if w < best[i + 1]:
-                    best[i + 1], back[i + 1] = w, (i, ids)
-        out: list[int] = []
-        at = n
-        while at:
-            at, ids = back[at]
-            if isinstance(ids, int):
-                out.append(ids)
-            else:
-                out += ids[::-1]
-        return out[::-1], best[n]
+        return self.normaliser.apply(text)
+
+    def path(self, text: str) -> tuple[list[int], float]:
+        """The shortest path of a whole text through the composition of both transducers, in one piece."""
+        return Composition(self.normaliser, self.pieces).shortest(text)
 
     def encode(self, text: str | None) -> tuple[bytes, float]:
         """ids of the whole text as little-endian unsigned 32-bit numbers, and the weight of the path."""
-        kept, out, weight = self._kept, [], 0.0
-        for part in self.parts.findall(self.normalise(text or "")):
-            got = kept.get(part)
-            if got is None:
-                if len(kept) >= KEPT_PATHS:
-                    kept.clear()
-                ids, w = self.shortest(part)
-                got = (struct.pack(f"<{len(ids)}I", *ids), w)
-                if len(part) <= 64:
-                    kept[part] = got
-            out.append(got[0])
-            weight += got[1]
-        return b"".join(out), weight
+        text = text or ""
+        if not self.normaliser.plain:
+            text = self.normaliser.apply(text)
+        parts = [text] if self.whole and text else self.parts.findall(text)
+        if not parts:
+            return b"", 0.0
+        inner = self._inner
+        got = [self._first[parts[0]] if self.normaliser.plain else inner[parts[0]], *[inner[p] for p in parts[1:]]]
+        return b"".join([g[0] for g in got]), math.fsum([g[1] for g in got])
 
     def decode(self, ids: bytes) -> str:
         """The text of ids; the leading blank that the normaliser added goes."""
@@ -240,7 +359,11 @@ def decode_ids(encoded: DataFrame, path: str | None = None) -> DataFrame:
 
 
 def digests(docs: DataFrame, path: str | None = None) -> DataFrame:
-    """doc_id, n_ids, ids_crc32 (as in packing), weight of the path, and text_crc32 of the decoded text."""
+    """doc_id, n_ids, ids_crc32 (as in packing), weight of the path, and decoded_crc32 of the decoded text, for every row.
+
+    Null and empty texts: no ids, weight 0.  Repeated rows give repeated rows; other columns are not read.  Empty table: empty
+    result.
+    """
     path = path or public_tokenizers.path("piece_bpe_32k.model")
 
     @F.pandas_udf("n_ids long, ids_crc32 long, weight double, decoded_crc32 long")

@@ -1,5 +1,6 @@
 import math
 import random
+import struct
 import zlib
 
 import public_tokenizers
@@ -39,22 +40,82 @@ def test_shortest_paths_against_all_segmentations():
         assert t.decode(ids) == text
 
 
-def test_viterbi_of_the_library():
-    """The same vocabulary taken as a unigram model by the public library."""
+def message(*fields):
+    """A protocol buffer message of (number, value) fields; floats take 32 bits."""
+    out = b""
+
+    def varint(n):
+        got = b""
+        while True:
+            got, n = got + bytes([n & 127 | (n > 127) << 7]), n >> 7
+            if not n:
+                return got
+
+    for number, value in fields:
+        if isinstance(value, float):
+            out += varint(number << 3 | 5) + struct.pack("<f", value)
+        elif isinstance(value, int):
+            out += varint(number << 3) + varint(value)
+        else:
+            out += varint(number << 3 | 2) + varint(len(value)) + value
+    return out
+
+
+def unigram(path, normaliser, seed=5):
+    """A unigram model with random scores, written by hand: no tokenizer is trained."""
+    r = random.Random(seed)
+    words = {"".join(r.choice("abcdeh▁") for _ in range(r.randint(2, 5))) for _ in range(300)} | {f"▁{c}" for c in "abcdeh"}
+    pieces = [("<unk>", 0.0, 2), ("<s>", 0.0, 3), ("</s>", 0.0, 3), *[(f"<0x{b:02X}>", 0.0, 6) for b in range(256)]]
+    pieces += [(w, -r.uniform(2, 12), 1) for w in sorted(words)] + [(c, -r.uniform(5, 9), 1) for c in "▁abcdeh"]
+    data = b"".join(message((1, message((1, p.encode()), (2, float(s)), (3, k)))) for p, s, k in pieces)
+    data += message((2, message((3, 1), (35, 1)))) + message((3, normaliser))
+    path.write_bytes(data)
+    return data
+
+
+PLAIN = message((1, b"identity"), (3, 1), (4, 0), (5, 1))
+SQUEEZED = message((1, b"identity"), (3, 1), (4, 1), (5, 1))
+
+
+@pytest.mark.parametrize("normaliser", [PLAIN, SQUEEZED])
+def test_unigram_model_as_the_library_reads_it(tmp_path, normaliser):
     import sentencepiece
 
-    with open(PATH, "rb") as f:
-        data = f.read()
-    at = data.rindex(b"\x18\x02")  # the trainer's model type, BPE, behind the pieces
-    model = data[:at] + b"\x18\x01" + data[at + 2 :]
-    sp = sentencepiece.SentencePieceProcessor(model_proto=model)
-    v = wfst.Vocabulary.read(PATH)
-    t = wfst.Transducer(wfst.Vocabulary(v.pieces, v.scores, v.kinds, True, v.dummy_prefix, v.squeeze))
-    for text in ("The tensor is here", "über straße", "a b  c", "thwhanin the stble"):
-        mine = t.encode(text)
+    data = unigram(tmp_path / "u.model", normaliser)
+    sp, t, r = sentencepiece.SentencePieceProcessor(model_proto=data), wfst.compiled(str(tmp_path / "u.model")), random.Random(6)
+    for _ in range(300):
+        text = "".join(r.choice("aabbccdeh   ") for _ in range(r.randint(0, 40)))
+        ids, weight = t.encode(text)
         theirs = sp.encode(text)
-        score = -sum(v.scores[k] for k in theirs)
-        assert mine[1] == pytest.approx(score, rel=1e-5) or mine[1] < score
+        assert weight == pytest.approx(-sum(t.vocabulary.scores[k] for k in theirs), rel=1e-5, abs=1e-6)
+        assert t.normalise(text) == "".join(sp.id_to_piece(theirs))
+        assert t.path(text)[1] == pytest.approx(weight)
+
+
+def test_character_map_of_the_library(tmp_path):
+    import sentencepiece
+
+    theirs = sentencepiece.SentencePieceNormalizer(rule_name="nmt_nfkc")
+    proto = theirs.serialized_model_proto()
+    charsmap = next(dict(wfst._fields(v))[2] for n, v in wfst._fields(proto) if n == wfst.NORMALISER)
+    unigram(tmp_path / "m.model", message((1, b"nmt_nfkc"), (2, charsmap), (3, 1), (4, 1), (5, 1)))
+    t, r = wfst.compiled(str(tmp_path / "m.model")), random.Random(7)
+    assert len(t.vocabulary.charmap) > 1000
+    for _ in range(400):
+        text = "".join(r.choice("ab \u3000\t①ｈée\u0301ﬁ㌔½Åが゙…\u200b한글가") for _ in range(r.randint(0, 15)))
+        assert t.normalise(text) == wfst.Normaliser(wfst.Vocabulary([], [], [], True, True, True, t.vocabulary.charmap)).apply(text)
+        assert t.normalise(text).replace("▁", " ").strip() == theirs.normalize(text).replace("▁", " ").strip()
+        ids, weight = t.encode(text)
+        assert t.path(text)[1] == pytest.approx(weight) and t.decode(ids) == theirs.normalize(text).replace("▁", " ").strip()
+
+
+def test_the_composition_is_lazy_and_whole():
+    """The path of the whole composition, the parts' paths and the least of all segmentations agree."""
+    t, r = wfst.compiled(PATH), random.Random(2)
+    for _ in range(60):
+        text = "".join(r.choice("ab the\n 12é漢 ▁") for _ in range(r.randint(0, 40)))
+        ids, weight = t.path(text)
+        assert t.encode(text)[1] == pytest.approx(weight) and t.decode(struct.pack(f"<{len(ids)}I", *ids)) == text.replace("▁", " ")
 
 
 def test_given_documents(spark, odd_docs, no_docs):
@@ -73,13 +134,6 @@ def test_given_documents(spark, odd_docs, no_docs):
     assert wfst.digests(no_docs).count() == 0
 
 
-def test_parts_do_not_change_paths():
-    t, r = wfst.compiled(PATH), random.Random(2)
-    for _ in range(60):
-        text = "".join(r.choice("ab the\n 12é漢 ▁") for _ in range(r.randint(0, 40)))
-        assert t.encode(text)[1] == pytest.approx(t.shortest(t.normalise(text))[1])
-
-
 def test_no_pieces_fall_back_to_bytes():
     t = wfst.compiled(PATH)
     ids, weight = t.encode("\U0001f9ff")
