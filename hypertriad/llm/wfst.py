@@ -164,11 +164,11 @@ class Normaliser:
     def finish(self, state: tuple[int, str]) -> str:
         return self._decided(*state, True)[0]
 
-    def apply(self, text: str) -> str:
-        """The output alone."""
+    def apply(self, text: str, state: tuple[int, str] = (START, "")) -> str:
+        """The output from a state on.  Without rules and squeezing every character has one arc, so whole strings go at once."""
         if self.plain:
-            return (self.blank if self.prefix and text else "") + text.replace(" ", self.blank)
-        state, out = self.start, []
+            return (self.blank if self.prefix and text and state[0] == self.START else "") + text.replace(" ", self.blank)
+        out = []
         for c in text:
             piece, state = self.step(state, c)
             out.append(piece)
@@ -176,8 +176,9 @@ class Normaliser:
 
 
 class Pieces:
-    """The piece transducer.  arcs: for each state, character to state; final: for each state the (piece, weight) of its arc
-    back to the root, or None.  State 0 is the root, the start and the only accepting state."""
+    """The piece transducer.  arcs: for each state the arcs that read a character and write nothing; final: for each state
+    the (piece, weight) of its arc that reads nothing, writes the piece and returns to the root, or None.  State 0 is the
+    root, the start and the only accepting state; there, a character that is no piece writes its bytes (``fallback``)."""
 
     def __init__(self, v: Vocabulary):
         self.arcs: list[dict[str, int]] = [{}]
@@ -197,60 +198,56 @@ class Pieces:
             if self.final[state] is None or w < self.final[state][1]:
                 self.final[state] = (i, w)
 
-    def step(self, state: int, c: str) -> list[tuple[tuple[int, ...], float, int]]:
-        """Arcs that read a character, as (ids, weight, state), each followed by the final state's arc where there is one."""
-        out = []
-        to = self.arcs[state].get(c)
-        if to is not None:
-            out.append(((), 0.0, to))
-            if self.final[to] is not None:
-                piece, weight = self.final[to]
-                out.append(((piece,), weight, 0))
-        if state == 0 and (to is None or self.final[to] is None):
-            raw = c.encode("utf-8", "replace")
-            ids = tuple(self.byte[b] for b in raw) if self.byte else (self.unknown,)
-            out.append((ids, BYTE_WEIGHT * len(ids), 0))
-        return out
+    def fallback(self, c: str) -> tuple[list[int], float]:
+        ids = [self.byte[b] for b in c.encode("utf-8", "replace")] if self.byte else [self.unknown]
+        return ids, BYTE_WEIGHT * len(ids)
 
 
 class Composition:
-    """The normaliser and the piece transducer as one machine, its states (one of each) made as they are reached."""
+    """The normaliser and the piece transducer as one machine.  The normaliser is sequential, so for one input its output is
+    one chain of states, and a composed state is a place in that chain and a state of the pieces, made when it is reached."""
 
     def __init__(self, first: Normaliser | None, second: Pieces):
         self.first, self.second = first, second
 
-    def shortest(self, text: str, start=None) -> tuple[list[int], float]:
-        """The tropical shortest path of an input from a state of the normaliser; of equal ones, that whose last piece is
-        longest.  Alive states are kept by position, each with its least weight, the place its piece began and its trace."""
-        state = self.first.start if self.first and start is None else start
-        alive: dict[int, tuple[float, int, tuple | None]] = {0: (0.0, 0, None)}
-        at = 0
-        for k in range(len(text) + 1):
-            if self.first is None:
-                read = text[k : k + 1]
-            elif k < len(text):
-                read, state = self.first.step(state, text[k])
-            else:
-                read = self.first.finish(state)
-            for c in read:
-                at += 1
-                ahead: dict[int, tuple[float, int, tuple | None]] = {}
-                for node, (weight, begun, trace) in alive.items():
-                    for ids, more, to in self.second.step(node, c):
-                        w = weight + more
-                        have = ahead.get(to)
-                        if have is None or w < have[0] or w == have[0] and begun < have[1]:
-                            ahead[to] = (w, begun, (trace, ids) if ids else trace)
-                if 0 in ahead:
-                    w, begun, trace = ahead[0]
-                    ahead[0] = (w, at, trace)  # the next piece begins here
-                alive = ahead
-        weight, _, trace = alive[0]
+    def chain(self, text: str, state: tuple[int, str] | None = None) -> str:
+        """What the pieces read: the normaliser's output from one of its states on."""
+        return text if self.first is None else self.first.apply(text, state or self.first.start)
+
+    def shortest(self, text: str, start: tuple[int, str] | None = None) -> tuple[list[int], float]:
+        """The tropical shortest path of an input; of equal ones, that whose last piece is longest.  Places are an order of
+        the composed states in which every arc leads on, so each state at the root is expanded once, at its least weight."""
+        read, arcs, final = self.chain(text, start), self.second.arcs, self.second.final
+        n, root = len(read), self.second.arcs[0]
+        best, back = [0.0] + [math.inf] * n, [None] * (n + 1)
+        for i in range(n):
+            here, j, alone = best[i], i, False
+            state = root.get(read[i])
+            while state is not None:
+                j += 1
+                got = final[state]
+                if got is not None:
+                    if j == i + 1:
+                        alone = True
+                    w = here + got[1]
+                    if w < best[j]:
+                        best[j], back[j] = w, (i, got[0])
+                if j == n:
+                    break
+                state = arcs[state].get(read[j])
+            if not alone:
+                ids, w = self.second.fallback(read[i])
+                if here + w < best[i + 1]:
+                    best[i + 1], back[i + 1] = here + w, (i, ids)
         out: list[int] = []
-        while trace is not None:
-            trace, ids = trace
-            out += ids[::-1]
-        return out[::-1], weight
+        at = n
+        while at:
+            at, ids = back[at]
+            if isinstance(ids, int):
+                out.append(ids)
+            else:
+                out += ids[::-1]
+        return out[::-1], best[n]
 
 
 class _Kept(dict):

@@ -1,6 +1,7 @@
 import math
 import random
 import struct
+import time
 import zlib
 
 import public_tokenizers
@@ -101,9 +102,10 @@ def test_character_map_of_the_library(tmp_path):
     unigram(tmp_path / "m.model", message((1, b"nmt_nfkc"), (2, charsmap), (3, 1), (4, 1), (5, 1)))
     t, r = wfst.compiled(str(tmp_path / "m.model")), random.Random(7)
     assert len(t.vocabulary.charmap) > 1000
+    again = wfst.Normaliser(wfst.Vocabulary([], [], [], True, True, True, t.vocabulary.charmap))
     for _ in range(400):
         text = "".join(r.choice("ab \u3000\t①ｈée\u0301ﬁ㌔½Åが゙…\u200b한글가") for _ in range(r.randint(0, 15)))
-        assert t.normalise(text) == wfst.Normaliser(wfst.Vocabulary([], [], [], True, True, True, t.vocabulary.charmap)).apply(text)
+        assert t.normalise(text) == again.apply(text)
         assert t.normalise(text).replace("▁", " ").strip() == theirs.normalize(text).replace("▁", " ").strip()
         ids, weight = t.encode(text)
         assert t.path(text)[1] == pytest.approx(weight) and t.decode(ids) == theirs.normalize(text).replace("▁", " ").strip()
@@ -139,3 +141,12 @@ def test_no_pieces_fall_back_to_bytes():
     ids, weight = t.encode("\U0001f9ff")
     assert weight >= 4 * wfst.BYTE_WEIGHT or weight > 0
     assert t.decode(ids) == "\U0001f9ff"
+
+
+def test_long_words_take_linear_time():
+    t, took = wfst.compiled(PATH), []
+    for n in (20_000, 80_000):
+        began = time.time()
+        t.encode("thinganderest" * (n // 13))
+        took.append(time.time() - began)
+    assert took[1] < 10 * took[0] and took[1] < 5
