@@ -19,12 +19,15 @@ HEAVY_LEAST, HEAVY_PARTS = 1_000, 1_000
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The folder named in spark.checkpoint.dir; a temporary local one only where that is unset (tests)."""
+    """This application's folder under spark.checkpoint.dir.  Where that is unset, a local master (tests, local runs) gets a
+    temporary one; on a cluster it is an error, as no machine's own folder is shared."""
     root = spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
     if not root:
         found = spark.sparkContext._jsc.sc().getCheckpointDir()
         if found.isDefined():
             root = found.get()
+        elif not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         else:
             root = tempfile.mkdtemp(prefix="hypertriad-")
             spark.sparkContext.setCheckpointDir(root)

@@ -461,6 +461,24 @@ def decode(datas: list[bytes]) -> list[list[np.ndarray]]:
     return blocks
 
 
+def decode_each(datas: list[bytes | None]) -> list[tuple[list[np.ndarray], str]]:
+    """PCM blocks and status of every stream: ``ok``, ``missing`` (null) or ``corrupt: `` and the fault, which leaves the
+    others as they are."""
+    able = [d for d in datas if d is not None]
+    try:
+        good = iter([(b, "ok") for b in decode(able)])
+    except (Corrupt, IndexError, ValueError):
+        good = iter([_decode_one(d) for d in able])
+    return [([], "missing") if d is None else next(good) for d in datas]
+
+
+def _decode_one(data: bytes) -> tuple[list[np.ndarray], str]:
+    try:
+        return decode([data])[0], "ok"
+    except (Corrupt, IndexError, ValueError) as fault:
+        return [], f"corrupt: {fault}"
+
+
 # --- Spark ----------------------------------------------------------------------------------------------------------
 
 
@@ -497,23 +515,27 @@ def encode_texts(docs: DataFrame) -> DataFrame:
 
 
 def pcm_blocks(media: DataFrame) -> DataFrame:
-    """(doc_id, media) to PCM blocks: doc_id, block, sample_offset (for seeking), n_samples, pcm.  Null media: no rows."""
+    """(doc_id, media) to PCM blocks: doc_id, block, sample_offset (for seeking), n_samples, pcm and status.
+
+    A null or corrupt stream gives one row without a block, its status being ``missing`` or ``corrupt: `` and the fault.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in _grouped(zip(batch.column(0).to_pylist(), batch.column(1)), lambda x: len(x[1].as_py() or b"")):
                 rows = []
-                able = [(d, m.as_py()) for d, m in part if m.as_py() is not None]
-                for (d, _), xs in zip(able, decode([m for _, m in able])):
+                for (d, _), (xs, status) in zip(part, decode_each([m.as_py() for _, m in part])):
                     at = 0
                     for k, x in enumerate(xs):
-                        rows.append((d, k, at, len(x), x.tobytes()))
+                        rows.append((d, k, at, len(x), x.tobytes(), status))
                         at += len(x)
-                cols = list(zip(*rows)) or [()] * 5
-                kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int32(), pa.binary())
-                yield pa.record_batch([pa.array(list(c), t) for c, t in zip(cols, kinds)], names=["doc_id", "block", "sample_offset", "n_samples", "pcm"])
+                    if not xs:
+                        rows.append((d, None, None, None, None, status))
+                cols = list(zip(*rows)) or [()] * 6
+                kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int32(), pa.binary(), pa.string())
+                yield pa.record_batch([pa.array(list(c), t) for c, t in zip(cols, kinds)], names=["doc_id", "block", "sample_offset", "n_samples", "pcm", "status"])
 
-    return media.select("doc_id", "media").mapInArrow(run, "doc_id long, block int, sample_offset long, n_samples int, pcm binary")
+    return media.select("doc_id", "media").mapInArrow(run, "doc_id long, block int, sample_offset long, n_samples int, pcm binary, status string")
 
 
 def features(x: np.ndarray) -> str:
@@ -523,19 +545,24 @@ def features(x: np.ndarray) -> str:
 
 
 def digests(media: DataFrame) -> DataFrame:
-    """What is read back from each stream: hashes of payload, tail and stored form, and features."""
-    schema = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
-    kinds = (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string())
+    """What is read back from each stream: hashes of payload, tail and stored form, features, the number of PCM blocks, the
+    sample offset of the last one, and the status (as in ``pcm_blocks``; what cannot be read back is null)."""
+    schema = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, n_blocks int, last_offset long, status string"
+    kinds = (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int32(), pa.int64(), pa.string())
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in _grouped(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2)), lambda x: len(x[2].as_py())):
+            for part in _grouped(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2)), lambda x: len(x[2].as_py() or b"")):
                 datas = [m.as_py() for _, _, m in part]
                 rows = []
-                for (d, n, _), m, xs in zip(part, datas, decode(datas)):
+                for (d, n, _), m, (xs, status) in zip(part, datas, decode_each(datas)):
+                    stored = (None, None) if m is None else (len(m), hashlib.sha256(m).hexdigest())
+                    if not xs:
+                        rows.append((d, n, None, None, None, *stored, None, None, None, status))
+                        continue
                     x = np.concatenate(xs)
                     back = (x.view(np.uint8) ^ 0x80).tobytes()
-                    rows.append((d, n, len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-PAD:]), len(m), hashlib.sha256(m).hexdigest(), features(x)))
+                    rows.append((d, n, len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-PAD:]), *stored, features(x), len(xs), len(x) - len(xs[-1]), status))
                 cols = list(zip(*rows))
                 yield pa.record_batch([pa.array(list(c), t) for c, t in zip(cols, kinds)], names=[f.split()[0] for f in schema.split(", ")])
 
@@ -543,5 +570,9 @@ def digests(media: DataFrame) -> DataFrame:
 
 
 def store_and_read_back(docs: DataFrame) -> DataFrame:
-    """The media contract for ``documents``: every whole text stored as FLAC and described from what is read back."""
+    """The media contract for ``documents``: every whole text stored as FLAC and described from what is read back.
+
+    Null text counts as empty.  A row for each row; equal texts give equal values.  Other columns are not read.  Empty table:
+    empty result.
+    """
     return digests(encode_texts(docs))

@@ -20,12 +20,12 @@ from .common import fresh
 
 ORDERS = (2, 3, 4)
 COLUMNS = 1 << 15
-#: Training rows for each language, at most; their texts are at most MAX_TRAIN_CHARS long.
-TRAIN_PER_LANGUAGE = 400
+#: Training rows for each language and for all together, at most (but one for each language at least); their texts are at most
+#: MAX_TRAIN_CHARS long.
+TRAIN_PER_LANGUAGE, TRAIN_ROWS = 400, 40_000
 MAX_TRAIN_CHARS = 50_000
-#: Labels used, at most: the most frequent ones.
-MAX_LANGUAGES = 200
-LANDMARKS_PER_LANGUAGE = 40
+#: Landmarks for each language and for all together, likewise.
+LANDMARKS_PER_LANGUAGE, LANDMARKS = 40, 2_000
 RIDGE = 1e-2
 SHARPNESS = 6.0
 UNDETERMINED = "und"
@@ -89,7 +89,11 @@ def fit(rows: list[tuple[str, str]]) -> Model:
     languages = sorted({r[1] for r in rows})
     if not languages:
         return Model([], np.zeros((COLUMNS, 0), np.float32))
-    marks = [t for g in languages for t, h in [r for r in rows if r[1] == g][:LANDMARKS_PER_LANGUAGE]]
+    of: dict[str, list[str]] = {g: [] for g in languages}
+    for text, g in rows:
+        of[g].append(text)
+    each = max(1, min(LANDMARKS_PER_LANGUAGE, LANDMARKS // len(languages)))
+    marks = [t for g in languages for t in of[g][:each]]
     z = presence(marks)
     values, vectors = np.linalg.eigh((z @ z.T).astype(np.float64))
     ok = values > 1e-6 * values.max()
@@ -99,7 +103,7 @@ def fit(rows: list[tuple[str, str]]) -> Model:
         part = rows[at : at + 256]
         phi = np.hstack([(presence([t for t, _ in part]) @ z.T).astype(np.float64) @ root, np.ones((len(part), 1))])
         y = np.array([[1.0 if g == h else -1.0 for h in languages] for _, g in part])
-        share = np.array([1 / sum(h == g for _, h in rows) for _, g in part])[:, None]  # each language weighs the same
+        share = np.array([1 / len(of[g]) for _, g in part])[:, None]  # each language weighs the same
         gram += phi.T @ (phi * share)
         target += phi.T @ (y * share)
     w = np.linalg.solve(gram + RIDGE / len(languages) * np.eye(len(gram)), target)
@@ -111,21 +115,25 @@ def held_out(doc_id: Column) -> Column:
 
 
 def training_rows(docs: DataFrame) -> list[tuple[str, str]]:
-    """A bounded sample of labelled rows, equally large for each language, drawn by a hash of doc_id.
+    """A bounded sample of labelled rows, equally large for each language, drawn by a hash of doc_id and text.
 
-    At most TRAIN_PER_LANGUAGE rows a language reach the driver, however often a doc_id or a row repeats.
+    At most TRAIN_PER_LANGUAGE rows a language, and TRAIN_ROWS in all, reach the driver, however often a doc_id or a row
+    repeats; every label that has a usable row has one here.
     """
-    able = docs.where(F.col("lang").isNotNull() & ~held_out(F.col("doc_id")) & (F.length("text") <= MAX_TRAIN_CHARS))
-    counts = able.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "lang").limit(MAX_LANGUAGES).collect()
+    able = docs.where(F.col("lang").isNotNull() & ~held_out(F.col("doc_id")) & (F.length("text") <= MAX_TRAIN_CHARS)).select("text", "lang", F.xxhash64("doc_id", "text").alias("h"))
+    counts = {r["lang"]: r["n"] for r in able.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()}  # a row for each label
     if not counts:
         return []
-    keep = F.lit(0.0)
-    for r in counts:
-        keep = F.when(F.col("lang") == r["lang"], F.lit(min(1.0, 1.5 * TRAIN_PER_LANGUAGE / r["n"]))).otherwise(keep)
-    drawn = F.xxhash64("doc_id")
-    some = able.where(F.pmod(drawn, F.lit(1_000_003)) < keep * 1_000_003).select("text", "lang", drawn.alias("h"))  # about 600 rows a language
+    each = max(1, min(TRAIN_PER_LANGUAGE, TRAIN_ROWS // len(counts)))
     first = Window.partitionBy("lang").orderBy("h", "text")  # the limit is taken on each partition before the exchange
-    rows = some.withColumn("r", F.row_number().over(first)).where(F.col("r") <= TRAIN_PER_LANGUAGE).collect()
+
+    def drawn(rows: DataFrame) -> list:
+        return rows.withColumn("r", F.row_number().over(first)).where(F.col("r") <= each).collect()
+
+    keep = F.element_at(F.create_map(*[F.lit(x) for g, n in counts.items() for x in (g, min(1.0, 1.5 * each / n))]), F.col("lang"))
+    rows = drawn(able.where(F.pmod("h", F.lit(1_000_003)) < keep * 1_000_003))  # about 600 rows a language go on
+    if missing := sorted(set(counts) - {r["lang"] for r in rows}):
+        rows += drawn(able.where(F.col("lang").isin(missing)))
     return [(r["text"], r["lang"]) for r in sorted(rows, key=lambda r: (r["lang"], r["r"]))]
 
 
@@ -142,7 +150,11 @@ def identify(docs: DataFrame, model: Model, out: str = "_language") -> DataFrame
 
 
 def predict_documents(docs: DataFrame) -> DataFrame:
-    """doc_id, held_out, lang_pred and score for every document; see the module's limits on what is learned from."""
+    """doc_id, held_out, lang_pred and score for every document; see the module's limits on what is learned from.
+
+    Null texts and texts without a letter are ``und`` with score 0, and so are all without a label to learn from.  A row for
+    each row, repeated ones too; other columns are not read.  Empty table: empty result.
+    """
     model = fit(training_rows(docs))
     return identify(docs.select("doc_id", "text"), model).select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "_language.lang_pred", "_language.score")
 

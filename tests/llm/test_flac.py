@@ -96,3 +96,17 @@ def test_documents(spark, odd_docs, no_docs):
     same = [r for r in odd if r["doc_id"] in (5, 6)]
     assert len({r["media_sha256"] for r in same}) == 1 and len({r["feature"] for r in same}) == 1
     assert flac.store_and_read_back(no_docs).count() == 0
+
+
+def test_null_and_corrupt_streams_are_named(spark):
+    good = flac.encode([flac.payload("a text " * 900)[1]])[0]
+    cut, bent = good[: len(good) // 2], bytearray(good)
+    bent[len(good) - 9] ^= 1
+    rows = [(1, 6300, good), (2, 6300, bytes(cut)), (3, 6300, bytes(bent)), (4, None, None), (5, 0, b"nonsense"), (6, 0, b"")]
+    media = spark.createDataFrame([(*r, "x") for r in rows], "doc_id long, n_bytes long, media binary, status string")
+    got = {r["doc_id"]: r for r in flac.digests(media).collect()}
+    assert got[1]["status"] == "ok" and got[1]["n_blocks"] >= 1 and got[1]["last_offset"] < got[1]["payload_bytes"] == 6336
+    assert got[4]["status"] == "missing" and all(got[k]["status"].startswith("corrupt: ") and got[k]["payload_sha256"] is None for k in (2, 3, 5, 6))
+    blocks = flac.pcm_blocks(media).collect()
+    assert sorted(r["doc_id"] for r in blocks if r["block"] is None) == [2, 3, 4, 5, 6]
+    assert sum(r["n_samples"] for r in blocks if r["doc_id"] == 1) == 6336

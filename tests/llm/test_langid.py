@@ -57,8 +57,11 @@ def test_stage_keeps_clean_documents(spark, odd_docs):
 
 def test_training_rows_are_bounded(spark, monkeypatch):
     monkeypatch.setattr(langid, "TRAIN_PER_LANGUAGE", 5)
-    docs = spark.range(400).selectExpr("7 AS doc_id", "concat('text ', id) AS text", "'en' AS lang")  # one doc_id has all rows
-    assert len(langid.training_rows(docs)) in (0, 5)
+    own = next(k for k in range(9) if zlib.crc32(str(k).encode()) % 4 != 2)
+    docs = spark.range(400).selectExpr(f"{own} AS doc_id", "concat('text ', id) AS text", "'en' AS lang")  # one doc_id has all rows
+    assert len(langid.training_rows(docs)) == 5
+    docs = spark.range(400).selectExpr(f"{own} AS doc_id", "'one text' AS text", "'en' AS lang")  # one row, repeated
+    assert len(langid.training_rows(docs)) == 5
     docs = spark.range(400).selectExpr("id AS doc_id", "concat('text ', id) AS text", "if(id % 2 = 0, 'en', 'de') AS lang")
     rows = langid.training_rows(docs)
     assert 0 < len(rows) <= 10 and rows == langid.training_rows(docs.repartition(7))
@@ -67,3 +70,10 @@ def test_training_rows_are_bounded(spark, monkeypatch):
 def test_stage_keeps_columns_of_its_own_names(spark):
     docs = spark.sql("SELECT 1L AS doc_id, 'ein kurzer Text' AS text, 'de' AS lang, 'a' AS _language, 'b' AS _LANGUAGE_")
     assert langid.keep_identified(docs).collect() == docs.collect()
+
+
+def test_every_label_can_be_learned(spark):
+    docs = spark.range(900).selectExpr("id AS doc_id", "repeat(concat(char(97 + id % 26), char(97 + (id div 26) % 26), ' '), 20) AS text", "concat('l', id % 300) AS lang")
+    got = {r["lang"] for r in spark.createDataFrame(langid.training_rows(docs), "text string, lang string").select("lang").distinct().collect()}
+    assert got == {f"l{k % 300}" for k in range(900) if zlib.crc32(str(k).encode()) % 4 != 2}
+    assert langid.fit([(f"{w} text", w) for w in (f"w{k}" for k in range(250))]).fold.shape[1] == 250
