@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, Observation, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..model import Hypergraph
-from .patterns import family_of, pattern_rows, regions
+from .patterns import FAMILIES, family_of, members_of, pattern_rows, regions
 
 
 # --- columns to vertices --------------------------------------------------------------------------------------------
@@ -83,6 +83,32 @@ def restrict_edges(hg: Hypergraph, keys: DataFrame, how: str = "left_semi") -> H
     return _rebuilt(hg.edges.join(keys.select("e"), "e", how))
 
 
+def edges_like(hg: Hypergraph, rows: DataFrame, key: str, **wanted: str | int) -> Hypergraph:
+    """Edges whose row in ``rows`` (its id in ``key``) has the wanted values, as in ``edges_like(hg, docs, "doc_id", lang="de")``."""
+    for column, value in wanted.items():
+        rows = rows.where(F.col(column) == value)
+    return restrict_edges(hg, rows.select(F.col(key).cast("long").alias("e")))
+
+
+def regions_of_sets(a: Column, b: Column, c: Column) -> dict[str, Column]:
+    """The seven regions of three sets (arrays without repeats) as arrays."""
+    less, meet = F.array_except, F.array_intersect
+    return {
+        "only_a": less(less(a, b), c), "only_b": less(less(b, a), c), "only_c": less(less(c, a), b),
+        "only_ab": less(meet(a, b), c), "only_bc": less(meet(b, c), a), "only_ac": less(meet(a, c), b), "all_abc": meet(meet(a, b), c),
+    }
+
+
+def observed(df: DataFrame, name: str = "work") -> tuple[DataFrame, Observation]:
+    """``df`` with an observation that counts its rows and, if it has a pattern, the rows of each family, while some action
+    runs it: ``observation.get`` after the action."""
+    watch = Observation(name)
+    counts = [F.count(F.lit(1)).alias("rows")]
+    if "pattern" in df.columns:
+        counts += [F.sum(F.col("pattern").isin(*members_of(f)).cast("long")).alias(f) for f in FAMILIES]
+    return df.observe(watch, *counts), watch
+
+
 # --- reports --------------------------------------------------------------------------------------------------------
 
 
@@ -98,9 +124,9 @@ def size_preview(hg: Hypergraph, exact: bool = False) -> DataFrame:
 
 
 def degree_stats(hg: Hypergraph) -> DataFrame:
-    """Spread of edge sizes: count, mean, deviation, extremes, the largest edge (ties: least id)."""
+    """Spread of edge sizes: count, mean, deviation, extremes, the largest edge (ties: least id), median and 90th percentile."""
     top = F.max_by("e", F.struct("n", (-F.col("e"))))
-    return hg.edges.agg(F.count(F.lit(1)).alias("edges"), F.round(F.avg("n"), 9).alias("mean"), F.round(F.stddev_samp("n"), 9).alias("deviation"), F.min("n").alias("least"), F.max("n").alias("most"), top.alias("largest"))
+    return hg.edges.agg(F.count(F.lit(1)).alias("edges"), F.round(F.avg("n"), 9).alias("mean"), F.round(F.stddev_samp("n"), 9).alias("deviation"), F.min("n").alias("least"), F.max("n").alias("most"), top.alias("largest"), F.round(F.percentile("n", 0.5), 9).alias("median"), F.round(F.percentile("n", 0.9), 9).alias("p90"))
 
 
 def counts_rollup(counts: DataFrame) -> DataFrame:

@@ -1,5 +1,5 @@
 """Python functions for SQL users: a scalar one and an aggregate for comparison with the built-in forms, and a table
-function that finds the triads of one small hypergraph for each group."""
+function that finds the triads of one small hypergraph."""
 
 from __future__ import annotations
 
@@ -7,7 +7,7 @@ from itertools import combinations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
 from .patterns import PATTERN_TABLE
@@ -51,20 +51,3 @@ class HyperTriangles:
             p = pattern_of_python_sets(a, b, c)
             if p is not None and a != b and a != c and b != c:
                 yield i, j, k, p
-
-
-def triads_by_group(edges: DataFrame, group: str) -> DataFrame:
-    """(group, pattern, cnt) of one small hypergraph for each group; edges is (group, e, members).  A group is one task's
-    work, so groups must be small (a day, a conversation); large ones take the relational searches."""
-
-    def count(pdf: pd.DataFrame) -> pd.DataFrame:
-        sets = [set(m) for m in pdf.sort_values("e").members]
-        found: dict[int, int] = {}
-        for a, b, c in combinations(sets, 3):
-            p = pattern_of_python_sets(a, b, c)
-            if p is not None and a != b and a != c and b != c:
-                found[p] = found.get(p, 0) + 1
-        return pd.DataFrame({"g": pdf[group].iloc[0], "pattern": list(found), "cnt": list(found.values())})
-
-    kind = dict(edges.dtypes)[group]
-    return edges.groupBy(group).applyInPandas(count, f"g {kind}, pattern int, cnt long").withColumnRenamed("g", group)

@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.patterns import CORE, CORELESS, members_of, pattern_of
+from ..functions.patterns import CORE, CORELESS, PATTERN_TABLE, members_of, pattern_of
 from .links import adjacency, cross, nest
 
 COLUMNS = ("i", "j", "k", "wij", "wik", "wjk", "g", "ni", "nj", "nk", "pattern")
@@ -32,8 +32,9 @@ def ordered(df: DataFrame, ids: tuple[str, str, str], sizes: tuple[str, str, str
 
 
 def _led(table: DataFrame, lead: DataFrame | None, on: list[str]) -> DataFrame:
-    """``table`` with multiplicities of the sampled links; the sample has a stated size, so it may be broadcast."""
-    return table if lead is None else table.join(F.broadcast(lead.select(*on, "mult")), on)
+    """``table`` with multiplicities of the sampled links.  A sample may be a share of all links, so nothing is broadcast by
+    hint; Spark does so where its size allows."""
+    return table if lead is None else table.join(lead.select(*on, "mult"), on)
 
 
 def nest_chain_triads(links: DataFrame, lead: DataFrame | None = None) -> DataFrame:
@@ -57,7 +58,8 @@ def shared_subset_triads(links: DataFrame, patterns: tuple[int, ...] = (2, 3), l
     a = nest(links).select(F.col("big").alias("a"), "small", F.col("nb").alias("na"), "ns")
     b = nest(links).select(F.col("big").alias("b"), "small", F.col("nb").alias("nb"))
     t = _led(cross(links).select(F.col("i").alias("a"), F.col("j").alias("b"), "w"), None if lead is None else lead.select(F.col("i").alias("a"), F.col("j").alias("b"), "mult"), ["a", "b"])
-    rows = a.join(b, "small").where("a < b").join(t, ["a", "b"])
+    # from sampled cross links outwards, so that only their edges' subsets are read; else from the subsets
+    rows = a.join(b, "small").where("a < b").join(t, ["a", "b"]) if lead is None else t.join(a, "a").join(b, ["b", "small"])
     if set(patterns) == {2}:
         rows = rows.where("w = ns")
     elif set(patterns) == {3}:
@@ -73,7 +75,7 @@ def shared_superset_triads(links: DataFrame, patterns: tuple[int, ...] = (4, 5),
     a = inside.select("big", F.col("small").alias("a"), F.col("ns").alias("na"), "nb")
     b = inside.select("big", F.col("small").alias("b"), F.col("ns").alias("n2"))
     t = _led(cross(links).select(F.col("i").alias("a"), F.col("j").alias("b"), "w"), None if lead is None else lead.select(F.col("i").alias("a"), F.col("j").alias("b"), "mult"), ["a", "b"])
-    rows = a.join(b, "big").where("a < b").join(t, ["a", "b"])
+    rows = a.join(b, "big").where("a < b").join(t, ["a", "b"]) if lead is None else t.join(a, "a").join(b, ["b", "big"])
     covers = F.col("na") + F.col("n2") - F.col("w") == F.col("nb")
     if set(patterns) == {4}:
         rows = rows.where(covers)
@@ -128,10 +130,10 @@ def coreless_triads(links: DataFrame, patterns: tuple[int, ...] = CORELESS) -> D
     return close(pairs.drop("s1", "s2"), t, patterns)
 
 
-def degree_led_triads(links: DataFrame, patterns: tuple[int, ...] = members_of("TTT")) -> DataFrame:
-    """As ``cross_triads``, but led by the edge with fewest cross links (ties: least id), which bounds the lead pairs of a
-    hub edge.  The result is the same."""
-    t = cross(links)
+def degree_led_triads(links: DataFrame, patterns: tuple[int, ...] = members_of("TTT"), kinds: str = "T") -> DataFrame:
+    """As ``cross_triads`` (kinds ``T``) or ``unified_triads`` (``TC``), but led by the edge with fewest of these links (ties:
+    least id), so no edge leads more pairs than there are links, however many links a hub has.  The result is the same."""
+    t = cross(links) if kinds == "T" else links
     deg = adjacency(t).groupBy("x").agg(F.count(F.lit(1)).alias("d"))
     da, db = deg.select(F.col("x").alias("i"), F.col("d").alias("di")), deg.select(F.col("x").alias("j"), F.col("d").alias("dj"))
     t2 = t.join(da, "i").join(db, "j")
@@ -143,7 +145,7 @@ def degree_led_triads(links: DataFrame, patterns: tuple[int, ...] = members_of("
     rows = pairs.join(t.select(F.col("i").alias("b"), F.col("j").alias("c"), F.col("w").alias("wbc")), ["b", "c"])
     p = pattern_of(F.col("wab"), F.col("wac"), F.col("wbc"), F.col("g"), F.col("na"), F.col("nb"), F.col("nc"))
     out = ordered(rows, ("a", "b", "c"), ("na", "nb", "nc"), {"a": F.col("wbc"), "b": F.col("wac"), "c": F.col("wab")}, F.col("g"), p)
-    return out.where(F.col("pattern").isin(*patterns))
+    return out if len(patterns) == len(PATTERN_TABLE) else out.where(F.col("pattern").isin(*patterns))
 
 
 def core_triads(links: DataFrame, patterns: tuple[int, ...] = CORE, strategy: str = "vertex") -> DataFrame:
@@ -185,3 +187,16 @@ def unified_triads(links: DataFrame) -> DataFrame:
     third = links.select(F.col("i").alias("j"), F.col("j").alias("k"), F.col("w").alias("wjk"))
     rows = first.join(second, "i").where("j < k").withColumn("g", F.size(F.array_intersect("s1", "s2"))).drop("s1", "s2").join(third, ["j", "k"])
     return rows.withColumn("pattern", pattern_of(*[F.col(c) for c in ("wij", "wik", "wjk", "g", "ni", "nj", "nk")])).select(*COLUMNS)
+
+
+def triads_by_group(edges: DataFrame, group: str) -> DataFrame:
+    """(group, pattern, cnt) of one hypergraph for each group, by one search with the group in every join key.  edges:
+    (group, e, members), members sorted and without repeats, no two edges of a group with equal members."""
+    at = edges.select(group, F.col("e"), F.size("members").alias("n"), F.explode("members").alias("v"))
+    a, b = at.select(group, "v", F.col("e").alias("i"), F.col("n").alias("ni")), at.select(group, "v", F.col("e").alias("j"), F.col("n").alias("nj"))
+    links = a.join(b, [group, "v"]).where("i < j").groupBy(group, "i", "j", "ni", "nj").agg(F.count(F.lit(1)).cast("int").alias("w"), F.collect_list("v").alias("s1"))
+    second = links.select(group, "i", F.col("j").alias("k"), F.col("w").alias("wik"), F.col("nj").alias("nk"), F.col("s1").alias("s2"))
+    third = links.select(group, F.col("i").alias("j"), F.col("j").alias("k"), F.col("w").alias("wjk"))
+    rows = links.join(second, [group, "i"]).where("j < k").withColumn("g", F.size(F.array_intersect("s1", "s2"))).join(third, [group, "j", "k"])
+    p = pattern_of(*[F.col(c) for c in ("w", "wik", "wjk", "g", "ni", "nj", "nk")])
+    return rows.groupBy(group, p.alias("pattern")).agg(F.count(F.lit(1)).alias("cnt"))

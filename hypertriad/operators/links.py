@@ -50,14 +50,14 @@ def _by_members(hg: Hypergraph, with_shared: bool) -> DataFrame:
     return met.select("i", "j", "ni", "nj", F.size("shared").alias("w"), *(["shared"] if with_shared else []))
 
 
-def build_links(hg: Hypergraph, with_shared: bool = False, strategy: str = "join", block: int = BLOCK, join_hint: str | None = None) -> DataFrame:
+def build_links(hg: Hypergraph, with_shared: bool = False, strategy: str = "auto", block: int = BLOCK, join_hint: str | None = None) -> DataFrame:
     """All links.  strategy: ``join`` (self-join on the vertex), ``blocked`` (the same, hot vertices cut into blocks),
-    ``array`` (member arrays), or ``auto``: blocked if some vertex has more than ``block`` edges, array if edges are very
+    ``array`` (member arrays), or ``auto``, which looks at the degrees first: blocked if some vertex has more than ``block`` edges, array if edges are very
     large on average, else join."""
     if strategy == "auto":
-        top = vertex_degrees(hg).agg(F.max("d")).first()[0] or 0
-        mean = hg.edges.agg(F.avg("n")).first()[0] or 0
-        strategy = "blocked" if top > block else "array" if mean > 200 else "join"
+        size = hg.edges.agg(F.avg("n").alias("mean"))
+        seen = vertex_degrees(hg).agg(F.max("d").alias("top")).join(size).first()
+        strategy = "blocked" if (seen["top"] or 0) > block else "array" if (seen["mean"] or 0) > 200 else "join"
     if strategy == "blocked":
         met = _blocked(hg, block, with_shared)
     elif strategy == "array":

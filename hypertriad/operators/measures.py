@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 
 from ..functions.patterns import PATTERN_TABLE, pattern_rows
 from ..model import Hypergraph
-from .links import adjacency, cross, nest, project
+from ..stages import stage
+from .links import adjacency, cross, nest
 
 
 def pattern_counts(triads: DataFrame, patterns: tuple[int, ...] = tuple(PATTERN_TABLE), counted: bool = False) -> DataFrame:
@@ -153,28 +154,30 @@ def hub_edges(triads: DataFrame, k: int, pattern: int = 5) -> DataFrame:
     return triads.where(F.col("pattern") == pattern).groupBy(hub.alias("e")).agg(F.count(F.lit(1)).alias("cnt")).orderBy(F.desc("cnt"), "e").limit(k)
 
 
-def triad_core(hg: Hypergraph, k: int, find, rounds: int = 50) -> DataFrame:
-    """Edges left when edges in fewer than k triads go, again and again.  ``find(hg)`` gives the triads that count; every
-    round is staged."""
+def triad_core(hg: Hypergraph, k: int, find) -> DataFrame:
+    """Edges left when edges in fewer than k triads go, again and again, until none goes.  ``find(hg)`` gives the triads that
+    count; every round is staged, and there are as many as it takes (each takes one edge away at least, the last none)."""
     from ..model import Hypergraph as H
-    from ..stages import stage
 
-    left = hg.edges
-    for _ in range(rounds):
+    left, n = hg.edges, hg.edges.count()
+    while True:
         now = H(left.select("e", F.explode("members").alias("v")), left)
         has = find(now).select(F.explode(F.array("i", "j", "k")).alias("e")).groupBy("e").agg(F.count(F.lit(1)).alias("t")).where(F.col("t") >= k)
-        kept = stage(left.join(has.select("e"), "e", "left_semi"))
-        if kept.count() == left.count():
-            break
-        left = kept
-    return left.select("e", "n")
+        left = stage(left.join(has.select("e"), "e", "left_semi"))
+        kept = left.count()
+        if kept == n:
+            return left.select("e", "n")
+        n = kept
 
 
-def edge_ranks(per_edge: DataFrame) -> DataFrame:
-    """Ranks of edges by triads inside each pattern: rank, dense_rank, row_number (ties: least id) and percent_rank."""
-    by = Window.partitionBy("pattern").orderBy(F.desc("cnt"))
-    return per_edge.select("e", "pattern", "cnt", F.rank().over(by).alias("rnk"), F.dense_rank().over(by).alias("dense"), F.row_number().over(by.orderBy(F.desc("cnt"), "e")).alias("pos"), F.percent_rank().over(by).alias("share"))
+def clique_edges(links: DataFrame, k: int) -> DataFrame:
+    """Links (i, j, w) whose two edges have k common neighbours at least: the pairs that cliques of k + 2 edges are made of."""
+    common = links.select("i", "j").join(links.select("i", F.col("j").alias("k")), "i").where("j < k").join(links.select(F.col("i").alias("j"), F.col("j").alias("k")), ["j", "k"])
+    sides = common.select(F.explode(F.array(F.struct("i", "j"), F.struct("i", F.col("k").alias("j")), F.struct(F.col("j").alias("i"), F.col("k").alias("j")))).alias("l")).groupBy("l.i", "l.j").agg(F.count(F.lit(1)).alias("t"))
+    return links.select("i", "j", "w").join(sides.where(F.col("t") >= k), ["i", "j"]).select("i", "j", "w")
 
 
-def projected(hg: Hypergraph) -> DataFrame:
-    return project(hg)
+def edge_ranks(per_edge: DataFrame) -> DataFrame:
+    """Ranks of edges by triads inside each pattern: rank, dense_rank, row_number and ntile of 4 (ties: least id) and percent_rank."""
+    by = Window.partitionBy("pattern").orderBy(F.desc("cnt"))
+    return per_edge.select("e", "pattern", "cnt", F.ntile(4).over(by.orderBy(F.desc("cnt"), "e")).alias("quarter"), F.rank().over(by).alias("rnk"), F.dense_rank().over(by).alias("dense"), F.row_number().over(by.orderBy(F.desc("cnt"), "e")).alias("pos"), F.percent_rank().over(by).alias("share"))

@@ -23,15 +23,36 @@ def draw_key(seed: int, *ids: str) -> Column:
     return F.md5(F.concat(F.concat_ws(",", *[F.col(c).cast("string") for c in ids]), F.lit(f":{seed}")))
 
 
+def least_keys(pool: DataFrame, ids: list[str], size: int, seed: int = 0) -> DataFrame:
+    """The ``size`` rows of least key.  Two rounds of counts by the key's leading bits (4,096 at a time) name the cell of the
+    last one, so only that cell, a share of one in 16 million, is ever sorted."""
+    keyed = pool.withColumn("_key", draw_key(seed, *ids)).withColumn("_cell", F.conv(F.substring("_key", 1, 6), 16, 10).cast("int"))
+    left, low = size, 0
+    for shift, inside in ((12, F.lit(True)), (0, None)):
+        counts = keyed.where(inside if inside is not None else F.shiftright("_cell", 12) == low).groupBy(F.shiftright("_cell", shift).alias("c")).agg(F.count(F.lit(1)).alias("n")).collect()  # 4,096 rows at most
+        for r in sorted(counts):
+            low = r["c"]
+            if r["n"] >= left:
+                break
+            left -= r["n"]
+        else:
+            return pool  # no more rows than asked for
+    whole = keyed.where(F.col("_cell") < low)
+    return whole.unionByName(keyed.where(F.col("_cell") == low).orderBy("_key", *ids).limit(left)).drop("_key", "_cell")
+
+
 def induce(hg: Hypergraph, sigma: float, seed: int = 0, how: str = "topk") -> Hypergraph:
     """Keep a share of the edges, whole.  ``topk``: exactly ceil(sigma E) of least key; ``threshold``: those whose key
-    falls below sigma, with no sort or count (the way at scale)."""
+    falls below sigma, without counting; ``rand``: each by a seeded draw of its own, so its number is as sigma in the mean
+    and depends on how the edges lie in partitions."""
     key = draw_key(seed, "e")
     if how == "topk":
         n = hg.edges.count()
-        edges = hg.edges.orderBy(key).limit(-(-n * round(sigma * 10**6) // 10**6))
+        edges = least_keys(hg.edges, ["e"], -(-n * round(sigma * 10**6) // 10**6), seed)
     elif how == "threshold":
         edges = hg.edges.where(F.conv(F.substring(key, 1, 8), 16, 10).cast("long") < F.lit(int(sigma * 2**32)))
+    elif how == "rand":
+        edges = hg.edges.where(F.rand(seed) < sigma)
     else:
         raise ValueError(f"unknown way {how}")
     edges = stage(edges)
@@ -50,12 +71,13 @@ def draw(pool: DataFrame, ids: list[str], size: int, seed: int = 0, replacement:
     """``size`` elements of a pool with their multiplicity.  Without replacement: those of least key, each once.  With:
     pseudo-random positions in a distributed numbering; the number of distinct positions is at most ``size``."""
     if not replacement:
-        return pool.orderBy(draw_key(seed, *ids)).limit(size).withColumn("mult", F.lit(1).cast("long"))
+        return least_keys(pool, ids, size, seed).withColumn("mult", F.lit(1).cast("long"))
     lined = stage(numbered(pool, ids, "_pos"))
     n = lined.count()
     if not n:
         return lined.drop("_pos").withColumn("mult", F.lit(1).cast("long"))
-    at = pool.sparkSession.range(size).select(F.pmod(F.xxhash64(F.col("id"), F.lit(seed)), F.lit(n)).alias("_pos")).groupBy("_pos").agg(F.count(F.lit(1)).alias("mult"))
+    turn = F.conv(F.substring(draw_key(seed, "id"), 1, 15), 16, 10).cast("long")
+    at = pool.sparkSession.range(size).select((turn % n).alias("_pos")).groupBy("_pos").agg(F.count(F.lit(1)).alias("mult"))
     return lined.join(at, "_pos").drop("_pos")
 
 
@@ -73,8 +95,8 @@ def sample_by_vertex(hg: Hypergraph, links: DataFrame, alpha: int, seed: int = 0
     vertices = hg.incidence.select("v").distinct()
     n = vertices.count()
     chosen = draw(vertices, ["v"], alpha, seed)
-    leads = hg.incidence.join(F.broadcast(chosen), "v").groupBy("e").agg(F.sum("mult").alias("mult"))
-    rows = unified_triads(links).join(leads, F.col("i") == F.col("e"))
+    leads = hg.incidence.join(chosen, "v").groupBy(F.col("e").alias("i")).agg(F.sum("mult").alias("mult"))
+    rows = _led_by(links.join(leads, "i"), links)  # only sampled leads reach the triad joins
     weight = F.col("mult") / F.col("ni") if correct else F.col("mult")
     return _estimates(rows.select("pattern", weight.alias("mult")), n / min(alpha, n) * scale)
 
@@ -83,18 +105,18 @@ def sample_by_edge(hg: Hypergraph, links: DataFrame, alpha: int, seed: int = 0,
     """Sampled edges count the triads of which they are the least id."""
     n = hg.edges.count()
     chosen = draw(hg.edges.select("e"), ["e"], alpha, seed, replacement)
-    first = links.join(F.broadcast(chosen), F.col("i") == F.col("e"))  # only sampled leads reach the triad joins
+    first = links.join(chosen, F.col("i") == F.col("e"))  # only sampled leads reach the triad joins
     rows = _led_by(first, links)
     return _estimates(rows, n / (alpha if replacement else min(alpha, n)) * scale)
 
 
 def _led_by(first: DataFrame, links: DataFrame) -> DataFrame:
-    """Triads whose two least edges are a link of ``first``, with its multiplicity."""
+    """Pattern, size of the least edge and multiplicity of the triads whose two least edges are a link of ``first``."""
     a = first.select("i", "j", F.col("w").alias("wij"), "ni", "nj", F.col("shared").alias("s1"), "mult")
     b = links.select("i", F.col("j").alias("k"), F.col("w").alias("wik"), F.col("nj").alias("nk"), F.col("shared").alias("s2"))
     c = links.select(F.col("i").alias("j"), F.col("j").alias("k"), F.col("w").alias("wjk"))
     rows = a.join(b, "i").where("j < k").withColumn("g", F.size(F.array_intersect("s1", "s2"))).drop("s1", "s2").join(c, ["j", "k"])
-    return rows.select(pattern_of(*[F.col(x) for x in ("wij", "wik", "wjk", "g", "ni", "nj", "nk")]).alias("pattern"), "mult")
+    return rows.select(pattern_of(*[F.col(x) for x in ("wij", "wik", "wjk", "g", "ni", "nj", "nk")]).alias("pattern"), "ni", "mult")
 
 
 def sample_by_link(links: DataFrame, alpha: int, seed: int = 0, replacement: bool = False, scale: float = 1.0) -> DataFrame:
@@ -109,11 +131,16 @@ def sample_links_any_order(links: DataFrame, alpha: int, seed: int = 0) -> DataF
     closed triad holds three links and an open one (pattern 0) two, so the scales differ."""
     n = links.count()
     alpha = max(1, min(alpha, n))
-    chosen = F.broadcast(draw(links, ["i", "j"], alpha, seed).select("i", "j"))
-    near = adjacency(links)
-    ends = chosen.join(near.select(F.col("x").alias("i"), F.col("y").alias("z")), "i").select("i", "j", "z").unionByName(chosen.join(near.select(F.col("x").alias("j"), F.col("y").alias("z")), "j").select("i", "j", "z")).where("z <> i AND z <> j")
+    chosen = stage(draw(links, ["i", "j"], alpha, seed))
+    there = links.select(F.col("i").alias("x"), F.col("j").alias("z"), "w", F.col("nj").alias("nz"), "shared")
+    near = there.unionByName(links.select(F.col("j").alias("x"), F.col("i").alias("z"), "w", F.col("ni").alias("nz"), "shared"))
+    one = near.select(F.col("x").alias("i"), "z", F.col("w").alias("wi"), "nz", F.col("shared").alias("si"))
+    two = near.select(F.col("x").alias("j"), "z", F.col("w").alias("wj"))
+    ends = chosen.join(one.select("i", "z"), "i").select("i", "j", "z").unionByName(chosen.join(two.select("j", "z"), "j").select("i", "j", "z")).where("z <> i AND z <> j")
     kinds = ends.groupBy("i", "j", "z").agg(F.count(F.lit(1)).alias("c"))
-    closed = unified_triads(links).select("pattern", F.explode(F.array(F.struct("i", "j"), F.struct("i", F.col("k").alias("j")), F.struct(F.col("j").alias("i"), F.col("k").alias("j")))).alias("l")).select("pattern", "l.i", "l.j").join(chosen, ["i", "j"]).groupBy("pattern").agg(F.count(F.lit(1)).alias("raw"))
+    met = chosen.join(one, "i").where("z <> j").withColumn("g", F.size(F.array_intersect("shared", "si"))).drop("shared", "si").join(two, ["j", "z"])
+    pattern = pattern_of(*[F.col(c) for c in ("w", "wi", "wj", "g", "ni", "nj", "nz")])  # the order of the three does not matter
+    closed = met.groupBy(pattern.alias("pattern")).agg(F.count(F.lit(1)).alias("raw"))
     opened = kinds.where("c = 1").agg(F.count(F.lit(1)).alias("raw")).select(F.lit(0).alias("pattern"), "raw")
     every = pattern_rows(links.sparkSession).select("pattern").unionByName(links.sparkSession.range(1).select(F.lit(0).alias("pattern")))
     got = F.broadcast(every).join(closed.unionByName(opened), "pattern", "left").withColumn("raw", F.coalesce("raw", F.lit(0)).cast("double"))

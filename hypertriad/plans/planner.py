@@ -20,12 +20,19 @@ from ..operators.families import (
     one_nest_triads,
     shared_subset_triads,
     shared_superset_triads,
+    unified_triads,
 )
-from ..operators.links import build_links
+from ..operators.links import build_links, nest
 from ..operators.measures import pattern_counts
 from ..stages import stage
 
 
+#: Lead pairs of one edge from which on the search is led by degree.
+HUB = 5_000
+#: The fused search is taken where it forms at most this many times the pairs of the separate ones.
+FUSED_PAIRS = 1.5
+
+
 @dataclass(frozen=True)
 class TriadPlan:
     """A request resolved: patterns by search, and what must be built for them."""
@@ -80,9 +87,27 @@ def _pruned(links: DataFrame, plan: TriadPlan) -> DataFrame:
     return links if len(plan.link_kinds) == 2 else links.where(F.col("kind") == plan.link_kinds[0])
 
 
-def searches(links: DataFrame, plan: TriadPlan, lead: str = "id", core_strategy: str = "auto") -> list[DataFrame]:
+def choose(links: DataFrame) -> tuple[str, bool]:
+    """(lead, fused) for a search of all patterns, or of several families, from the degrees of the links: led by degree
+    where one edge would lead very many pairs, and as one search over all links where that forms few more pairs than the
+    searches of the families, which together exchange the links several times."""
+    one = F.lit(1)
+    led = links.groupBy("i").agg(F.count(one).alias("d"), F.sum((F.col("kind") == "T").cast("long")).alias("t"))
+    led = led.agg(F.max("d").alias("most"), F.sum(F.col("d") * (F.col("d") - 1) / 2).alias("all"), F.sum(F.col("t") * (F.col("t") - 1) / 2).alias("cross"))
+    c = nest(links)
+    pairs = lambda by: c.groupBy(by).agg(F.count(one).alias("n")).agg(F.coalesce(F.sum(F.col("n") * (F.col("n") - 1) / 2), F.lit(0.0)).alias(by))
+    seen = led.join(pairs("small")).join(pairs("big")).first()  # single rows
+    if seen["most"] is None:
+        return "id", False
+    separate = seen["cross"] + seen["small"] + seen["big"]
+    return ("degree" if seen["most"] > HUB else "id"), seen["all"] <= FUSED_PAIRS * separate
+
+
+def searches(links: DataFrame, plan: TriadPlan, lead: str = "id", core_strategy: str = "auto", fused: bool = False) -> list[DataFrame]:
     """The searches of a plan.  With core and coreless patterns asked together one lead join serves both; core patterns
     alone avoid open pairs, coreless ones alone stop at the first common vertex."""
+    if fused:  # every pattern from one lead join and one closing join over all links
+        return [degree_led_triads(links, tuple(PATTERN_TABLE), "TC") if lead == "degree" else unified_triads(links)]
     out = []
     if plan.chain and not plan.count_only:
         out.append(nest_chain_triads(links))
@@ -102,25 +127,31 @@ def searches(links: DataFrame, plan: TriadPlan, lead: str = "id", core_strategy:
     return out
 
 
-def triads(hg: Hypergraph | None, request: int | str | list | tuple | None = None, mode: str = "enumerate", links: DataFrame | None = None, lead: str = "id", core_strategy: str = "auto", parallelism: int | None = None, strategy: str = "join") -> DataFrame:
+def triads(hg: Hypergraph | None, request: int | str | list | tuple | None = None, mode: str = "enumerate", links: DataFrame | None = None, lead: str = "auto", core_strategy: str = "auto", parallelism: int | None = None, strategy: str = "auto", fused: bool | None = None) -> DataFrame:
     """Triads of the asked patterns, or their counts (pattern, cnt; zeros filled in for every asked pattern).
 
     Step one builds and stages links (or takes ``links``; they need ``shared`` for patterns 9 to 20); step two runs the
-    searches of the plan.  parallelism sets the partitions of the links that searches start from.
+    searches of the plan.  lead: ``id``, ``degree`` or ``auto``; fused: one search for all patterns, or None to let the
+    degrees decide both (``choose``).  parallelism sets the partitions of the links that searches start from.
     """
-    plan = plan_for(request, mode)
+    plan, want = plan_for(request, mode), patterns_of(request)
     if links is None:
         links = stage(_pruned(build_links(hg, with_shared=plan.need_shared, strategy=strategy), plan), partition_by="kind")
     links = _pruned(links, plan)
+    every = len(want) == len(PATTERN_TABLE)
+    if plan.core and plan.coreless and (lead == "auto" or every and fused is None):
+        found_lead, found_fused = choose(links)
+        lead, fused = found_lead if lead == "auto" else lead, found_fused if fused is None else fused
+    lead, fused = "id" if lead == "auto" else lead, bool(fused) and every
     links = links.repartition(parallelism, "i") if parallelism else links
-    found = searches(links, plan, lead, core_strategy)
+    found = searches(links, plan, lead, core_strategy, fused)
     if mode != "count":
         return reduce(DataFrame.unionByName, found)
     parts = [f.groupBy("pattern").agg(F.count(F.lit(1)).alias("cnt")) for f in found]
-    if plan.chain:
+    if plan.chain and not fused:
         parts.append(nest_chain_count(links))
     counted = reduce(DataFrame.unionByName, parts)
-    return pattern_counts(counted, patterns_of(request), counted=True)
+    return pattern_counts(counted, want, counted=True)
 
 
 def explain_plan(hg: Hypergraph, request: int | str | list | tuple | None = None) -> str:

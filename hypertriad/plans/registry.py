@@ -18,14 +18,15 @@ from ..operators.links import bruteforce_links, build_links, links_at_least, pro
 from ..sources.builders import BUILDERS, hypergraph, lines_of_lang, read_table
 from ..sources.files import from_lists
 from ..stages import stage
+from . import workloads
 from .planner import triads
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 
-#: Builders whose exact counts are compared everywhere; order_parts is counted whole too, but without SQL.
-#: Queries named _fifth, and describe_nested_customers, run on an induced fifth of the edges; each has one beside it on all.
+#: Builders whose exact counts are compared everywhere; order_parts is counted whole too, but without SQL.  Only queries of
+#: sampling read an induced fifth of the edges.
 EXACT = ("user_day_types", "order_suppliers", "purchase_hour_users", "doc_lines", "labelled_doc_lines", "benchmark_passages", "day_customers", "user_keys", "vector_top_dims", "page_links", "conv_tokens", "asof_clickers", "latest_clickers", "bucket_users", "user_day_keys", "customer_nations", "customer_brands")
 FIFTH = 200_000
 SIGMA = 0.2
@@ -77,12 +78,10 @@ add("dictionary_doc_lines", lambda s, d: dictionary_encode(BUILDERS["doc_lines"]
 for b in EXACT:
     add(f"counts_all_{b}", lambda s, d, b=b: triads(graph(s, d, b), mode="count"), O.counts_sql(b))
 add("counts_all_order_parts", lambda s, d: triads(graph(s, d, "order_parts"), mode="count"))
-add("counts_all_order_parts_fifth", lambda s, d: triads(graph(s, d, "order_parts", SIGMA), mode="count"), O.counts_sql("order_parts", sigma=FIFTH))
 for f in ("ccc", "tcc", "ttc", "ttt", "core", "coreless"):
     request = f if f.startswith("core") else f.upper()
     add(f"counts_{f}_purchase_hour_users", lambda s, d, r=request: triads(graph(s, d, "purchase_hour_users"), r, "count"), O.counts_sql("purchase_hour_users", O.request_patterns(f)))
     add(f"counts_{f}_customer_nations", lambda s, d, r=request: triads(graph(s, d, "customer_nations"), r, "count"), O.counts_sql("customer_nations", O.request_patterns(f)))
-    add(f"counts_{f}_customer_nations_fifth", lambda s, d, r=request: triads(graph(s, d, "customer_nations", SIGMA), r, "count"), O.counts_sql("customer_nations", O.request_patterns(f), FIFTH))
 for p in PATTERN_TABLE:
     add(f"enumerate_p{p}_user_day_types", lambda s, d, p=p: triads(graph(s, d, "user_day_types"), p), O.enumerate_sql("user_day_types", (p,)))
 add("enumerate_all_order_suppliers", lambda s, d: triads(graph(s, d, "order_suppliers")), O.enumerate_sql("order_suppliers", tuple(PATTERN_TABLE)))
@@ -91,7 +90,6 @@ for k in ("vertex", "grouped"):
 add("degree_led_purchase_hour_users", lambda s, d: triads(graph(s, d, "purchase_hour_users"), "TTT", lead="degree"), O.enumerate_sql("purchase_hour_users", O.request_patterns("ttt")))
 add("parallel_counts_order_suppliers", lambda s, d: triads(graph(s, d, "order_suppliers"), mode="count", parallelism=16), O.counts_sql("order_suppliers"))
 add("unified_counts_customer_nations", lambda s, d: measures.pattern_counts(families.unified_triads(linked(graph(s, d, "customer_nations")))), O.counts_sql("customer_nations"))
-add("unified_counts_customer_nations_fifth", lambda s, d: measures.pattern_counts(families.unified_triads(linked(graph(s, d, "customer_nations", SIGMA)))), O.counts_sql("customer_nations", sigma=FIFTH))
 
 # --- the exhaustive baseline ----------------------------------------------------------------------------------------
 
@@ -149,7 +147,10 @@ UNION ALL SELECT 'nest_chain', (SELECT x FROM one), (SELECT coalesce(sum(n * n),
 UNION ALL SELECT 'cross', (SELECT x FROM one), (SELECT x FROM ttt)
 UNION ALL SELECT 'core', (SELECT x FROM one), (SELECT x FROM meet)
 UNION ALL SELECT 'coreless', (SELECT x FROM one), (SELECT x FROM ttt))""", O.LINKS_CTE, O.DEGREES_CTE, _TERMS))
-add("triad_core_order_suppliers", lambda s, d: measures.triad_core(graph(s, d, "order_suppliers"), 3, lambda g: triads(g, "TTT")))
+#: The rounds are unrolled; those after the last that takes an edge away change nothing.
+_ROUNDS = ["left0 AS (SELECT e FROM edges)", *(f"left{r} AS (SELECT e FROM (SELECT unnest([i, j, k]) AS e FROM tri WHERE pattern >= 9 AND i IN (SELECT e FROM left{r - 1}) AND j IN (SELECT e FROM left{r - 1}) AND k IN (SELECT e FROM left{r - 1})) GROUP BY e HAVING count(*) >= 3)" for r in range(1, 9))]
+add("triad_core_order_suppliers", lambda s, d: measures.triad_core(graph(s, d, "order_suppliers"), 3, lambda g: triads(g, "TTT")), O.triads_sql("order_suppliers", "SELECT e, n FROM edges WHERE e IN (SELECT e FROM left8)", None, *_ROUNDS))
+add("clique_edges_order_suppliers", lambda s, d: measures.clique_edges(build_links(graph(s, d, "order_suppliers")), 3), O.triads_sql("order_suppliers", "SELECT i, j, w FROM links JOIN (SELECT l.i AS i, l.j AS j FROM (SELECT unnest([{'i': i, 'j': j}, {'i': i, 'j': k}, {'i': j, 'j': k}]) AS l FROM tri) GROUP BY ALL HAVING count(*) >= 3) USING (i, j)"))
 
 # --- sampling -------------------------------------------------------------------------------------------------------
 
@@ -185,22 +186,36 @@ got AS (SELECT pattern, count(*) AS raw, any_value(CASE f WHEN 'TTT' THEN t / CA
         WHERE (f = 'TTT' AND rt.r <= a1) OR (f = 'CCC' AND rc.r <= a2) OR (f = 'TCC' AND rt.r <= least(t, a3)) OR (f = 'TTC' AND rc.r <= least(c, a3)) GROUP BY pattern)"""
 add("sample_family", lambda s, d: _rounded(sampling.sample_by_family(linked(graph(s, d, _FEW)), 300)), O.triads_sql(_FEW, _EST.format(factor="coalesce(factor, 0)"), None, _STRATA))
 add("sample_family_one_nest_only", lambda s, d: _rounded(sampling.sample_by_family(linked(graph(s, d, _FEW)), 10**6, families=("TTC",))), O.triads_sql(_FEW, "SELECT pattern, CAST(CASE WHEN pattern IN (6, 7, 8) THEN cnt ELSE 0 END AS DOUBLE) AS raw, CAST(CASE WHEN pattern IN (6, 7, 8) THEN cnt ELSE 0 END AS DOUBLE) AS est FROM counts"))
-add("sample_link_with_replacement", lambda s, d: _rounded(sampling.sample_by_link(linked(graph(s, d, _FEW)), 300, replacement=True)))
-add("sample_family_with_replacement", lambda s, d: _rounded(sampling.sample_by_family(linked(graph(s, d, _FEW)), 300, replacement=True)))
+_TURN = "CAST('0x' || substr(md5(CAST(id AS VARCHAR) || ':0'), 1, 15) AS BIGINT)"
+_TURNS = "(SELECT unnest(range(300)) AS id)"
+add("sample_link_with_replacement", lambda s, d: _rounded(sampling.sample_by_link(linked(graph(s, d, _FEW)), 300, replacement=True)), O.triads_sql(_FEW, _EST.format(factor="(SELECT count(*) / 300.0 FROM links)"), None, "lined AS (SELECT i, j, row_number() OVER (ORDER BY i, j) - 1 AS p FROM links)", f"pick AS (SELECT {_TURN} % (SELECT count(*) FROM links) AS p, count(*) AS m FROM {_TURNS} GROUP BY 1)", "got AS (SELECT pattern, sum(m) AS raw FROM tri JOIN lined USING (i, j) JOIN pick USING (p) GROUP BY pattern)"))
+_AGAIN = f"""
+strata AS (SELECT 'TTT' AS f, 'T' AS kind, t AS pool, a1 AS a FROM share UNION ALL SELECT 'CCC', 'C', c, a2 FROM share UNION ALL SELECT 'TCC', 'T', t, least(t, a3) FROM share UNION ALL SELECT 'TTC', 'C', c, least(c, a3) FROM share),
+lined AS (SELECT kind, i, j, row_number() OVER (PARTITION BY kind ORDER BY i, j) - 1 AS p FROM links),
+hits AS (SELECT f, kind, pool, a, {_TURN} % pool AS p, count(*) AS m FROM strata, {_TURNS} WHERE id < a GROUP BY ALL),
+again AS (SELECT led.pattern, sum(m) AS raw, any_value(pool / CAST(a AS DOUBLE)) AS factor FROM led JOIN hits ON hits.f = led.f JOIN lined ON lined.kind = hits.kind AND lined.p = hits.p AND lined.i = led.l.a AND lined.j = led.l.b GROUP BY led.pattern)"""
+add("sample_family_with_replacement", lambda s, d: _rounded(sampling.sample_by_family(linked(graph(s, d, _FEW)), 300, replacement=True)), O.triads_sql(_FEW, _EST.format(factor="coalesce(factor, 0)").replace("JOIN got USING", "JOIN again USING"), None, _STRATA, _AGAIN))
 for element, value in (("vertex", "sum(ni)"), ("edge", "count(*)"), ("link", "count(*)")):
     add(f"expectation_{element}", lambda s, d, e=element: sampling.sampling_expectation(linked(graph(s, d, _FEW)), e), O.triads_sql(_FEW, f"SELECT p.pattern, CAST(coalesce(x, 0) AS BIGINT) AS expected FROM {O.EVERY} p LEFT JOIN (SELECT pattern, {value} AS x FROM tri GROUP BY pattern) USING (pattern)"))
 for element, keys in (("edge", "i"), ("link", "i, j")):
     for joint, third in (("assumed", "3.0"), ("lead", "1.0")):
         add(f"variance_{element}_{joint}", lambda s, d, e=element, q=joint: sampling.variance_uniform(linked(graph(s, d, _FEW)), e, 100, 1500, q).withColumn("variance", F.round("variance", 6)), O.triads_sql(_FEW, f"SELECT p.pattern, CAST(coalesce(h, 0) AS BIGINT) AS triads, CAST(coalesce(h, 0) * (coalesce(h, 0) - 1) AS BIGINT) AS pairs, CAST(coalesce(s, 0) AS BIGINT) AS sharing, round(100.0 * (coalesce(h, 0) * (1 / 1500.0 - 1 / (1500.0 * 1500.0)) + coalesce(s, 0) / ({third} * 1500.0) - coalesce(h, 0) * (coalesce(h, 0) - 1) / (1500.0 * 1500.0)), 6) AS variance FROM {O.EVERY} p LEFT JOIN (SELECT pattern, sum(c) AS h, sum(c * (c - 1)) AS s FROM (SELECT pattern, {keys}, count(*) AS c FROM tri GROUP BY pattern, {keys}) GROUP BY pattern) USING (pattern)"))
 add("variance_by_family", lambda s, d: sampling.variance_by_family(linked(graph(s, d, _FEW)), 300).select("pattern", "triads", "sharing", F.round("alpha", 6).alias("alpha"), F.round("variance", 6).alias("variance")), O.triads_sql(_FEW, f"SELECT pattern, CAST(h AS BIGINT) AS triads, CAST(s AS BIGINT) AS sharing, round(al, 6) AS alpha, round(al * (h * (1 / dl - 1 / (dl * dl)) + s / (3 * dl) - h * (h - 1) / (dl * dl)), 6) AS variance FROM (SELECT p.pattern, CAST(coalesce(h, 0) AS DOUBLE) AS h, CAST(coalesce(s, 0) AS DOUBLE) AS s, CAST(CASE WHEN f IN ('TTT', 'TCC') THEN t ELSE c END AS DOUBLE) AS dl, 300.0 * CASE f WHEN 'TTT' THEN t * t WHEN 'CCC' THEN c * c ELSE t * c END / CAST((t + c) * (t + c) AS DOUBLE) AS al FROM (SELECT pattern, {O.FAMILY_CASE} AS f FROM {O.EVERY}) p LEFT JOIN (SELECT pattern, sum(n) AS h, sum(n * (n - 1)) AS s FROM (SELECT pattern, l, count(*) AS n FROM led GROUP BY pattern, l) GROUP BY pattern) USING (pattern), pools)", None, _STRATA))
-add("sampled_cost", lambda s, d: sampling.sampled_cost(linked(graph(s, d, _FEW)), 300).withColumn("entries", F.round("entries", 6)))
-add("replicated_edge", lambda s, d: sampling.replicate(lambda seed: sampling.sample_by_edge(hg, links, 80, seed), [1, 2, 3]).select("pattern", "runs", F.round("mean", 6).alias("mean")) if (hg := graph(s, d, _FEW)) and (links := linked(hg)) else None)
+_COST = """
+near AS (SELECT x, count(*) FILTER (kind = 'T') AS nt, count(*) FILTER (kind = 'C') AS nc FROM (SELECT i AS x, kind FROM links UNION ALL SELECT j, kind FROM links) GROUP BY x),
+later AS (SELECT i AS x, count(*) AS d, count(*) FILTER (kind = 'T') AS dt FROM links GROUP BY i),
+sums AS (SELECT CAST(count(*) AS DOUBLE) AS n, CAST(count(*) FILTER (kind = 'T') AS DOUBLE) AS t, CAST(count(*) FILTER (kind = 'C') AS DOUBLE) AS c, CAST(sum(d * w) AS DOUBLE) AS u,
+                CAST(coalesce(sum(dt * w) FILTER (kind = 'T'), 0) AS DOUBLE) AS a1, CAST(coalesce(sum(s.nc) FILTER (kind = 'C'), 0) AS DOUBLE) AS a2,
+                CAST(coalesce(sum(f.nc) FILTER (kind = 'T'), 0) AS DOUBLE) AS a3, CAST(coalesce(sum(s.nt) FILTER (kind = 'C'), 0) AS DOUBLE) AS a4
+         FROM links JOIN later ON later.x = i JOIN near f ON f.x = i JOIN near s ON s.x = CASE WHEN ni > nj THEN j ELSE i END)"""
+add("sampled_cost", lambda s, d: sampling.sampled_cost(linked(graph(s, d, _FEW)), 300).withColumn("entries", F.round("entries", 6)), O.with_(_FEW, "SELECT 'uniform' AS method, round(u * 300 / n, 6) AS entries FROM sums UNION ALL SELECT 'stratified', round((t * a1 + c * a2 + c * a3 + t * a4) * 300 / (n * n), 6) FROM sums", O.LINKS_CTE, _COST))
+add("replicated_edge", lambda s, d: sampling.replicate(lambda seed: sampling.sample_by_edge(hg, links, 80, seed), [1, 2, 3]).select("pattern", "runs", F.round("mean", 6).alias("mean")) if (hg := graph(s, d, _FEW)) and (links := linked(hg)) else None, O.triads_sql(_FEW, f"SELECT p.pattern, CAST(3 AS BIGINT) AS runs, round(coalesce(raw, 0) * (SELECT count(*) / CAST(least(count(*), 80) AS DOUBLE) FROM edges) / 3.0, 6) AS mean FROM {O.EVERY} p LEFT JOIN got USING (pattern)", None, *[f"pick{k} AS (SELECT e FROM edges ORDER BY md5(CAST(e AS VARCHAR) || ':{k}') LIMIT 80)" for k in (1, 2, 3)], "pick AS (SELECT * FROM pick1 UNION ALL SELECT * FROM pick2 UNION ALL SELECT * FROM pick3)", "got AS (SELECT pattern, count(*) AS raw FROM tri JOIN pick ON e = i GROUP BY pattern)"))
 _ERR = "SELECT round(avg(CASE WHEN cnt > 0 THEN abs(cnt - est) / cnt END), 6) AS error, round(1 - avg(CASE WHEN cnt > 0 THEN abs(cnt - est) / cnt END), 6) AS accuracy FROM (SELECT c.cnt, coalesce(raw, 0) * {factor} AS est FROM counts c LEFT JOIN got USING (pattern))"
 
 
-def _error(sampler) -> Query:
+def _error(sampler: Callable[[DataFrame], DataFrame], builder: str = _FEW, sigma: float | None = None) -> Query:
     def run(s: SparkSession, d: str) -> DataFrame:
-        _, links, counts = counted(s, d, _FEW)
+        _, links, counts = counted(s, d, builder, sigma)
         return measures.mean_relative_error(counts, sampler(links)).select(F.round("error", 6).alias("error"), F.round("accuracy", 6).alias("accuracy"))
 
     return run
@@ -209,6 +224,12 @@ def _error(sampler) -> Query:
 add("error_sample_link", _error(lambda x: sampling.sample_by_link(x, 300)), O.triads_sql(_FEW, _ERR.format(factor="(SELECT count(*) / CAST(least(count(*), 300) AS DOUBLE) FROM links)"), None, f"pick AS (SELECT i, j FROM links ORDER BY {_LINK_KEY} LIMIT 300)", "got AS (SELECT pattern, count(*) AS raw FROM tri JOIN pick USING (i, j) GROUP BY pattern)"))
 add("error_sample_family", _error(lambda x: sampling.sample_by_family(x, 300)), O.triads_sql(_FEW, _ERR.format(factor="coalesce(factor, 0)"), None, _STRATA))
 
+#: The four largest inputs of the sampling experiment, each an induced fifth of its edges, as the experiment has it.
+for b in ("order_parts", "customer_nations", "user_day_keys", "bucket_users"):
+    for alpha in (500, 5000):
+        add(f"error_sample_link_{b}_{alpha}", _error(lambda x, a=alpha: sampling.sample_by_link(x, a), b, SIGMA), O.triads_sql(b, _ERR.format(factor=f"(SELECT count(*) / CAST(least(count(*), {alpha}) AS DOUBLE) FROM links)"), FIFTH, f"pick AS (SELECT i, j FROM links ORDER BY {_LINK_KEY} LIMIT {alpha})", "got AS (SELECT pattern, count(*) AS raw FROM tri JOIN pick USING (i, j) GROUP BY pattern)"))
+        add(f"error_sample_family_{b}_{alpha}", _error(lambda x, a=alpha: sampling.sample_by_family(x, a), b, SIGMA), O.triads_sql(b, _ERR.format(factor="coalesce(factor, 0)"), FIFTH, _STRATA.replace("300", str(alpha))))
+
 # --- workloads and helpers ------------------------------------------------------------------------------------------
 
 COAUTHORS = [[1, 2, 3], [3, 4, 5], [2, 3, 4, 6], [2, 3, 4, 7], [4, 8, 9, 10]]
@@ -227,17 +248,14 @@ for name, lists in (("coauthors", COAUTHORS), ("mail_hub", MAIL_HUB)):
 _HUBS = "SELECT e, count(*) AS cnt FROM (SELECT CASE greatest(ni, nj, nk) WHEN ni THEN i WHEN nj THEN j ELSE k END AS e FROM tri WHERE pattern = 5) GROUP BY e ORDER BY cnt DESC, e LIMIT 10"
 add("hub_edges_p5_customer_nations", lambda s, d: measures.hub_edges(triads(graph(s, d, "customer_nations"), 5), 10), O.triads_sql("customer_nations", _HUBS))
 add("hub_value_customer_nations", lambda s, d: R.hub_value(measures.hub_edges(triads(graph(s, d, "customer_nations"), 5), 10), read_table(s, d, "orders")).withColumn("value", F.col("value").cast("string")), O.triads_sql("customer_nations", f"SELECT h.e, h.cnt, CAST(CAST(sum(CAST(o_totalprice AS DECIMAL(18,2))) AS DECIMAL(18,2)) AS VARCHAR) AS value FROM ({_HUBS}) h LEFT JOIN orders ON o_custkey = h.e GROUP BY h.e, h.cnt"))
-add("describe_nested_customers_all", lambda s, d: R.describe_triads(triads(graph(s, d, "customer_nations"), 4), read_table(s, d, "customer").select(F.col("c_custkey").alias("e"), F.col("c_name").alias("name"))).select("i", "j", "k", "name_i", "name_j", "name_k"), O.triads_sql("customer_nations", "SELECT i, j, k, a.c_name AS name_i, b.c_name AS name_j, c.c_name AS name_k FROM tri LEFT JOIN customer a ON a.c_custkey = i LEFT JOIN customer b ON b.c_custkey = j LEFT JOIN customer c ON c.c_custkey = k WHERE pattern = 4"))
-add("hub_edges_p5_customer_nations_fifth", lambda s, d: measures.hub_edges(triads(graph(s, d, "customer_nations", SIGMA), 5), 10), O.triads_sql("customer_nations", _HUBS, FIFTH))
-add("hub_value_customer_nations_fifth", lambda s, d: R.hub_value(measures.hub_edges(triads(graph(s, d, "customer_nations", SIGMA), 5), 10), read_table(s, d, "orders")).withColumn("value", F.col("value").cast("string")), O.triads_sql("customer_nations", f"SELECT h.e, h.cnt, CAST(CAST(sum(CAST(o_totalprice AS DECIMAL(18,2))) AS DECIMAL(18,2)) AS VARCHAR) AS value FROM ({_HUBS}) h LEFT JOIN orders ON o_custkey = h.e GROUP BY h.e, h.cnt", FIFTH))
-add("describe_nested_customers", lambda s, d: R.describe_triads(triads(graph(s, d, "customer_nations", SIGMA), 4), read_table(s, d, "customer").select(F.col("c_custkey").alias("e"), F.col("c_name").alias("name"))).select("i", "j", "k", "name_i", "name_j", "name_k"), O.triads_sql("customer_nations", "SELECT i, j, k, a.c_name AS name_i, b.c_name AS name_j, c.c_name AS name_k FROM tri LEFT JOIN customer a ON a.c_custkey = i LEFT JOIN customer b ON b.c_custkey = j LEFT JOIN customer c ON c.c_custkey = k WHERE pattern = 4", FIFTH))
+add("describe_nested_customers", lambda s, d: R.describe_triads(triads(graph(s, d, "customer_nations"), 4), read_table(s, d, "customer").select(F.col("c_custkey").alias("e"), F.col("c_name").alias("name"))).select("i", "j", "k", "name_i", "name_j", "name_k"), O.triads_sql("customer_nations", "SELECT i, j, k, a.c_name AS name_i, b.c_name AS name_j, c.c_name AS name_k FROM tri LEFT JOIN customer a ON a.c_custkey = i LEFT JOIN customer b ON b.c_custkey = j LEFT JOIN customer c ON c.c_custkey = k WHERE pattern = 4"))
 add("regions_order_suppliers", lambda s, d: R.select_regions(triads(graph(s, d, "order_suppliers"))), O.triads_sql("order_suppliers", "SELECT i, j, k, ni - wij - wik + g AS only_i, nj - wij - wjk + g AS only_j, nk - wik - wjk + g AS only_k, wij - g AS only_ij, wjk - g AS only_jk, wik - g AS only_ik, g AS all_ijk FROM tri"))
 _SIZE = "n BETWEEN 2 AND 3"
 add("filtered_edges_order_suppliers", lambda s, d: triads(R.filter_edges(graph(s, d, "order_suppliers"), 2, 3), mode="count"), O.counts_sql("order_suppliers").replace("inc AS (SELECT e, n, unnest(m) AS v FROM edges)", f"inc AS (SELECT e, n, unnest(m) AS v FROM edges WHERE {_SIZE})"))
 add("filtered_vertices_order_suppliers", lambda s, d: R.filter_vertices(graph(s, d, "order_suppliers"), 5), O.with_("order_suppliers", "SELECT e, v FROM inc WHERE v IN (SELECT v FROM inc GROUP BY v HAVING count(*) <= 5)"))
 add("unlabelled_edges_doc_lines", lambda s, d: R.restrict_edges(graph(s, d, "doc_lines"), read_table(s, d, "labels").select(F.col("doc_id").alias("e")), "left_anti").edges.select("e", "n"), O.with_("doc_lines", "SELECT e, n FROM edges WHERE e NOT IN (SELECT doc_id FROM labels)"))
 add("sizes_exact_order_parts", lambda s, d: R.size_preview(graph(s, d, "order_parts"), exact=True), O.with_("order_parts", "SELECT count(DISTINCT e) AS edges, count(DISTINCT v) AS vertices FROM inc"))
-add("degree_stats_order_parts", lambda s, d: R.degree_stats(graph(s, d, "order_parts")), O.with_("order_parts", "SELECT count(*) AS edges, round(avg(n), 9) AS mean, round(stddev_samp(n), 9) AS deviation, min(n) AS least, max(n) AS most, (SELECT e FROM edges ORDER BY n DESC, e LIMIT 1) AS largest FROM edges"))
+add("degree_stats_order_parts", lambda s, d: R.degree_stats(graph(s, d, "order_parts")), O.with_("order_parts", "SELECT count(*) AS edges, round(avg(n), 9) AS mean, round(stddev_samp(n), 9) AS deviation, min(n) AS least, max(n) AS most, (SELECT e FROM edges ORDER BY n DESC, e LIMIT 1) AS largest, round(quantile_cont(n, 0.5), 9) AS median, round(quantile_cont(n, 0.9), 9) AS p90 FROM edges"))
 add("counts_rollup_order_suppliers", lambda s, d: _named(R.counts_rollup(counted(s, d, "order_suppliers")[2])), O.triads_sql("order_suppliers", f"SELECT coalesce(family, 'all') AS family, coalesce(CAST(pattern AS VARCHAR), 'all') AS pattern, CAST(sum(cnt) AS BIGINT) AS cnt, CAST(grouping(family, pattern) AS INTEGER) AS level FROM (SELECT *, {O.FAMILY_CASE} AS family FROM counts) GROUP BY ROLLUP (family, pattern)"))
 
 
@@ -267,14 +285,13 @@ add("profile_matrix_lang", lambda s, d: R.profile_matrix(_by_lang(s, d)), _lang_
 add("profile_unpivot_lang", lambda s, d: R.unpivoted(R.profile_matrix(_by_lang(s, d))), _lang_sql("SELECT slice, pattern, cnt FROM sliced"))
 
 
-def _distance(s: SparkSession, d: str, sigma: float | None = None) -> DataFrame:
-    a, b = counted(s, d, "customer_nations", sigma)[2], counted(s, d, "customer_brands", sigma)[2]
+def _distance(s: SparkSession, d: str) -> DataFrame:
+    a, b = counted(s, d, "customer_nations")[2], counted(s, d, "customer_brands")[2]
     return measures.profile_distance(a, b).select(F.round("l1", 9).alias("l1"), F.round("cosine", 9).alias("cosine"))
 
 
 add("profile_distance_customers", _distance, f"WITH a AS ({O.counts_sql('customer_nations')}), b AS ({O.counts_sql('customer_brands')}), x AS (SELECT a.cnt / (SELECT CAST(sum(cnt) AS DOUBLE) FROM a) AS p, b.cnt / (SELECT CAST(sum(cnt) AS DOUBLE) FROM b) AS q FROM a JOIN b USING (pattern)) SELECT round(sum(abs(p - q)), 9) AS l1, round(sum(p * q) / sqrt(sum(p * p) * sum(q * q)), 9) AS cosine FROM x")
-add("profile_distance_customers_fifth", lambda s, d: _distance(s, d, SIGMA), f"WITH a AS ({O.counts_sql('customer_nations', sigma=FIFTH)}), b AS ({O.counts_sql('customer_brands', sigma=FIFTH)}), x AS (SELECT a.cnt / (SELECT CAST(sum(cnt) AS DOUBLE) FROM a) AS p, b.cnt / (SELECT CAST(sum(cnt) AS DOUBLE) FROM b) AS q FROM a JOIN b USING (pattern)) SELECT round(sum(abs(p - q)), 9) AS l1, round(sum(p * q) / sqrt(sum(p * p) * sum(q * q)), 9) AS cosine FROM x")
-add("edge_ranks_order_suppliers", lambda s, d: measures.edge_ranks(measures.triads_per_edge(triads(graph(s, d, "order_suppliers")))).withColumn("share", F.round("share", 9)), O.triads_sql("order_suppliers", "SELECT e, pattern, cnt, rank() OVER w AS rnk, dense_rank() OVER w AS dense, row_number() OVER (PARTITION BY pattern ORDER BY cnt DESC, e) AS pos, round(percent_rank() OVER w, 9) AS share FROM (SELECT e, pattern, count(*) AS cnt FROM (SELECT unnest([i, j, k]) AS e, pattern FROM tri) GROUP BY e, pattern) WINDOW w AS (PARTITION BY pattern ORDER BY cnt DESC)"))
+add("edge_ranks_order_suppliers", lambda s, d: measures.edge_ranks(measures.triads_per_edge(triads(graph(s, d, "order_suppliers")))).withColumn("share", F.round("share", 9)), O.triads_sql("order_suppliers", "SELECT e, pattern, cnt, ntile(4) OVER (PARTITION BY pattern ORDER BY cnt DESC, e) AS quarter, rank() OVER w AS rnk, dense_rank() OVER w AS dense, row_number() OVER (PARTITION BY pattern ORDER BY cnt DESC, e) AS pos, round(percent_rank() OVER w, 9) AS share FROM (SELECT e, pattern, count(*) AS cnt FROM (SELECT unnest([i, j, k]) AS e, pattern FROM tri) GROUP BY e, pattern) WINDOW w AS (PARTITION BY pattern ORDER BY cnt DESC)"))
 
 
 def _daily(s: SparkSession, d: str) -> DataFrame:
@@ -282,7 +299,7 @@ def _daily(s: SparkSession, d: str) -> DataFrame:
     ev = read_table(s, d, "events").where("event_type = 'purchase'")
     edges = ev.groupBy(F.to_date("ts").cast("string").alias("day"), F.hour("ts").alias("e")).agg(F.sort_array(F.collect_set("user_id")).alias("members"))
     edges = edges.groupBy("day", "members").agg(F.min("e").alias("e"))
-    return udfs.triads_by_group(edges, "day")
+    return families.triads_by_group(edges, "day")
 
 
 _DAILY_SQL = f"""WITH hours AS (SELECT CAST(CAST(ts AS DATE) AS VARCHAR) AS day, hour(ts) AS h, list_sort(list(DISTINCT user_id)) AS m FROM events WHERE event_type = 'purchase' GROUP BY ALL),
@@ -347,6 +364,52 @@ for minutes in (10, 20, 30):
     add(f"profile_{name}", lambda s, d, m=minutes: _profile_of_width(s, d, m), O.triads_sql(name, "SELECT pattern, cnt, round(CASE WHEN open <> 0 THEN 3.0 * cnt / CAST(open AS DOUBLE) END, 9) AS coefficient, round(CASE WHEN closed <> 0 THEN cnt / CAST(closed AS DOUBLE) END, 9) AS share FROM counts, open", None, O.OPEN_CTE))
 
 
+#: The inputs of the runtime experiment; the exhaustive search is left out where it would form more than 10^8 pairs at sf0.01.
+for b in workloads.SEVEN:
+    without = ("baseline",) if b in ("customer_nations", "customer_brands", "user_day_keys") else ()
+    cases = {"baseline": "true", "nest_chain": "pattern = 1", "nest_chain_enumerated": "pattern = 1", "two_nests": "pattern BETWEEN 2 AND 5", "one_nest": "pattern BETWEEN 6 AND 8", "cross": "pattern >= 9", "core_vertex": "pattern BETWEEN 9 AND 16", "core_grouped": "pattern BETWEEN 9 AND 16", "coreless": "pattern >= 17", "all": "true"}
+    sql = O.triads_sql(b, " UNION ALL ".join(f"SELECT '{m}' AS method, CAST(coalesce(sum(cnt) FILTER ({w}), 0) AS BIGINT) AS triads FROM counts" for m, w in cases.items() if m not in without))
+    add(f"counts_by_method_{b}", lambda s, d, b=b, w=without: workloads.counts_by_method(s, d, b, w), None if b == "order_parts" else sql)
+for b in ("user_day_types", "customer_brands"):
+    add(f"pattern_by_pattern_{b}", lambda s, d, b=b: workloads.pattern_by_pattern(s, d, b), O.counts_sql(b))
+add("sampler_bias_user_day_types", lambda s, d: workloads.bias_of_samplers(s, d, "user_day_types", runs=4))
+add("family_frequency_order_parts", lambda s, d: _frequency(s, d, "order_parts"))
+
+
+def _case_parts(s: SparkSession, d: str) -> DataFrame:
+    """The brands that orders in triads of patterns 10 and 12 hold: triads by pattern and brand."""
+    hg = graph(s, d, "order_parts")
+    at = triads(hg, [10, 12]).select("pattern", F.explode(F.array("i", "j", "k")).alias("e")).groupBy("pattern", "e").agg(F.count(F.lit(1)).alias("n"))
+    parts = read_table(s, d, "part").select(F.col("p_partkey").alias("v"), F.col("p_brand").alias("brand"))
+    return at.join(hg.incidence, "e").join(parts, "v").groupBy("pattern", "brand").agg(F.sum("n").alias("cnt"))
+
+
+add("case_parts_p10_p12", _case_parts)
+add("edges_like_german", lambda s, d: R.edges_like(graph(s, d, "doc_lines"), read_table(s, d, "documents"), "doc_id", lang="de").edges.select("e", "n"), O.with_("doc_lines", "SELECT e, n FROM edges WHERE e IN (SELECT doc_id FROM documents WHERE lang = 'de')"))
+
+
+def _regions_of_sets(s: SparkSession, d: str) -> DataFrame:
+    hg = graph(s, d, "order_suppliers")
+    m = lambda x: hg.edges.select(F.col("e").alias(x), F.col("members").alias(f"m{x}"))
+    rows = triads(hg).select("i", "j", "k").join(m("i"), "i").join(m("j"), "j").join(m("k"), "k")
+    return rows.select("i", "j", "k", *[F.array_join(F.sort_array(c).cast("array<string>"), ",").alias(n) for n, c in R.regions_of_sets(F.col("mi"), F.col("mj"), F.col("mk")).items()])
+
+
+_SETS = {"only_a": ("a", "NOT b AND NOT c"), "only_b": ("b", "NOT a AND NOT c"), "only_c": ("c", "NOT a AND NOT b"), "only_ab": ("a AND b", "NOT c"), "only_bc": ("b AND c", "NOT a"), "only_ac": ("a AND c", "NOT b"), "all_abc": ("a AND b", "c")}
+add("regions_of_sets_order_suppliers", _regions_of_sets, O.triads_sql("order_suppliers", "SELECT i, j, k, " + ", ".join(f"coalesce(string_agg(CAST(v AS VARCHAR), ',' ORDER BY v) FILTER ({x} AND {y}), '') AS {n}" for n, (x, y) in _SETS.items()) + " FROM (SELECT i, j, k, v, bool_or(e = i) AS a, bool_or(e = j) AS b, bool_or(e = k) AS c FROM (SELECT i, j, k, unnest([i, j, k]) AS e FROM tri) t JOIN inc USING (e) GROUP BY i, j, k, v) GROUP BY i, j, k"))
+
+
+def _observed(s: SparkSession, d: str) -> DataFrame:
+    """Work counters from an observation that rides on the count itself."""
+    rows, watch = R.observed(triads(graph(s, d, "order_suppliers")))
+    stage(rows.groupBy("pattern").agg(F.count(F.lit(1)).alias("cnt")))
+    got = watch.get
+    return s.createDataFrame([(k, int(got[k] or 0)) for k in ("rows", "CCC", "TCC", "TTC", "TTT")], "counter string, n long")
+
+
+add("observed_order_suppliers", _observed, O.triads_sql("order_suppliers", f"SELECT 'rows' AS counter, CAST(coalesce(sum(cnt), 0) AS BIGINT) AS n FROM counts UNION ALL SELECT family, CAST(sum(cnt) AS BIGINT) FROM (SELECT {O.FAMILY_CASE} AS family, cnt FROM counts) GROUP BY family"))
+
+
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The flagship: counts of all 20 patterns on customers and the nations that supply them."""
     return triads(graph(spark, sf_dir, "customer_nations"), mode="count")

@@ -7,10 +7,13 @@ from __future__ import annotations
 
 import time
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.patterns import PATTERN_TABLE
+from ..model import Hypergraph
 from ..operators import measures, sampling
 from ..operators.baseline import baseline_triads
 from ..operators.families import core_triads, coreless_triads, cross_triads, nest_chain_count, nest_chain_triads, one_nest_triads, shared_subset_triads, shared_superset_triads
@@ -18,7 +21,6 @@ from ..operators.links import build_links
 from ..sources.builders import hypergraph
 from ..stages import stage
 from .planner import triads
-from .registry import counted, graph
 
 SEVEN = ("bucket_users", "user_day_keys", "customer_nations", "customer_brands", "order_parts", "day_customers", "doc_lines")
 
@@ -35,33 +37,55 @@ def timed(make: Callable[[], DataFrame], warm: int = 0, reps: int = 1) -> float:
     return best
 
 
-def exact_runtimes(spark: SparkSession, sf_dir: str, builder: str, sigma: float | None = None, warm: int = 0) -> DataFrame:
+def _whole(spark: SparkSession, sf_dir: str, builder: str, sigma: float | None) -> Hypergraph:
+    hg = hypergraph(spark, sf_dir, builder)
+    return sampling.induce(hg, sigma) if sigma else hg
+
+
+def _counts(df: DataFrame) -> DataFrame:
+    return df.groupBy("pattern").agg(F.count(F.lit(1)).alias("cnt"))
+
+
+def methods(hg: Hypergraph, links: DataFrame) -> dict[str, Callable[[], DataFrame]]:
+    """The exact methods by name, each giving (pattern, cnt) of its own patterns (K1, K2)."""
+    return {
+        "baseline": lambda: _counts(baseline_triads(hg)),
+        "nest_chain": lambda: nest_chain_count(links),
+        "nest_chain_enumerated": lambda: _counts(nest_chain_triads(links)),
+        "two_nests": lambda: _counts(shared_subset_triads(links).unionByName(shared_superset_triads(links))),
+        "one_nest": lambda: _counts(one_nest_triads(links)),
+        "cross": lambda: _counts(cross_triads(links)),
+        "core_vertex": lambda: _counts(core_triads(links)),
+        "core_grouped": lambda: _counts(core_triads(links, strategy="grouped")),
+        "coreless": lambda: _counts(coreless_triads(links)),
+        "all": lambda: triads(hg, mode="count", links=links),
+    }
+
+
+def counts_by_method(spark: SparkSession, sf_dir: str, builder: str, without: tuple[str, ...] = ()) -> DataFrame:
+    """(method, triads) of every exact method: what the runtimes are compared on."""
+    hg = hypergraph(spark, sf_dir, builder)
+    links = stage(build_links(hg, with_shared=True), partition_by="kind")
+    found = [stage(run().agg(F.coalesce(F.sum("cnt"), F.lit(0)).cast("long").alias("triads")).select(F.lit(name).alias("method"), "triads")) for name, run in methods(hg, links).items() if name not in without]
+    return reduce(DataFrame.unionByName, found)
+
+
+def exact_runtimes(spark: SparkSession, sf_dir: str, builder: str, sigma: float | None = None, warm: int = 0, without: tuple[str, ...] = ()) -> DataFrame:
     """Method, seconds, and the baseline's seconds over them (K1, K2).  Counts, as the searches are compared by them."""
-    hg = graph(spark, sf_dir, builder, sigma)
+    hg = _whole(spark, sf_dir, builder, sigma)
     began = time.time()
     links = stage(build_links(hg, with_shared=True), partition_by="kind")
     step_one = time.time() - began
-    count = lambda df: df.groupBy("pattern").agg(F.count(F.lit(1)).alias("cnt"))
-    runs = {
-        "baseline": lambda: count(baseline_triads(hg)),
-        "nest_chain": lambda: nest_chain_count(links),
-        "nest_chain_enumerated": lambda: count(nest_chain_triads(links)),
-        "two_nests": lambda: count(shared_subset_triads(links).unionByName(shared_superset_triads(links))),
-        "one_nest": lambda: count(one_nest_triads(links)),
-        "cross": lambda: count(cross_triads(links)),
-        "core_vertex": lambda: count(core_triads(links)),
-        "core_grouped": lambda: count(core_triads(links, strategy="grouped")),
-        "coreless": lambda: count(coreless_triads(links)),
-        "all": lambda: triads(hg, mode="count", links=links),
-    }
+    runs = {name: run for name, run in methods(hg, links).items() if name not in without}
     seconds = {name: timed(run, warm) for name, run in runs.items()}
-    rows = [("links", float(step_one), None), *((k, float(v), seconds["baseline"] / v) for k, v in seconds.items())]
+    rows = [("links", float(step_one), None), *((k, float(v), seconds["baseline"] / v if "baseline" in seconds else None) for k, v in seconds.items())]
     return spark.createDataFrame(rows, "method string, seconds double, speedup double")
 
 
 def error_by_time(spark: SparkSession, sf_dir: str, builder: str, sigma: float = 0.2, parts: tuple[float, ...] = (0.02, 0.1, 0.4), seed: int = 0) -> DataFrame:
     """Method, alpha, seconds, error: plain and stratified link sampling on the induced subgraph (K4)."""
-    _, links, counts = counted(spark, sf_dir, builder, sigma)
+    links = stage(build_links(_whole(spark, sf_dir, builder, sigma), with_shared=True), partition_by="kind")
+    counts = stage(triads(None, mode="count", links=links))
     n = links.count()
     rows = []
     for part in parts:
@@ -77,7 +101,9 @@ def error_by_time(spark: SparkSession, sf_dir: str, builder: str, sigma: float =
 
 def bias_of_samplers(spark: SparkSession, sf_dir: str, builder: str, runs: int = 5, part: float = 0.3) -> DataFrame:
     """Sampler, pattern, truth, mean of the estimates over seeds (K13)."""
-    hg, links, counts = counted(spark, sf_dir, builder)
+    hg = hypergraph(spark, sf_dir, builder)
+    links = stage(build_links(hg, with_shared=True), partition_by="kind")
+    counts = stage(triads(hg, mode="count", links=links))
     edges, n = hg.edges.count(), links.count()
     vertices = hg.incidence.select("v").distinct().count()
     seeds = list(range(1, runs + 1))
@@ -96,11 +122,7 @@ def bias_of_samplers(spark: SparkSession, sf_dir: str, builder: str, runs: int =
 
 
 def pattern_by_pattern(spark: SparkSession, sf_dir: str, builder: str) -> DataFrame:
-    """Pattern, cnt, from twenty targeted searches; their union is the combined search (K14)."""
-    hg = hypergraph(spark, sf_dir, builder)
-    links = stage(build_links(hg, with_shared=True), partition_by="kind")
-    out = None
-    for p in range(1, 21):
-        got = triads(hg, p, "count", links=links)
-        out = got if out is None else out.unionByName(got)
-    return out
+    """Pattern, cnt, from twenty targeted searches over the links built once; together they are the combined search (K14).
+    Each search's count, a row, is written before the next begins: one plan of all twenty would be compiled as a whole."""
+    links = stage(build_links(hypergraph(spark, sf_dir, builder), with_shared=True), partition_by="kind")
+    return reduce(DataFrame.unionByName, [stage(triads(None, p, "count", links=links)) for p in PATTERN_TABLE])

@@ -32,3 +32,8 @@ def write_rows(df: DataFrame, path: str | None, fmt: str = "parquet") -> None:
     """A result to any format; ``noop`` runs the plan and keeps nothing (for timing)."""
     writer = df.write.format(fmt).mode("overwrite")
     writer.save() if fmt == "noop" else writer.save(path)
+
+
+def write_counts(counts: DataFrame, path: str | None, fmt: str = "parquet") -> None:
+    """Counts (pattern, cnt) as one small file in the order of the patterns."""
+    write_rows(counts.select(F.col("pattern").cast("int").alias("pattern"), F.col("cnt").cast("long").alias("cnt")).coalesce(1).sortWithinPartitions("pattern"), path, fmt)

@@ -15,10 +15,14 @@ ROWS_PER_PART = 100_000
 
 
 def shared_root(spark: SparkSession) -> str:
-    """This application's folder under spark.checkpoint.dir; a local one only where that is unset (tests, local runs)."""
+    """This application's folder under spark.checkpoint.dir.  Where that is unset, a local master (tests, local runs) gets a
+    temporary one; on a cluster it is an error, as no machine's own folder is shared."""
     root = spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
     if not root:
         found = spark.sparkContext._jsc.sc().getCheckpointDir()
+        master = spark.sparkContext.master
+        if not found.isDefined() and (not master.startswith("local") or master.startswith("local-cluster")):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         root = found.get() if found.isDefined() else tempfile.mkdtemp(prefix="hypertriad-")
         if not found.isDefined():
             spark.sparkContext.setCheckpointDir(root)
