@@ -22,13 +22,15 @@ from ..operators.families import (
     shared_superset_triads,
     unified_triads,
 )
-from ..operators.links import build_links, nest
+from ..operators.links import build_links, cross, nest
 from ..operators.measures import pattern_counts
 from ..stages import stage
 
 
 #: Lead pairs of one edge from which on the search is led by degree.
 HUB = 5_000
+#: Core patterns alone are found by shared vertices where these meet at most this many times as often as lead pairs do.
+CORE_MEETINGS = 0.5
 #: The fused search is taken where it forms at most this many times the pairs of the separate ones.
 FUSED_PAIRS = 1.5
 
@@ -103,6 +105,17 @@ def choose(links: DataFrame) -> tuple[str, bool]:
     return ("degree" if seen["most"] > HUB else "id"), seen["all"] <= FUSED_PAIRS * separate
 
 
+def choose_core(links: DataFrame) -> str:
+    """How to find core patterns alone: by meetings on (lead, shared vertex), or by lead pairs where large overlaps would make
+    more meetings than there are pairs."""
+    t = cross(links)
+    half = lambda: F.coalesce(F.sum(F.col("n") * (F.col("n") - 1) / 2), F.lit(0.0))
+    pairs = t.groupBy("i").agg(F.count(F.lit(1)).alias("n")).agg(half().alias("pairs"))
+    met = t.select("i", F.explode("shared").alias("v")).groupBy("i", "v").agg(F.count(F.lit(1)).alias("n")).agg(half().alias("met"))
+    seen = pairs.join(met).first()  # single rows
+    return "vertex" if seen["met"] <= CORE_MEETINGS * seen["pairs"] else "cross"
+
+
 def searches(links: DataFrame, plan: TriadPlan, lead: str = "id", core_strategy: str = "auto", fused: bool = False) -> list[DataFrame]:
     """The searches of a plan.  With core and coreless patterns asked together one lead join serves both; core patterns
     alone avoid open pairs, coreless ones alone stop at the first common vertex."""
@@ -121,7 +134,8 @@ def searches(links: DataFrame, plan: TriadPlan, lead: str = "id", core_strategy:
         together = degree_led_triads if lead == "degree" else cross_triads
         out.append(together(links, plan.core + plan.coreless))
     elif plan.core:
-        out.append(core_triads(links, plan.core, "vertex" if core_strategy == "auto" else core_strategy))
+        way = choose_core(links) if core_strategy == "auto" else core_strategy
+        out.append(cross_triads(links, plan.core) if way == "cross" else core_triads(links, plan.core, way))
     elif plan.coreless:
         out.append(coreless_triads(links, plan.coreless))
     return out
