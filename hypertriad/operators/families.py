@@ -192,11 +192,12 @@ def unified_triads(links: DataFrame) -> DataFrame:
 def triads_by_group(edges: DataFrame, group: str) -> DataFrame:
     """(group, pattern, cnt) of one hypergraph for each group, by one search with the group in every join key.  edges:
     (group, e, members), members sorted and without repeats, no two edges of a group with equal members."""
-    at = edges.select(group, F.col("e"), F.size("members").alias("n"), F.explode("members").alias("v"))
-    a, b = at.select(group, "v", F.col("e").alias("i"), F.col("n").alias("ni")), at.select(group, "v", F.col("e").alias("j"), F.col("n").alias("nj"))
-    links = a.join(b, [group, "v"]).where("i < j").groupBy(group, "i", "j", "ni", "nj").agg(F.count(F.lit(1)).cast("int").alias("w"), F.collect_list("v").alias("s1"))
-    second = links.select(group, "i", F.col("j").alias("k"), F.col("w").alias("wik"), F.col("nj").alias("nk"), F.col("s1").alias("s2"))
-    third = links.select(group, F.col("i").alias("j"), F.col("j").alias("k"), F.col("w").alias("wjk"))
-    rows = links.join(second, [group, "i"]).where("j < k").withColumn("g", F.size(F.array_intersect("s1", "s2"))).join(third, [group, "j", "k"])
+    key = "_group"  # so that the group may have any name
+    at = edges.select(F.col(group).alias(key), F.col("e"), F.size("members").alias("n"), F.explode("members").alias("v"))
+    a, b = at.select(key, "v", F.col("e").alias("i"), F.col("n").alias("ni")), at.select(key, "v", F.col("e").alias("j"), F.col("n").alias("nj"))
+    links = a.join(b, [key, "v"]).where("i < j").groupBy(key, "i", "j", "ni", "nj").agg(F.count(F.lit(1)).cast("int").alias("w"), F.collect_list("v").alias("s1"))
+    second = links.select(key, "i", F.col("j").alias("k"), F.col("w").alias("wik"), F.col("nj").alias("nk"), F.col("s1").alias("s2"))
+    third = links.select(key, F.col("i").alias("j"), F.col("j").alias("k"), F.col("w").alias("wjk"))
+    rows = links.join(second, [key, "i"]).where("j < k").withColumn("g", F.size(F.array_intersect("s1", "s2"))).join(third, [key, "j", "k"])
     p = pattern_of(*[F.col(c) for c in ("w", "wik", "wjk", "g", "ni", "nj", "nk")])
-    return rows.groupBy(group, p.alias("pattern")).agg(F.count(F.lit(1)).alias("cnt"))
+    return rows.groupBy(F.col(key).alias(group), p.alias("pattern")).agg(F.count(F.lit(1)).alias("cnt"))

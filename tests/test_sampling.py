@@ -102,3 +102,11 @@ def test_any_order_sampler_exhausts(few):
     opened = measures.open_triads(links).count()
     assert got.pop(0) == opened
     assert {p: v for p, v in got.items()} == exact
+
+
+def test_least_keys_are_the_first_in_order(spark):
+    pool = spark.range(5000).withColumnRenamed("id", "e").repartition(7)
+    for size in (0, 1, 37, 4999, 5000, 9000):
+        got = sorted(r["e"] for r in sampling.least_keys(pool, ["e"], size, 3).collect())
+        want = sorted(r["e"] for r in pool.orderBy(sampling.draw_key(3, "e")).limit(size).collect())
+        assert got == want

@@ -14,6 +14,7 @@ from hypertriad.plans.planner import explain_plan, patterns_of, plan_for, triads
 from hypertriad.plans.registry import COAUTHORS, MAIL_HUB
 from hypertriad.sources.builders import hypergraph
 from hypertriad.sources.files import from_lists
+from hypertriad.stages import stage
 
 POWER_SET = {1: 390, 2: 195, 3: 180, 4: 195, 5: 180, 6: 360, 7: 360, 8: 120, 9: 60, 10: 60, 11: 60, 13: 60, 14: 60, 17: 65, 18: 180, 19: 60}
 NATIONS = {1: 982, 2: 1311, 3: 1868, 4: 88, 5: 958, 6: 3610, 7: 935, 8: 4233, 9: 1922, 10: 3926, 11: 968, 12: 2423, 13: 24, 14: 436, 15: 983, 16: 394, 17: 62, 18: 1384, 19: 3725, 20: 1746}
@@ -185,3 +186,12 @@ def test_triad_core(spark):
     hg = graph_of(spark, [[0, x] for x in range(1, 5)] + [[9, 10]])
     assert sorted(r["e"] for r in measures.triad_core(hg, 3, triads).collect()) == [1, 2, 3, 4]
     assert measures.triad_core(hg, 4, triads).count() == 0
+
+
+def test_fused_and_led_by_degree(spark):
+    hg = hypergraph(spark, TINY, "customer_brands")
+    links = stage(build_links(hg, with_shared=True))
+    want = {r["pattern"]: r["cnt"] for r in triads(hg, mode="count", links=links, fused=False, lead="id").collect()}
+    for lead in ("id", "degree"):
+        assert {r["pattern"]: r["cnt"] for r in triads(hg, mode="count", links=links, fused=True, lead=lead).collect()} == want
+    assert sum(want.values()) > 0

@@ -2,7 +2,7 @@ import pytest
 from helpers import TINY
 
 from hypertriad.functions import relational as R
-from hypertriad.functions.udfs import triads_by_group
+from hypertriad.operators.families import triads_by_group
 from hypertriad.model import canonicalize, dictionary_encode, edge_sizes, vertex_degrees
 from hypertriad.plans.planner import triads
 from hypertriad.sources import files
