@@ -24,7 +24,7 @@ from ..operators.families import (
 )
 from ..operators.links import build_links, cross, nest
 from ..operators.measures import pattern_counts
-from ..stages import stage
+from ..stages import stage_links
 
 
 #: Lead pairs of one edge from which on the search is led by degree.
@@ -150,7 +150,7 @@ def triads(hg: Hypergraph | None, request: int | str | list | tuple | None = Non
     """
     plan, want = plan_for(request, mode), patterns_of(request)
     if links is None:
-        links = stage(_pruned(build_links(hg, with_shared=plan.need_shared, strategy=strategy), plan), partition_by="kind")
+        links = stage_links(_pruned(build_links(hg, with_shared=plan.need_shared, strategy=strategy), plan))
     links = _pruned(links, plan)
     every = len(want) == len(PATTERN_TABLE)
     if plan.core and plan.coreless and (lead == "auto" or every and fused is None):

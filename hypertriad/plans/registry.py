@@ -17,7 +17,7 @@ from ..operators import baseline, families, measures, sampling
 from ..operators.links import bruteforce_links, build_links, links_at_least, project
 from ..sources.builders import BUILDERS, hypergraph, lines_of_lang, read_table
 from ..sources.files import from_lists
-from ..stages import stage
+from ..stages import stage, stage_links
 from . import workloads
 from .planner import triads
 
@@ -46,7 +46,7 @@ def graph(spark: SparkSession, d: str, builder: str, sigma: float | None = None)
 
 
 def linked(hg: Hypergraph) -> DataFrame:
-    return stage(build_links(hg, with_shared=True), partition_by="kind")
+    return stage_links(build_links(hg, with_shared=True))
 
 
 def counted(spark: SparkSession, d: str, builder: str, sigma: float | None = None) -> tuple[Hypergraph, DataFrame, DataFrame]:

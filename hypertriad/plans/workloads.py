@@ -19,7 +19,7 @@ from ..operators.baseline import baseline_triads
 from ..operators.families import core_triads, coreless_triads, cross_triads, nest_chain_count, nest_chain_triads, one_nest_triads, shared_subset_triads, shared_superset_triads
 from ..operators.links import build_links
 from ..sources.builders import hypergraph
-from ..stages import stage
+from ..stages import stage, stage_links
 from .planner import triads
 
 SEVEN = ("bucket_users", "user_day_keys", "customer_nations", "customer_brands", "order_parts", "day_customers", "doc_lines")
@@ -65,7 +65,7 @@ def methods(hg: Hypergraph, links: DataFrame) -> dict[str, Callable[[], DataFram
 def counts_by_method(spark: SparkSession, sf_dir: str, builder: str, without: tuple[str, ...] = ()) -> DataFrame:
     """(method, triads) of every exact method: what the runtimes are compared on."""
     hg = hypergraph(spark, sf_dir, builder)
-    links = stage(build_links(hg, with_shared=True), partition_by="kind")
+    links = stage_links(build_links(hg, with_shared=True))
     found = [stage(run().agg(F.coalesce(F.sum("cnt"), F.lit(0)).cast("long").alias("triads")).select(F.lit(name).alias("method"), "triads")) for name, run in methods(hg, links).items() if name not in without]
     return reduce(DataFrame.unionByName, found)
 
@@ -74,7 +74,7 @@ def exact_runtimes(spark: SparkSession, sf_dir: str, builder: str, sigma: float
     """Method, seconds, and the baseline's seconds over them (K1, K2).  Counts, as the searches are compared by them."""
     hg = _whole(spark, sf_dir, builder, sigma)
     began = time.time()
-    links = stage(build_links(hg, with_shared=True), partition_by="kind")
+    links = stage_links(build_links(hg, with_shared=True))
     step_one = time.time() - began
     runs = {name: run for name, run in methods(hg, links).items() if name not in without}
     seconds = {name: timed(run, warm) for name, run in runs.items()}
@@ -84,7 +84,7 @@ def exact_runtimes(spark: SparkSession, sf_dir: str, builder: str, sigma: float
 
 def error_by_time(spark: SparkSession, sf_dir: str, builder: str, sigma: float = 0.2, parts: tuple[float, ...] = (0.02, 0.1, 0.4), seed: int = 0) -> DataFrame:
     """Method, alpha, seconds, error: plain and stratified link sampling on the induced subgraph (K4)."""
-    links = stage(build_links(_whole(spark, sf_dir, builder, sigma), with_shared=True), partition_by="kind")
+    links = stage_links(build_links(_whole(spark, sf_dir, builder, sigma), with_shared=True))
     counts = stage(triads(None, mode="count", links=links))
     n = links.count()
     rows = []
@@ -102,7 +102,7 @@ def error_by_time(spark: SparkSession, sf_dir: str, builder: str, sigma: float =
 def bias_of_samplers(spark: SparkSession, sf_dir: str, builder: str, runs: int = 5, part: float = 0.3) -> DataFrame:
     """Sampler, pattern, truth, mean of the estimates over seeds (K13)."""
     hg = hypergraph(spark, sf_dir, builder)
-    links = stage(build_links(hg, with_shared=True), partition_by="kind")
+    links = stage_links(build_links(hg, with_shared=True))
     counts = stage(triads(hg, mode="count", links=links))
     edges, n = hg.edges.count(), links.count()
     vertices = hg.incidence.select("v").distinct().count()
@@ -124,5 +124,5 @@ def bias_of_samplers(spark: SparkSession, sf_dir: str, builder: str, runs: int =
 def pattern_by_pattern(spark: SparkSession, sf_dir: str, builder: str) -> DataFrame:
     """Pattern, cnt, from twenty targeted searches over the links built once; together they are the combined search (K14).
     Each search's count, a row, is written before the next begins: one plan of all twenty would be compiled as a whole."""
-    links = stage(build_links(hypergraph(spark, sf_dir, builder), with_shared=True), partition_by="kind")
+    links = stage_links(build_links(hypergraph(spark, sf_dir, builder), with_shared=True))
     return reduce(DataFrame.unionByName, [stage(triads(None, p, "count", links=links)) for p in PATTERN_TABLE])

@@ -48,6 +48,16 @@ def stage(df: DataFrame, partition_by: str | None = None) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def stage_links(links: DataFrame) -> DataFrame:
+    """Links staged by kind.  A link leads many triads, so a few megabytes of links are much work: a table that a scan would
+    read in fewer tasks than there are cores is written again, spread evenly by link.  Larger tables are left as they are."""
+    laid = stage(links, partition_by="kind")
+    cores = links.sparkSession.sparkContext.defaultParallelism
+    if laid.rdd.getNumPartitions() >= cores:
+        return laid
+    return stage(laid.repartition(cores, "i", "j"), partition_by="kind")
+
+
 def numbered(df: DataFrame, order: list[str], out: str = "pos") -> DataFrame:
     """Number all rows 0, 1, ... in a total order without a single-task sort: range partitions with carried-over counts."""
     rows = df.count()
