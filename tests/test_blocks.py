@@ -42,7 +42,7 @@ def test_census_is_brute_force(spark, monkeypatch, kind, matrix):
         of.setdefault((tuple(r["codes"]), r["own"]), []).append(r["e"])
     names = {r["t"]: of[tuple(r["codes"]), r["own"]] for r in types.collect()}
     for t in tables:
-        for r in blocks._census(t, True).to_pylist():
+        for r in blocks._census(t).to_pylist():
             got[r["key"]] = got.get(r["key"], 0) + r["cnt"]
         for r in blocks._per_edge(t, tuple(PATTERN_TABLE)).to_pylist():
             for e in names[r["t"]]:
@@ -59,9 +59,12 @@ def test_census_is_brute_force(spark, monkeypatch, kind, matrix):
             for e in t:
                 each[e, p] = each.get((e, p), 0) + 1
     assert per == each
+    monkeypatch.setattr(blocks, "HELD", 50)  # others in slices
+    assert blocks.link_figures(hg).first().asDict() == {k: want[k] for k in ("links", "overlaps", "two_hop")}
     assert matrix == 0 or {r["key"]: r["cnt"] for r in blocks.census(hg).collect()} == want
 
 
 def test_census_of_nothing(spark):
     empty = canonicalize(spark.createDataFrame([], "e long, v long"))
+    assert blocks.link_figures(empty).collect() == [(0, None, None)]
     assert blocks.census(empty).count() == 0 and blocks.triads_per_edge(empty, (10, 12)).count() == 0
