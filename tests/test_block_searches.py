@@ -40,7 +40,7 @@ def test_each_method_is_its_join(spark):
     assert got == want
 
 
-@pytest.mark.parametrize("builder", ["bucket_users"])
+@pytest.mark.parametrize("builder", ["bucket_users", "order_parts"])
 def test_counts_by_method_write_no_links(spark, tmp_path, monkeypatch, builder):
     def never(*args, **kwargs):
         raise AssertionError("links or lead pairs are written")
