@@ -2,11 +2,12 @@
 
 import pyarrow as pa
 import pytest
+from pyspark.sql.group import GroupedData
 from test_blocks import made
 from test_whole import brute
 
 from hypertriad.model import canonicalize
-from hypertriad.operators import block_searches, blocks
+from hypertriad.operators import block_searches, blocks, sparse_searches
 from hypertriad.operators.links import build_links
 from hypertriad.plans import workloads
 from hypertriad.sources.builders import BUILDERS
@@ -60,3 +61,35 @@ def test_no_triads_are_zero(spark, tmp_path):
     spark.createDataFrame([(1, 1), (2, 2)], "l_orderkey long, l_partkey long").write.parquet(f"{tmp_path}/lineitem.parquet")
     got = workloads.counts_by_method(spark, str(tmp_path), "order_parts")
     assert {r["method"]: r["triads"] for r in got.collect()} == dict.fromkeys(OF, 0)
+
+
+@pytest.mark.parametrize("kind", ["dense", "wide", "sparse"])
+def test_near_edges_in_small_pieces_are_brute_force(spark, monkeypatch, kind):
+    for module, limits in ((blocks, {"MATRIX": 0, "BITS": 0, "HELD": 50, "NEAR": 9, "LEADS": 4}), (sparse_searches, {"PAIRS": 5, "MEETINGS": 40, "MARKS": 1_000, "MOST_PAIRS": 600, "MEMBERS": 5})):
+        for name, value in limits.items():
+            monkeypatch.setattr(module, name, value)
+    rows = [(e, int(v)) for e, v in made(kind)]
+    found, _ = brute(rows)
+    dealt = blocks.dealt_near(canonicalize(spark.createDataFrame(rows, "e long, v long"))).toPandas()
+    got, batched = {}, []
+    search = sparse_searches.search
+    monkeypatch.setattr(sparse_searches, "search", lambda block, *args: batched.append((block.lead.sum(), len(rest := search(block, *args)))) or rest)
+    for _, t in dealt.groupby("b"):
+        for r in block_searches._searched(pa.Table.from_pandas(t), tuple(OF)).to_pylist():
+            got[r["method"], r["pattern"]] = got.get((r["method"], r["pattern"]), 0) + r["cnt"]
+    assert got == {(m, p): len(found[p]) for m, among in OF.items() for p in among if p in found}
+    assert any(rest for _, rest in batched) and (kind == "wide" or any(rest < leads for leads, rest in batched))  # both ways are taken
+
+
+def test_copies_are_dealt_to_few_blocks(spark, monkeypatch):
+    """Disjoint copies of edges share no block but by chance: what is dealt grows with the edges, not with edges times blocks."""
+    one = sorted({(e, (e * k * k + e // 7 + k) % 20) for e in range(60) for k in range(1, 2 + e % 4)})
+    found, edges = brute(one)
+    copies = 40
+    hg = canonicalize(spark.createDataFrame([(e + 100 * c, v + 20 * c) for c in range(copies) for e, v in one], "e long, v long"))
+    monkeypatch.setattr(blocks, "MATRIX", 0)
+    dealt, run = [], GroupedData.applyInArrow
+    monkeypatch.setattr(GroupedData, "applyInArrow", lambda self, *args: dealt.append(self._df) or run(self, *args))
+    got = {(r["method"], r["pattern"]): r["cnt"] for r in block_searches.searched(hg).collect()}
+    assert got == {(m, p): copies * len(found[p]) for m, among in OF.items() for p in among if p in found}
+    assert sum(df.count() for df in dealt) <= 4 * copies * len(edges)
