@@ -63,9 +63,10 @@ def test_no_triads_are_zero(spark, tmp_path):
     assert {r["method"]: r["triads"] for r in got.collect()} == dict.fromkeys(OF, 0)
 
 
+@pytest.mark.parametrize("kinds", [0, 1 << 18])
 @pytest.mark.parametrize("kind", ["dense", "wide", "sparse"])
-def test_near_edges_in_small_pieces_are_brute_force(spark, monkeypatch, kind):
-    for module, limits in ((blocks, {"MATRIX": 0, "BITS": 0, "HELD": 50, "NEAR": 9, "LEADS": 4}), (sparse_searches, {"PAIRS": 5, "MEETINGS": 40, "MARKS": 1_000, "MOST_PAIRS": 600, "MEMBERS": 5})):
+def test_near_edges_in_small_pieces_are_brute_force(spark, monkeypatch, kind, kinds):
+    for module, limits in ((blocks, {"MATRIX": 0, "BITS": 0, "HELD": 50, "NEAR": 9, "LEADS": 4}), (sparse_searches, {"PAIRS": 5, "MEETINGS": 40, "MARKS": 1_000, "MOST_PAIRS": 600, "MEMBERS": 5, "KINDS": kinds})):
         for name, value in limits.items():
             monkeypatch.setattr(module, name, value)
     rows = [(e, int(v)) for e, v in made(kind)]
