@@ -43,38 +43,108 @@ COPY_BANDS, COPY_ROWS, COPY_COUNTERS, UNIT = 4, 3, 2, 1 << 12
 #: bucket); at similarity 0.8 this is three deviations down.
 LEAST_ESTIMATE = 0.62
 BLOCK = 1024
-CHUNK = 1 << 16
+#: Characters of texts shingled at once, and bytes of them over which the sums of word ids run.
+PORTION, WINDOW = 1 << 18, 1 << 16
 
 _BLANK = bytes(b if b >= 128 or chr(b).isalnum() else 32 for b in range(256))
 
 
-class _WordIds(dict):
-    """64-bit ids of words; forgets all when it holds a million."""
-
-    def __missing__(self, word: bytes) -> int:
-        if len(self) > 1_000_000:
-            self.clear()
-        got = self[word] = xxhash.xxh3_64_intdigest(word)
-        return got
+class _WordIds:
+    """64-bit ids of words: polynomials over random numbers of their bytes, of all words of a text at once.
 
+    A word's sum is a difference of two running sums, divided by the power of the base at its start, so it does not depend
+    on its place.  The sums run over windows of whole words; a word that fits in none has another hash.
+    """
 
-def words_of(text: str) -> list[bytes]:
-    """Lower-case words; ASCII marks and blanks separate them."""
-    return text.lower().encode("utf-8", "replace").translate(_BLANK).split()
+    BASE = 0x9E3779B97F4A7C15
+
+    def __init__(self):
+        self.of_byte = np.random.default_rng(11).integers(0, 1 << 64, 256, dtype=np.uint64) | np.uint64(1)
+        self.powers, self.inverses = (np.cumprod(np.array([1] + [b] * (WINDOW - 1), np.uint64)) for b in (self.BASE, pow(self.BASE, -1, 1 << 64)))
+
+    def of(self, raw: bytes) -> tuple[np.ndarray, np.ndarray]:
+        """Ids and starts of the words of bytes that begin with a blank and in which blanks alone separate words."""
+        ids, at, a = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)], 0
+        while a < len(raw):  # a blank is at a
+            b = len(raw) if len(raw) - a <= WINDOW else raw.rfind(b" ", a + 1, a + WINDOW + 1)
+            if b < 0:  # a word of WINDOW bytes or more
+                b = raw.find(b" ", a + WINDOW + 1)
+                b = len(raw) if b < 0 else b
+                ids.append(np.array([xxhash.xxh3_64_intdigest(raw[a + 1 : b])], np.uint64))
+                at.append(np.array([a + 1]))
+            else:
+                got = np.frombuffer(raw, np.uint8, b - a, a)
+                inside = np.zeros(len(got) + 2, bool)
+                np.not_equal(got, 32, out=inside[1:-1])
+                edges = np.flatnonzero(inside[1:] != inside[:-1])
+                first, end = edges[::2], edges[1::2]
+                sums = np.zeros(len(got) + 1, np.uint64)
+                np.cumsum(self.of_byte[got] * self.powers[: len(got)], out=sums[1:])
+                h = (sums[end] - sums[first]) * self.inverses[first]
+                h ^= h >> np.uint64(32)
+                ids.append(h * np.uint64(0xD6E8FEB86659FD93))
+                at.append(first + a)
+            a = b
+        return np.concatenate(ids), np.concatenate(at)
+
+
+def plain_bytes(text: str) -> bytes:
+    """Lower case as UTF-8; ASCII marks and blanks, which separate words, are blanks."""
+    return text.lower().encode("utf-8", "replace").translate(_BLANK)
+
+
+def shingles_of(texts: list[str | None], ids: _WordIds, distinct: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """64-bit shingle ids of all texts one after another, their counts and the number of them in each text.
+
+    The ids of a text are sorted and distinct, or else as they come, each counted 1.  A text of fewer than WORDS words is
+    one shingle, of none none.
+    """
+    raws = [plain_bytes(t or "") for t in texts]
+    w, at = ids.of(b" ".join([b"", *raws]))
+    begin = np.searchsorted(at, np.cumsum([1] + [len(r) + 1 for r in raws]))  # each text's first word
+    words = np.diff(begin)
+    lens = np.where(words >= WORDS, words - WORDS + 1, np.minimum(words, 1))
+    h = np.zeros(len(w), np.uint64)
+    short = []
+    for k in range(WORDS):
+        here = h[: max(len(w) - k, 0)]
+        here *= np.uint64(0x9E3779B97F4A7C15)
+        here += w[k:]
+        here ^= here >> np.uint64(29)
+        if k + 1 < WORDS:
+            own = begin[:-1][words == k + 1]
+            short.append((own, h[own]))
+    for own, got in short:
+        h[own] = got
+    starts = np.cumsum(lens) - lens
+    h = h[np.arange(lens.sum()) + np.repeat(begin[:-1] - starts, lens)] * np.uint64(0xBF58476D1CE4E5B9)
+    if not distinct or not len(h):
+        return h, np.ones(len(h), np.int64), lens
+    for a, n in zip(starts.tolist(), lens.tolist()):
+        h[a : a + n].sort()
+    new = np.ones(len(h), bool)
+    np.not_equal(h[1:], h[:-1], out=new[1:])
+    new[starts[lens > 0]] = True
+    kept = np.flatnonzero(new)
+    return h[kept], np.diff(np.append(kept, len(h))), np.diff(np.searchsorted(kept, np.append(starts, len(h))))
 
 
 def shingles(text: str | None, ids: _WordIds) -> tuple[np.ndarray, np.ndarray]:
-    """Sorted distinct 64-bit shingle ids and their counts; a text of fewer than WORDS words is one shingle, of none none."""
-    words = words_of(text or "")
-    if not words:
-        return np.zeros(0, np.uint64), np.zeros(0, np.int64)
-    w = np.fromiter(map(ids.__getitem__, words), np.uint64, len(words))
-    n = min(WORDS, len(w))
-    h = np.zeros(len(w) - n + 1, np.uint64)
-    for k in range(n):
-        h = h * np.uint64(0x9E3779B97F4A7C15) + w[k : k + len(h)]
-        h ^= h >> np.uint64(29)
-    return np.unique(h * np.uint64(0xBF58476D1CE4E5B9), return_counts=True)
+    """Sorted distinct 64-bit shingle ids of one text and their counts."""
+    return shingles_of([text], ids)[:2]
+
+
+def _portions(texts: pa.Array) -> Iterator[list[str | None]]:
+    """The texts in order, some at a time: PORTION characters or one text more."""
+    some, size = [], 0
+    for t in texts:
+        some.append(t.as_py())
+        size += len(some[-1] or "")
+        if size >= PORTION:
+            yield some
+            some, size = [], 0
+    if some:
+        yield some
 
 
 def _cells(h: np.ndarray, rows: int = SKETCH_ROWS, seed: int = 0) -> list[np.ndarray]:
@@ -111,34 +181,21 @@ class Copies:
         return self.counts[_copy_cells(copy_keys(h, starts))].min(axis=2).max(axis=1)
 
 
-def _sketch(docs: DataFrame, rows: int, count) -> tuple[np.ndarray, int]:
+def _sketch(docs: DataFrame, rows: int, count, distinct: bool = True) -> tuple[np.ndarray, int]:
     """rows x SKETCH_WIDTH counters and a total, summed over all documents.  count(h, starts) gives the cells, the amount of
-    each and the total of some documents."""
+    each and the total of some documents; their shingles are distinct, or else as they come."""
 
     def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums, total, ids, seen = np.zeros(rows * SKETCH_WIDTH, np.int64), 0, _WordIds(), False
-        held: list[np.ndarray] = []
-        size = 0
-
-        def flush() -> int:
-            starts = np.cumsum([0] + [len(h) for h in held[:-1]])
-            cells, amounts, more = count(np.concatenate(held), starts)
-            for c in cells:
-                low = int(c.min()) // SKETCH_WIDTH * SKETCH_WIDTH  # one row of counters
-                sums[low : low + SKETCH_WIDTH] += np.bincount(c - low, amounts, SKETCH_WIDTH).astype(np.int64)
-            return more
-
         for batch in batches:
-            for text in batch.column(0):
-                h = shingles(text.as_py(), ids)[0]
+            for texts in _portions(batch.column(0)):
+                h, _, lens = shingles_of(texts, ids, distinct)
                 if len(h):
-                    held.append(h)
-                    size += len(h)
-                    if size >= 4 * CHUNK:
-                        total, seen, size = total + flush(), True, 0
-                        held.clear()
-        if held:
-            total, seen = total + flush(), True
+                    lens = lens[lens > 0]
+                    cells, amounts, more = count(h, np.cumsum(lens) - lens)
+                    for c in cells:
+                        np.add.at(sums, c, amounts)
+                    total, seen = total + more, True
         if seen:
             parts = sums.reshape(-1, SKETCH_BLOCK)
             some = [k for k in range(len(parts)) if parts[k].any()]
@@ -167,9 +224,9 @@ def _sketch(docs: DataFrame, rows: int, count) -> tuple[np.ndarray, int]:
 def copy_sketch(docs: DataFrame) -> Copies:
     def count(h, starts):
         cells = _copy_cells(copy_keys(h, starts))
-        return [cells[:, b, c] for b in range(COPY_BANDS) for c in range(COPY_COUNTERS)], None, len(starts)
+        return [cells[:, b, c] for b in range(COPY_BANDS) for c in range(COPY_COUNTERS)], 1, len(starts)
 
-    return Copies(_sketch(docs, COPY_BANDS * COPY_COUNTERS, count)[0])
+    return Copies(_sketch(docs, COPY_BANDS * COPY_COUNTERS, count, distinct=False)[0])  # repeats leave a least hash as it is
 
 
 def frequency_sketch(docs: DataFrame) -> tuple[np.ndarray, float]:
@@ -178,7 +235,7 @@ def frequency_sketch(docs: DataFrame) -> tuple[np.ndarray, float]:
     copies = docs.sparkSession.sparkContext.broadcast(copy_sketch(docs))  # of fixed size
 
     def count(h, starts):
-        share = np.maximum(1, np.round(UNIT / copies.value.of(h, starts)))
+        share = np.maximum(1, np.round(UNIT / copies.value.of(h, starts))).astype(np.int64)
         each = np.repeat(share, np.diff(np.append(starts, len(h))))
         return _cells(h), each, int(share.sum())
 
@@ -250,26 +307,16 @@ def signatures(docs: DataFrame, weights) -> DataFrame:
         for batch in batches:
             bands: list = [None] * batch.num_rows
             prints: list = [None] * batch.num_rows
-            rows, hs, ws, held = [], [], [], 0
-
-            def flush() -> None:
-                if rows:
-                    starts = np.cumsum([0] + [len(h) for h in hs[:-1]])
-                    got = sampler.samples(np.concatenate(hs), np.concatenate(ws), starts)
-                    for i, b, s in zip(rows, band_keys(got), (got >> np.uint64(48)).astype("<u2")):
+            done = 0
+            for texts in _portions(batch.column(2)):
+                h, tf, lens = shingles_of(texts, ids)
+                rows = np.flatnonzero(lens)
+                if len(rows):
+                    lens = lens[rows]
+                    got = sampler.samples(h, tfidf.of(h, tf), np.cumsum(lens) - lens)
+                    for i, b, s in zip((rows + done).tolist(), band_keys(got), (got >> np.uint64(48)).astype("<u2")):
                         bands[i], prints[i] = b, s.tobytes()
-
-            for i, text in enumerate(batch.column(2)):
-                h, tf = shingles(text.as_py(), ids)
-                if len(h):
-                    rows.append(i)
-                    hs.append(h)
-                    ws.append(tfidf.of(h, tf))
-                    held += len(h)
-                    if held >= CHUNK:
-                        flush()
-                        rows, hs, ws, held = [], [], [], 0
-            flush()
+                done += len(texts)
             yield pa.record_batch([batch.column(0), batch.column(1), pa.array(bands, pa.list_(pa.int64())), pa.array(prints, pa.binary())], names=["doc_id", "digest", "bands", "prints"])
 
     return docs.select(F.col("doc_id").cast("long"), F.md5("text").alias("digest"), "text").mapInArrow(run, schema)
@@ -281,8 +328,12 @@ def vectors(texts: DataFrame, weights) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids, tfidf = _WordIds(), weights.value
         for batch in batches:
-            made = [shingles(t.as_py(), ids) for t in batch.column(1)]
-            yield pa.record_batch([batch.column(0), pa.array([h.tobytes() for h, _ in made], pa.binary()), pa.array([tfidf.of(h, tf).tobytes() for h, tf in made], pa.binary())], names=["node", "ids", "w"])
+            made: list[tuple[bytes, bytes]] = []
+            for some in _portions(batch.column(1)):
+                h, tf, lens = shingles_of(some, ids)
+                w, ends = tfidf.of(h, tf), np.cumsum(lens)
+                made += [(h[a:b].tobytes(), w[a:b].tobytes()) for a, b in zip((ends - lens).tolist(), ends.tolist())]
+            yield pa.record_batch([batch.column(0), pa.array([h for h, _ in made], pa.binary()), pa.array([w for _, w in made], pa.binary())], names=["node", "ids", "w"])
 
     return texts.select("node", "text").mapInArrow(run, "node long, ids binary, w binary")
 

@@ -1,5 +1,6 @@
 import collections
 import random
+import time
 
 import numpy as np
 from helpers import SMALL
@@ -63,6 +64,44 @@ def test_large_group_of_edited_copies(spark):
     assert len({got[k] for k in range(40)}) == 1 and all(got[k] == k for k in range(740, 800))
 
 
+def test_shingles_of_many_texts_at_once():
+    r, ids, long = random.Random(5), N._WordIds(), "q" * (N.WINDOW - 2)
+    texts = [" ".join(r.choice("abcdefg") * r.randint(1, 3) for _ in range(r.randint(0, 60))) for _ in range(300)]
+    texts += ["", None, "...", " A-b ", "\u00c9 \u0391\u03a3 \u65e5\u672c", "\ud800 k", " " * (2 * N.WINDOW) + "k"]
+    texts += [f"{a}{long + 'q' * k}{b}" for k in range(5) for a, b in (("", ""), ("x ", ""), ("", " y"), ("x ", " y"))]
+    h, tf, lens = N.shingles_of(texts, ids)
+    plain, once, all_ = N.shingles_of(texts, ids, distinct=False)
+    ends, all_ends, seen = np.cumsum(lens), np.cumsum(all_), {}
+    for text, a, b, c, d in zip(texts, ends - lens, ends, all_ends - all_, all_ends):
+        words = N.plain_bytes(text or "").split()
+        n = min(N.WORDS, len(words))
+        want = [tuple(words[k : k + n]) for k in range(len(words) - n + 1) if n]
+        assert [seen.setdefault(s, x) for s, x in zip(want, plain[c:d].tolist())] == plain[c:d].tolist() and len(want) == d - c
+        count = collections.Counter(seen[s] for s in want)
+        assert list(zip(h[a:b].tolist(), tf[a:b].tolist())) == sorted(count.items())
+        one = N.shingles(text, ids)
+        assert (one[0] == h[a:b]).all() and (one[1] == tf[a:b]).all()
+    assert len(set(seen.values())) == len(seen) and (once == 1).all()
+    assert [len(x) for x in N.shingles_of([], ids)] == [0, 0, 0]
+
+
+def test_shingling_costs_less_than_a_call_for_each_word():
+    r = random.Random(8)
+    texts = [" ".join(f"w{r.randrange(30_000)}" for _ in range(400)) for _ in range(600)]
+    ids, known = N._WordIds(), {f"w{k}".encode(): 2**63 + k for k in range(30_000)}
+
+    def seconds(f):
+        took = []
+        for _ in range(3):
+            start = time.process_time()
+            f()
+            took.append(time.process_time() - start)
+        return min(took)
+
+    calls = seconds(lambda: [np.fromiter(map(known.__getitem__, N.plain_bytes(t).split()), np.uint64) for t in texts])
+    assert seconds(lambda: N.shingles_of(texts, ids)) < calls
+
+
 def test_sketch_counts(spark):
     own = lambda k: " ".join(f"o{k}x{j}" for j in range(40))
     docs = spark.createDataFrame([(k, own(k) + " a b c d e" * (k % 2)) for k in range(200)], "doc_id long, text string")
