@@ -10,6 +10,7 @@ from hypertriad.model import canonicalize
 from hypertriad.operators import block_searches, blocks, sparse_searches
 from hypertriad.operators.links import build_links
 from hypertriad.plans import workloads
+from hypertriad.plans.registry import QUERIES
 from hypertriad.sources.builders import BUILDERS
 
 OF = {"baseline": range(1, 21), "nest_chain": (1,), "nest_chain_enumerated": (1,), "two_nests": range(2, 6), "one_nest": range(6, 9), "cross": range(9, 21), "core_vertex": range(9, 17), "core_grouped": range(9, 17), "coreless": range(17, 21), "all": range(1, 21)}
@@ -94,3 +95,11 @@ def test_copies_are_dealt_to_few_blocks(spark, monkeypatch):
     got = {(r["method"], r["pattern"]): r["cnt"] for r in block_searches.searched(hg).collect()}
     assert got == {(m, p): copies * len(found[p]) for m, among in OF.items() for p in among if p in found}
     assert sum(df.count() for df in dealt) <= 4 * copies * len(edges)
+
+
+def test_order_parts_takes_every_method(spark, tmp_path):
+    lines = [(o, (o * k) % 11) for o in range(40) for k in range(1, 2 + o % 4)]
+    spark.createDataFrame(lines, "l_orderkey long, l_partkey long").write.parquet(f"{tmp_path}/lineitem.parquet")
+    found, _ = brute(lines)
+    got = {r["method"]: r["triads"] for r in QUERIES["counts_by_method_order_parts"](spark, str(tmp_path)).collect()}
+    assert got == {m: sum(len(found.get(p, ())) for p in among) for m, among in OF.items()}
