@@ -10,6 +10,7 @@ from hypertriad.model import canonicalize
 from hypertriad.operators import block_searches, blocks, sparse_searches
 from hypertriad.operators.links import build_links
 from hypertriad.plans import workloads
+from hypertriad.plans.planner import triads
 from hypertriad.plans.registry import QUERIES
 from hypertriad.sources.builders import BUILDERS
 
@@ -103,3 +104,21 @@ def test_order_parts_takes_every_method(spark, tmp_path):
     found, _ = brute(lines)
     got = {r["method"]: r["triads"] for r in QUERIES["counts_by_method_order_parts"](spark, str(tmp_path)).collect()}
     assert got == {m: sum(len(found.get(p, ())) for p in among) for m, among in OF.items()}
+
+
+def test_counts_of_sparse_edges_are_dealt_to_few_blocks(spark, monkeypatch):
+    """Counts of all patterns deal near edges too: what is dealt grows with the edges, and no block repeats a member's list."""
+    one = sorted({(e, (e * k * k + e // 7 + k) % 20) for e in range(60) for k in range(1, 2 + e % 4)})
+    found, edges = brute(one)
+    copies = 40
+    hg = canonicalize(spark.createDataFrame([(e + 100 * c, v + 20 * c) for c in range(copies) for e, v in one], "e long, v long"))
+    monkeypatch.setattr(blocks, "MATRIX", 0)
+    monkeypatch.setattr(block_searches, "SPARSE", 1)
+    dealt, run = [], GroupedData.applyInArrow
+    monkeypatch.setattr(GroupedData, "applyInArrow", lambda self, *args: dealt.append(self._df) or run(self, *args))
+    got = {r["pattern"]: r["cnt"] for r in triads(hg, mode="count").collect()}
+    assert got == {p: copies * len(found.get(p, ())) for p in range(1, 21)}
+    assert sum(df.count() for df in dealt) <= 4 * copies * len(edges)
+    assert dict(dealt[0].dtypes)["codes"] == "array<int>"
+    far = canonicalize(spark.createDataFrame([(e, v + 2**40) for e, v in one], "e long, v long"))
+    assert {r["pattern"]: r["cnt"] for r in triads(far, mode="count").collect()} == {p: len(found.get(p, ())) for p in range(1, 21)}
